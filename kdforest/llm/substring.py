@@ -28,8 +28,8 @@ from kdforest.llm.common import table
 
 #: Suffixes that a task sorts and settles at once.
 BLOCK = 2_000_000
-#: Suffixes meant for a group: some 10 MB packed.
-GROUP = 1_000_000
+#: Suffixes meant for a group: some 2 MB packed.
+GROUP = 250_000
 _ODD = np.array([(0x9E3779B97F4A7C15 * (2 * i + 1) ^ (i * i + 1) << 32) & (2**64 - 1) | 1 for i in range(4096)], dtype=np.uint64)
 _NO_WORDS = np.zeros(0, dtype=np.uint64)
 
@@ -181,7 +181,7 @@ def remove_repeats(docs: DataFrame, length: int = 13, id_col: str = "doc_id", te
     slim = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"))
     if prefix_bits is None:
         suffixes = (slim.agg(F.sum(F.octet_length("text"))).first()[0] or 0) / 6
-        prefix_bits = max(6, int(np.ceil(np.log2(max(1.0, suffixes / GROUP)))))
+        prefix_bits = max(8, int(np.ceil(np.log2(max(1.0, suffixes / GROUP)))))
     told = repeated_suffixes(slim, length, prefix_bits).groupBy("doc_id").agg(F.collect_list("data").alias("_told"))
     rest = docs.drop("n_words", "n_removed", "kept_text")
     schema = rest.select("*", F.lit(0).cast("long").alias("n_words"), F.lit(0).cast("long").alias("n_removed"), F.lit("").alias("kept_text")).schema
