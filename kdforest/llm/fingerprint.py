@@ -147,7 +147,8 @@ def with_next(docs: DataFrame, parts: int) -> DataFrame:
     dealt = docs.select(F.when(F.col("doc_id").isNull(), F.lit(-1)).otherwise(part).alias("part"), "doc_id", "text")
     tops = {r.part: r.top for r in dealt.groupBy("part").agg(F.max("doc_id").alias("top")).collect()}  # one row per range
     order = sorted(tops)
-    extra = docs.sparkSession.createDataFrame([(order[(i + 1) % len(order)], tops[p]) for i, p in enumerate(order)], "to int, top long")
+    marks = F.array(*[F.struct(F.lit(order[(i + 1) % len(order)]).alias("to"), F.lit(tops[p]).cast("long").alias("top")) for i, p in enumerate(order)]) if order else F.expr("cast(array() as array<struct<to:int,top:bigint>>)")
+    extra = docs.sparkSession.range(1).select(F.inline(marks))
     firsts = docs.join(F.broadcast(extra), F.col("doc_id").eqNullSafe(F.col("top"))).select(F.col("to").alias("part"), "doc_id", "text", F.lit(True).alias("extra"))
     rows = dealt.select("*", F.lit(False).alias("extra")).unionByName(firsts)
     down = Window.partitionBy("part").orderBy("extra", F.col("doc_id").desc_nulls_last(), "text")
