@@ -1,0 +1 @@
+"""Exact nearest-neighbour search over points that change in batches, for Spark."""
