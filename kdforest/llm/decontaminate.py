@@ -35,7 +35,7 @@ def bit_test(words: DataFrame, name: str) -> Callable[[Column], Column]:
     bit = F.call_function("shiftleft", F.lit(1).cast("long"), (at % 64).cast("int"))
     cells = words.groupBy(F.floor(at / 64).cast("int").alias("cell")).agg(F.bit_or(bit).alias("v")).collect()  # MOST_BITS / 64 rows at most
     held = {r.cell: r.v for r in cells}
-    ones = F.array(*[F.lit(held.get(i, 0)).cast("long") for i in range(bits // 64)])
+    ones = F.expr(f"array({', '.join(f'{held.get(i, 0)}L' for i in range(bits // 64))})")
 
     def test(word: Column) -> Column:
         h = F.xxhash64(word).bitwiseAND(F.lit(bits - 1).cast("long"))
