@@ -120,6 +120,21 @@ def test_one_of_each(docs, odd):
     assert {r.doc_id for r in simhash.one_of_each(odd).collect()} >= {1, 3, 7, 9}
 
 
+def test_near_copies_go(spark):
+    rng = np.random.default_rng(4)
+    rows = []
+    for i in range(60):
+        words = [f"w{x}" for x in rng.integers(0, 3000, 200)]
+        rows.append((10 * i, " ".join(words)))
+        for k in (2, 3):  # shingles in common: about 0.9 and 0.86
+            other = list(words)
+            for at in rng.choice(200, k, replace=False):
+                other[at] = "changed"
+            rows.append((10 * i + k, " ".join(other)))
+    kept = {r.doc_id for r in simhash.one_of_each(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    assert {10 * i for i in range(60)} <= kept and len(kept) <= 64
+
+
 def test_packing(docs, odd):
     import public_tokenizers
     from tokenizers import Tokenizer
