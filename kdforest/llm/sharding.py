@@ -1,7 +1,8 @@
 """Sharding by balanced label propagation, on DataFrame functions only.
 
 Documents with equal texts are linked. Labels (shards) start from a hash of the id and spread in rounds of joins:
-a group's members move to the shard that most of them have, as far as that shard's quota of room lets them. The
+a group's members move to the shard that most of them have (a group larger than a shard: to as many as it needs), as
+far as the quota of room there lets them. The
 state is one row per group and first label, never one per link, so a group of a third of all rows is a few rows.
 In the end documents are ranked by label and group, and shards are cut from that rank, so counts differ by at
 most one (law "rows") and only groups on a cut or larger than a shard are parted.
@@ -32,12 +33,31 @@ def first_label(shards: int) -> Column:
     return F.pmod(F.xxhash64(F.col("doc_id"), F.lit(1)), F.lit(shards)).cast("int")
 
 
+def shares_admitted(moves: list[tuple[int, int, bool, int]], load: dict[int, int], capacity: int, shards: int) -> tuple[list[float], list[float]]:
+    """Shares of whole groups and of parts of hot ones that each shard lets in. ``moves`` has (label, goal, whole, n), at most two per pair of shards.
+
+    Whole groups come first, parts get the room left. Room that leavers make counts as far as they are let in elsewhere.
+    """
+    moves = [m for m in moves if m[0] != m[1]]
+    demand = {w: [sum(n for _, goal, is_whole, n in moves if goal == s and is_whole is w) for s in range(shards)] for w in (True, False)}
+    share = {True: [1.0] * shards, False: [1.0] * shards}
+    for _ in range(20):
+        room = [float(capacity - load.get(s, 0)) for s in range(shards)]
+        for label, goal, is_whole, n in moves:
+            room[label] += n * share[is_whole][goal]
+        whole = [min(1.0, max(0.0, room[s]) / demand[True][s]) if demand[True][s] else 1.0 for s in range(shards)]
+        part = [min(1.0, max(0.0, room[s] - whole[s] * demand[True][s]) / demand[False][s]) if demand[False][s] else 1.0 for s in range(shards)]
+        share = {True: whole, False: part}
+    return share[True], share[False]
+
+
 def propagated(rows: DataFrame, shards: int = SHARDS, rounds: int = ROUNDS, slack: float = 0.02) -> tuple[DataFrame, list[int]]:
     """Cells of linked documents (group, first, n, label) after ``rounds``, and the cut links before and after each.
 
-    A link joins each member of a group with its largest set of members in one shard; it is cut if the member is
-    in another. A shard takes movers up to its capacity, the mean and ``slack``: whole groups, or
-    single cells of groups larger than a quarter of that, while a hash of theirs is below the share that has room.
+    A group's goals are the shards with most of its members, as many as its size needs; a link joins each member with
+    its group and is cut if the member is in no goal. Ties go by a hash of group and shard, so that wishes spread evenly.
+    A shard takes movers up to its capacity, the mean and ``slack``: whole groups first, then single cells of groups
+    larger than a quarter of that, while a hash of theirs is below the share that has room.
     """
     total = rows.count()
     capacity = int(total / shards * (1 + slack)) + 1
@@ -48,23 +68,26 @@ def propagated(rows: DataFrame, shards: int = SHARDS, rounds: int = ROUNDS, slac
     single = {r["first"]: r.n for r in rows.groupBy(first_label(shards).alias("first")).agg(F.count("*").alias("n")).collect()}
     for r in cells.groupBy("first").agg(F.sum("n").alias("n")).collect():
         single[r["first"]] -= r.n
+    is_whole = F.col("group_n") <= capacity // 4
     cut: list[int] = []
     for k in range(rounds + 1):
         votes = cells.groupBy(*GROUP, "label").agg(F.sum("n").alias("votes"))
-        best = votes.groupBy(*GROUP).agg(F.max_by("label", F.struct("votes", -F.col("label"))).alias("goal"))
-        wish = cells.join(best, GROUP)
-        table_ = wish.groupBy("label", "goal").agg(F.sum("n").alias("n")).collect()  # shards squared at most
-        cut.append(sum(r.n for r in table_ if r.label != r.goal))
+        ordered = F.sort_array(F.collect_list(F.struct("votes", F.xxhash64(*GROUP, "label").alias("tie"), "label")), asc=False)
+        tops = votes.groupBy(*GROUP).agg(F.transform(ordered, lambda x: x["label"]).alias("tops"))  # an entry per shard at most
+        needed = F.least(F.ceil(F.col("group_n") / capacity), F.size("tops")).cast("int")
+        goals = F.slice("tops", 1, needed)
+        goal = F.when(F.array_contains(goals, F.col("label")), F.col("label")).otherwise(F.get("tops", F.pmod(F.xxhash64(*GROUP, "first"), needed).cast("int")))
+        wish = cells.join(tops, GROUP).withColumn("goal", goal)
+        moves = [(r.label, r.goal, r.whole, r.n) for r in wish.groupBy("label", "goal", is_whole.alias("whole")).agg(F.sum("n").alias("n")).collect()]
+        cut.append(sum(n for label, to, _, n in moves if label != to))
         if k == rounds or not cut[-1] or k > 1 and cut[-1] == cut[-2]:
             break
-        load, demand = dict(single), dict.fromkeys(range(shards), 0)
-        for r in table_:
-            load[r.label] = load.get(r.label, 0) + r.n
-            demand[r.goal] += r.n if r.label != r.goal else 0
-        share = [min(1.0, max(0, capacity - load.get(s, 0) + sum(r.n for r in table_ if r.label == s != r.goal)) / demand[s]) if demand[s] else 0.0 for s in range(shards)]
-        shares = F.array(*[F.lit(float(x)) for x in share])
-        mover = F.when(F.col("group_n") > capacity // 4, F.xxhash64(*GROUP, "first", F.lit(k))).otherwise(F.xxhash64(*GROUP, F.lit(k)))
-        admitted = F.pmod(mover, F.lit(1 << 20)) < F.get(shares, F.col("goal")) * (1 << 20)
+        load = dict(single)
+        for label, _, _, n in moves:
+            load[label] = load.get(label, 0) + n
+        whole, part = (F.get(F.array(*[F.lit(x) for x in share]), F.col("goal")) for share in shares_admitted(moves, load, capacity, shards))
+        lot = F.when(is_whole, F.xxhash64(*GROUP, F.lit(k))).otherwise(F.xxhash64(*GROUP, "first", F.lit(k)))
+        admitted = F.pmod(lot, F.lit(1 << 20)) < F.when(is_whole, whole).otherwise(part) * (1 << 20)
         cells = written(wish.select(*GROUP, "first", "n", "group_n", F.when(admitted, F.col("goal")).otherwise(F.col("label")).alias("label")), "cells")
     return cells, cut
 
