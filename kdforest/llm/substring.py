@@ -7,7 +7,8 @@ the smallest document that has it, so a passage of a third of all documents cost
 Sorted suffixes are dealt by a prefix of their digests, whose length follows the size of the table, to
 groups that fit in memory and travel as packed columns. In a group the sorted suffixes are the leaves of a subtree and runs of
 equal ones its nodes of full depth: the maximal repeats. Each but a node's smallest document is told the suffix,
-and drops the words under it.
+and drops the words under it. What is told travels packed by bucket of documents and meets them there; a bucket
+has about as many words as a group.
 
 Prefixes are those of digests and not of words because words are Zipf-distributed: a few first words would
 start most suffixes, whatever the length.
@@ -21,7 +22,7 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from kdforest.llm.common import table
@@ -79,14 +80,38 @@ def _later(digest: np.ndarray, doc: np.ndarray) -> tuple[np.ndarray, np.ndarray]
     return begins, doc > least
 
 
-def _told(digest: np.ndarray, doc: np.ndarray) -> Iterator[tuple[int, bytes]]:
-    """(doc, its suffix digests) of leaves in any order."""
+def bucket_number(doc: np.ndarray, buckets: int) -> np.ndarray:
+    return np.mod(doc ^ (doc >> 11) ^ (doc >> 23) ^ (doc >> 37), buckets)
+
+
+def bucket_column(doc: Column, buckets: int) -> Column:
+    """``bucket_number`` in Spark; a null is in none."""
+    mixed = doc.bitwiseXOR(F.shiftright(doc, 11)).bitwiseXOR(F.shiftright(doc, 23)).bitwiseXOR(F.shiftright(doc, 37))
+    return F.pmod(mixed, F.lit(buckets))
+
+
+def _told(digest: np.ndarray, doc: np.ndarray, buckets: int) -> Iterator[tuple[int, bytes]]:
+    """(bucket of documents, its documents, how many suffixes of each, and their digests) of leaves in any order."""
     if len(doc):
-        order = np.argsort(doc, kind="stable")
-        digest, doc = digest[order], doc[order]
-        edge = np.concatenate([[0], np.flatnonzero(np.diff(doc)) + 1, [len(doc)]])
+        bucket = bucket_number(doc, buckets)
+        order = np.lexsort((doc, bucket))
+        digest, doc, bucket = digest[order], doc[order], bucket[order]
+        edge = np.concatenate([[0], np.flatnonzero(np.diff(bucket)) + 1, [len(doc)]])
         for i, j in zip(edge[:-1].tolist(), edge[1:].tolist(), strict=True):
-            yield int(doc[i]), digest[i:j].tobytes()
+            ids, n = np.unique(doc[i:j], return_counts=True)
+            yield int(bucket[i]), b"".join((np.array([len(ids)], "<i8").tobytes(), ids.astype("<i8").tobytes(), n.astype("<i4").tobytes(), digest[i:j].tobytes()))
+
+
+def _heard(blobs: list[bytes]) -> dict[int, list[np.ndarray]]:
+    """Suffix digests by document."""
+    out: dict[int, list[np.ndarray]] = {}
+    for x in blobs:
+        n = int(np.frombuffer(x, "<i8", 1)[0])
+        ids, counts = np.frombuffer(x, "<i8", n, 8), np.frombuffer(x, "<i4", n, 8 + 8 * n)
+        parts = np.split(np.frombuffer(x, "<u8", offset=8 + 12 * n), np.cumsum(counts)[:-1])
+        for d, part in zip(ids.tolist(), parts, strict=True):
+            out.setdefault(d, []).append(part)
+    return out
 
 
 def _batches(rows: Iterator[tuple], schema: pa.Schema, size: int = 64 << 20) -> Iterator[pa.RecordBatch]:
@@ -101,9 +126,9 @@ def _batches(rows: Iterator[tuple], schema: pa.Schema, size: int = 64 << 20) ->
 
 
 def repeated_suffixes(docs: DataFrame, length: int, prefix_bits: int) -> DataFrame:
-    """(doc_id, digests): packed digests of the suffixes that a smaller doc_id has too. A document may have several rows."""
-    schema = pa.schema([("prefix", pa.int64()), ("doc_id", pa.int64()), ("data", pa.binary())])
-    told = pa.schema([("doc_id", pa.int64()), ("data", pa.binary())])
+    """(bucket, data): packed digests of the suffixes that a smaller doc_id has too, by bucket of documents. A bucket has a row per block of suffixes at most."""
+    schema = pa.schema([("prefix", pa.int64()), ("bucket", pa.int64()), ("data", pa.binary())])
+    told = pa.schema([("bucket", pa.int64()), ("data", pa.binary())])
     groups = 1 << prefix_bits
 
     def leaves(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple]:
@@ -119,8 +144,8 @@ def repeated_suffixes(docs: DataFrame, length: int, prefix_bits: int) -> DataFra
             digest, doc = digest[order], doc[order]
             begins, later = _later(digest, doc)
             same = np.concatenate([[False], (digest[1:] == digest[:-1]) & (doc[1:] == doc[:-1])])
-            for d, data in _told(digest[later & ~same], doc[later & ~same]):
-                yield None, d, data
+            for k, data in _told(digest[later & ~same], doc[later & ~same], groups + 1):
+                yield None, k, data
             digest, doc = digest[begins], doc[begins]
             cut = np.searchsorted(digest >> np.uint64(64 - prefix_bits), np.arange(groups + 1, dtype=np.uint64)) if prefix_bits else [0, len(digest)]
             for g in np.flatnonzero(np.diff(cut)).tolist():
@@ -141,33 +166,42 @@ def repeated_suffixes(docs: DataFrame, length: int, prefix_bits: int) -> DataFra
         if held:
             yield from block()
 
-    def subtree(blobs: list[bytes]) -> Iterator[tuple[int, bytes]]:
+    def subtree(blobs: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
         parts = [_unpacked(x) for x in blobs]
         digest, doc = np.concatenate([p[0] for p in parts]), np.concatenate([p[1] for p in parts])
         order = np.lexsort((doc, digest))
         digest, doc = digest[order], doc[order]
         later = _later(digest, doc)[1]
-        yield from _told(digest[later], doc[later])
+        return digest[later], doc[later]
 
     def subtrees(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[int, bytes]]:
-        """Rows come sorted by prefix."""
-        at, held = None, []
+        """Rows come sorted by prefix. What groups of one task tell goes out together, a block of suffixes at a time."""
+        at, held, found, size = None, [], [], 0
+
+        def tell() -> Iterator[tuple[int, bytes]]:
+            yield from _told(np.concatenate([f[0] for f in found]), np.concatenate([f[1] for f in found]), groups + 1)
+
         for b in batches:
-            for g, d, data in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), b.column(2), strict=True):
+            for g, k, data in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), b.column(2), strict=True):
                 if g is None:
-                    yield d, data.as_py()
+                    yield k, data.as_py()
                     continue
                 if g != at and held:
-                    yield from subtree(held)
-                    held = []
+                    found.append(subtree(held))
+                    held, size = [], size + len(found[-1][0])
+                    if size >= BLOCK:
+                        yield from tell()
+                        found, size = [], 0
                 at = g
                 held.append(data.as_py())
         if held:
-            yield from subtree(held)
+            found.append(subtree(held))
+        if found:
+            yield from tell()
 
-    made = docs.mapInArrow(lambda it: _batches(leaves(it), schema, 8 << 20), "prefix long, doc_id long, data binary")
-    dealt = made.repartition(F.coalesce("prefix", -1 - F.pmod("doc_id", F.lit(1 << 20)))).sortWithinPartitions("prefix")
-    return dealt.mapInArrow(lambda it: _batches(subtrees(it), told, 8 << 20), "doc_id long, data binary")
+    made = docs.mapInArrow(lambda it: _batches(leaves(it), schema, 8 << 20), "prefix long, bucket long, data binary")
+    dealt = made.repartition(F.coalesce("prefix", -1 - F.col("bucket"))).sortWithinPartitions("prefix")
+    return dealt.mapInArrow(lambda it: _batches(subtrees(it), told, 8 << 20), "bucket long, data binary")
 
 
 def remove_repeats(docs: DataFrame, length: int = 13, id_col: str = "doc_id", text_col: str = "text", prefix_bits: int | None = None) -> DataFrame:
@@ -182,31 +216,33 @@ def remove_repeats(docs: DataFrame, length: int = 13, id_col: str = "doc_id", te
     if prefix_bits is None:
         suffixes = (slim.agg(F.sum(F.octet_length("text"))).first()[0] or 0) / 6
         prefix_bits = max(8, int(np.ceil(np.log2(max(1.0, suffixes / GROUP)))))
-    told = repeated_suffixes(slim, length, prefix_bits).groupBy("doc_id").agg(F.collect_list("data").alias("_told"))
+    told = repeated_suffixes(slim, length, prefix_bits)
     rest = docs.drop("n_words", "n_removed", "kept_text")
     schema = rest.select("*", F.lit(0).cast("long").alias("n_words"), F.lit(0).cast("long").alias("n_removed"), F.lit("").alias("kept_text")).schema
-    joined = rest.join(told.withColumnRenamed("doc_id", "_id"), F.col(id_col).cast("long") == F.col("_id"), "left").drop("_id")
-
-    def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
-            kept, n, gone = [], [], []
-            for text, data in zip(b.column(text_col), b.column("_told"), strict=True):
-                words = words_of(text.as_py())
-                n.append(len(words))
-                if data.is_valid:
-                    cut = np.frombuffer(b"".join(data.as_py()), dtype=np.uint64)
-                    starts = np.isin(suffix_digests(words, length), cut)
-                    ends = np.zeros(len(words) + 1, dtype=np.int64)
-                    ends[: len(starts)] += starts
-                    ends[length : length + len(starts)] -= starts
-                    stay = np.cumsum(ends[:-1]) == 0
-                    words = [words[i] for i in np.flatnonzero(stay).tolist()]
-                gone.append(n[-1] - len(words))
-                kept.append(b" ".join(words).decode())
-            cols = [b.column(i) for i in range(b.num_columns - 1)]
-            yield pa.RecordBatch.from_arrays([*cols, pa.array(n, pa.int64()), pa.array(gone, pa.int64()), pa.array(kept, pa.string())], [*b.schema.names[:-1], "n_words", "n_removed", "kept_text"])
-
-    return joined.mapInArrow(work, schema)
+    buckets = (1 << prefix_bits) + 1
+    at = rest.columns.index(id_col), rest.columns.index(text_col)
+    anywhere = F.pmod(F.xxhash64(text_col), F.lit(buckets))
+    placed = rest.withColumn("_bucket", F.coalesce(bucket_column(F.col(id_col).cast("long"), buckets), anywhere))
+
+    def work(rows: pa.Table, blobs: pa.Table) -> pa.Table:
+        cut = _heard(blobs.column("data").to_pylist())
+        kept, n, gone = [], [], []
+        for d, text in zip(rows.column(at[0]).to_pylist(), rows.column(at[1]), strict=True):
+            words = words_of(text.as_py())
+            n.append(len(words))
+            if d is not None and int(d) in cut:
+                starts = np.isin(suffix_digests(words, length), np.concatenate(cut[int(d)]))
+                ends = np.zeros(len(words) + 1, dtype=np.int64)
+                ends[: len(starts)] += starts
+                ends[length : length + len(starts)] -= starts
+                stay = np.cumsum(ends[:-1]) == 0
+                words = [words[i] for i in np.flatnonzero(stay).tolist()]
+            gone.append(n[-1] - len(words))
+            kept.append(b" ".join(words).decode())
+        cols = [rows.column(i) for i in range(rows.num_columns - 1)]
+        return pa.Table.from_arrays([*cols, pa.array(n, pa.int64()), pa.array(gone, pa.int64()), pa.array(kept, pa.string())], [*rows.column_names[:-1], "n_words", "n_removed", "kept_text"])
+
+    return placed.groupBy("_bucket").cogroup(told.groupBy("bucket")).applyInArrow(work, schema)
 
 
 def op3_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
