@@ -18,6 +18,9 @@ from kdforest.shared import local_table, small, written
 #: Points of a cell; some 128 MB of points on a cluster, few here so that tests have many cells.
 CELL_CAP = 4096
 MOST_LEVELS = 40
+#: Queries with more coordinates are stored before a search: while they are still expressions under a filter on their
+#: distance, the planner's constraints double with each of them, and 16 are too many to plan.
+WIDE = 8
 Split = tuple[int, int, int, float]  # tree, node, dimension, value: left iff below
 
 
@@ -156,6 +159,8 @@ def search(queries: DataFrame, forest: Forest, k: int, metric: str = "euclid", t
     q = coords(d, "q")
     if not trees:
         return queries.select("query_id", F.lit(None).cast("long").alias("point_id"), F.lit(None).cast("double").alias("d2")).where("false")
+    if d > WIDE:
+        queries = written(queries, "queries")
     points = forest.points.where(F.col("tree").isin(trees))
     if tombs is not None:
         points = points.join(tombs.select("tree", "point_id"), ["tree", "point_id"], "left_anti")
