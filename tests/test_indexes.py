@@ -8,6 +8,7 @@ from kdforest.operators import tree as kd
 from kdforest.operators.baselines import FixedCells, RebuildAll, brute_knn
 from kdforest.operators.forest import LogForest
 from kdforest.shared import local_table
+from kdforest.sources.pointsets import points_from
 
 SCHEMA = "point_id long, c0 double, c1 double, seq long"
 
@@ -83,3 +84,19 @@ def test_bad_coordinates(spark):
     assert points_from(rows, "id", ["x"], bad="drop").count() == 1
     with pytest.raises(Exception, match="not finite"):
         points_from(rows, "id", ["x"]).collect()
+
+
+def test_sixteen_dimensions_from_expressions(spark):
+    """Queries whose coordinates are still expressions, which a planner of constraints cannot take in."""
+    table = spark.range(120).selectExpr("id", "transform(sequence(1, 16), j -> cast(pmod(id * 7919 + j * j * 31 * id, 101) as double)) AS v")
+    points = points_from(table, "id", [f"v[{j}]" for j in range(16)])
+    f = kd.stored(kd.build(points.selectExpr("0 AS tree", "*"), 16, cap=16))
+    queries = kd.as_queries(points.where("point_id % 10 = 0"), 16)
+    key = lambda df: sorted((r.query_id, r["rank"], r.point_id, r.d2) for r in df.collect())
+    got = key(kd.ranked(kd.search(queries, f, 4), 4))
+    at = {r.point_id: [r[f"c{j}"] for j in range(16)] for r in points.collect()}
+    want = []
+    for q in range(0, 120, 10):
+        best = sorted((sum((a - b) ** 2 for a, b in zip(at[q], at[p], strict=True)), p) for p in at)[:4]
+        want += [(q, n, p, d) for n, (d, p) in enumerate(best, 1)]
+    assert len(f.cells) > 1 and got == sorted(want)
