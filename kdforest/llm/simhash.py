@@ -293,20 +293,32 @@ def wide_links(reps: DataFrame, distance: int = WIDE_DISTANCE) -> DataFrame:
     return rows.repartition("seg", "value").sortWithinPartitions("seg", "value").mapInArrow(work, "a long, b long").distinct()
 
 
+def by_row(docs: DataFrame) -> DataFrame:
+    """``docs`` with _none, _id and _mark, which are equal only in rows with equal ids (or none) and equal texts."""
+    key = F.col("doc_id").cast("long")
+    return docs.withColumns({"_none": key.isNull(), "_id": F.coalesce(key, F.lit(0).cast("long")), "_mark": F.xxhash64("text")})
+
+
 def one_of_each(docs: DataFrame, distance: int = WIDE_DISTANCE, shingle: int = 5) -> DataFrame:
-    """``docs`` with one document of each group of near duplicates, that with the smallest id (one row of equal ids).
+    """``docs`` with one document of each group of near duplicates, that with the smallest id.
 
-    Texts are compared by wide fingerprints of five-word shingles. Rows with null ids stay only if no row with an
+    Texts are compared by wide fingerprints of five-word shingles, each text of its own: different texts under one id
+    are different documents, and so are those without an id. Rows with null ids stay only if no row with an
     id has their fingerprint, one for each; other columns stay as they are.
     """
+    row = ["_none", "_id", "_mark"]
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.array([wide_fingerprint(t.as_py(), shingle) for t in b.column(1)], pa.binary())], ["doc_id", "fp"])
-
-    fps = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(work, "doc_id long, fp binary")
-    reps = written(fps.groupBy("fp").agg(F.min("doc_id").alias("first")), "fingerprints")
-    found = components(wide_links(reps.where("first IS NOT NULL"), distance))
-    keep = reps.join(found.select(F.col("node").alias("first"), "root"), "first", "left").where("root IS NULL OR root = first").select(F.col("first").alias("keep"))
-    kept = docs.join(keep, docs["doc_id"].eqNullSafe(keep["keep"]), "left_semi")
-    return kept.dropDuplicates(["doc_id"])
+            fp = pa.array([wide_fingerprint(t.as_py(), shingle) for t in b.column(3)], pa.binary())
+            yield pa.RecordBatch.from_arrays([*(b.column(i) for i in range(3)), fp], [*row, "fp"])
+
+    marked = by_row(docs)
+    fps = marked.select(*row, "text").mapInArrow(work, "_none boolean, _id long, _mark long, fp binary")
+    least = fps.groupBy("fp").agg(F.min(F.struct(*row)).alias("r")).select("fp", "r.*")
+    reps = written(least.withColumn("first", F.xxhash64("fp")), "fingerprints")
+    found = components(wide_links(reps.where("NOT _none"), distance))
+    named = reps.join(found.select(F.col("node").alias("first"), "root"), "first", "left")
+    ids = named.where("root IS NOT NULL").groupBy("root").agg(F.min(F.struct(*row)).alias("r")).select("r.*")
+    keep = named.where("root IS NULL").select(*row).unionByName(ids)
+    return marked.join(keep, row, "left_semi").dropDuplicates(row).drop(*row)

@@ -135,6 +135,14 @@ def test_near_copies_go(spark):
     assert {10 * i for i in range(60)} <= kept and len(kept) <= 64
 
 
+def test_different_texts_stay_under_one_id_and_none(spark):
+    text = lambda i: " ".join(f"t{i}w{j}" for j in range(30))
+    rows = [(None, text(i)) for i in range(5)] + [(4, text(i)) for i in range(5, 9)] + [(4, text(5)), (None, text(1)), (9, text(6)), (3, text(7)), (None, text(8))]
+    kept = simhash.one_of_each(spark.createDataFrame(rows, "doc_id long, text string")).collect()
+    want = [(None, text(i)) for i in range(5)] + [(4, text(5)), (4, text(6)), (3, text(7)), (4, text(8))]
+    assert Counter((r.doc_id, r.text) for r in kept) == Counter(want)
+
+
 def test_packing(docs, odd):
     import public_tokenizers
     from tokenizers import Tokenizer
