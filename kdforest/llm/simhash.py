@@ -7,6 +7,9 @@ values in the small Hamming ball around each segment; a bucket is the entries an
 Inside a bucket complete distances are verified in blocks, and only the links that join what the bucket has not
 joined yet are kept, so a dense group of near copies gives a tree and not all its pairs. Components follow from
 rounds of joins over those links.
+
+``one_of_each`` drops near copies by another measure, the Jaccard similarity of word shingles, which so few bits
+can't tell.
 """
 
 from __future__ import annotations
@@ -20,7 +23,7 @@ import xxhash
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from kdforest.llm.common import table, written
+from kdforest.llm.common import maybe_broadcast, table, written
 
 #: A-Z to a-z, nothing else.
 LOWER = bytes(range(65)) + bytes(range(97, 123)) + bytes(range(91, 256))
@@ -204,121 +207,138 @@ def op7_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     return linked(fps).select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
 
 
-#: Bits that two texts' wide fingerprints of 256 bits differ in at most: about a share 0.8 of equal five-word shingles.
-WIDE_DISTANCE = 46
-
-
-def wide_fingerprint(text: str | None, shingle: int = 5) -> bytes:
-    """256-bit SimHash of a text's word shingles, for similarities that 64 bits can't tell apart."""
-    words = (text or "").encode().translate(LOWER).split()
-    if not words:
-        return bytes(32)
-    grams = [b" ".join(words[i : i + shingle]) for i in range(max(1, len(words) - shingle + 1))]
-    ones = np.zeros(256, dtype=np.int64)
-    for i in range(0, len(grams), 1 << 14):
-        raw = b"".join([xxhash.xxh3_128_digest(g, seed) for g in grams[i : i + (1 << 14)] for seed in (1, 2)])
-        ones += np.unpackbits(np.frombuffer(raw, dtype=np.uint8).reshape(-1, 32), axis=1).sum(axis=0, dtype=np.int64)
-    return np.packbits(ones * 2 > len(grams)).tobytes()
-
-
-def tree_links(ids: np.ndarray, words: np.ndarray, distance: int, block: int = 512) -> list[tuple[int, int]]:
-    """Links of one bucket (rows of ``words``) within ``distance``, each of which joins two of its groups."""
-    group, out = np.arange(len(ids)), []
-    for i in range(0, len(ids), block):
-        for j in range(0, i + 1, block):
-            near = np.bitwise_count(words[i : i + block, None, :] ^ words[None, j : j + block, :]).sum(axis=2, dtype=np.int32) <= distance
-            while True:
-                apart = near & (group[i : i + block, None] != group[None, j : j + block])
-                some = np.flatnonzero(apart.any(axis=1))
-                if not len(some):
-                    break
-                for r, c in zip(some.tolist(), apart[some].argmax(axis=1).tolist(), strict=True):
-                    a, b = group[i + r], group[j + c]
-                    if a != b:
-                        group[group == max(a, b)] = min(a, b)
-                        out.append((int(ids[i + r]), int(ids[j + c])))
-    return out
+def by_row(docs: DataFrame) -> DataFrame:
+    """``docs`` with _none, _id and _mark, which are equal only in rows with equal ids (or none) and equal texts."""
+    key = F.col("doc_id").cast("long")
+    return docs.withColumns({"_none": key.isNull(), "_id": F.coalesce(key, F.lit(0).cast("long")), "_mark": F.xxhash64("text")})
 
 
-def wide_links(reps: DataFrame, distance: int = WIDE_DISTANCE) -> DataFrame:
-    """(a, b): links between ids (first) of distinct wide fingerprints (fp), enough to join all that any joins.
+#: Bands and their minimum hashes: texts with a Jaccard similarity j share a band with a chance of 1 - (1 - j**6)**32,
+#: 0.99994 at 0.8 and more above it.
+BANDS, BAND_ROWS = 32, 6
+_MULTIPLIERS = np.random.default_rng(46).integers(0, 1 << 63, BANDS * BAND_ROWS, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
+_SEEDS = np.random.default_rng(47).integers(0, 1 << 63, BANDS * BAND_ROWS, dtype=np.uint64)
 
-    Segments get wider as rows grow, so buckets stay small. Up to half a million rows 21 segments of 12 bits are
-    looked up as they are; beyond, 14 of 18 bits with a ball of one bit around each. Texts with a share 0.8 of
-    equal shingles differ in 0.15 of the bits and meet in some segment in 96 or 97 of 100 cases.
-    """
-    width, radius = (12, 0) if reps.count() < 1 << 19 else (18, 1)
-    masks = [0] + [1 << b for b in range(width)] * radius
 
-    def keyed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
-            for at in range(0, b.num_rows, 1000):
-                part = b.slice(at, 1000)
-                bits = np.unpackbits(np.frombuffer(b"".join(part.column(1).to_pylist()), dtype=np.uint8).reshape(-1, 32), axis=1)
-                weights = 1 << np.arange(width, dtype=np.int64)
-                values = [bits[:, i * width : (i + 1) * width] @ weights for i in range(256 // width)]
-                n = part.num_rows
-                for m in masks:
-                    seg = np.repeat(np.arange(len(values), dtype=np.int32), n)
-                    key = np.concatenate(values) ^ m
-                    take = np.tile(np.arange(n), len(values))
-                    yield pa.RecordBatch.from_arrays([pa.array(seg), pa.array(key), part.column(0).take(pa.array(take)), part.column(1).take(pa.array(take))], ["seg", "value", "first", "fp"])
+def shingle_set(text: str | None, shingle: int = 5) -> np.ndarray:
+    """Sorted 64-bit hashes of a text's distinct word shingles; a shorter text is one shingle, one without words none."""
+    words = (text or "").encode().translate(LOWER).split()
+    if not words:
+        return np.zeros(0, dtype=np.uint64)
+    grams = map(b" ".join, zip(*(words[i:] for i in range(shingle)), strict=False)) if len(words) >= shingle else [b" ".join(words)]
+    return np.unique(np.fromiter((xxhash.xxh3_64_intdigest(g, 5) for g in grams), dtype=np.uint64))
 
-    def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        key, ids, fps, out = None, [], [], []
 
-        def close() -> None:
-            if len(ids) > 1:
-                own, at = np.unique(np.array(ids, dtype=np.int64), return_index=True)
-                words = np.frombuffer(b"".join(fps), dtype=np.uint64).reshape(-1, 4)[at]
-                out.extend(tree_links(own, words, distance))
+def band_keys(own: np.ndarray) -> np.ndarray:
+    """One key per band, of the set's minimum hashes in it."""
+    least = np.full(BANDS * BAND_ROWS, np.iinfo(np.uint64).max, dtype=np.uint64)
+    for i in range(0, len(own), 1 << 12):
+        h = (own[i : i + (1 << 12), None] ^ _SEEDS) * _MULTIPLIERS
+        h ^= h >> np.uint64(32)
+        h *= np.uint64(0x9E3779B97F4A7C15)
+        least = np.minimum(least, h.min(axis=0))
+    return np.array([xxhash.xxh3_64_intdigest(row.tobytes(), i) for i, row in enumerate(least.reshape(BANDS, BAND_ROWS))], dtype=np.uint64)
 
-        def sent() -> pa.RecordBatch:
-            ab = np.array(out, dtype=np.int64).reshape(-1, 2)
-            out.clear()
-            return pa.RecordBatch.from_arrays([pa.array(ab.min(axis=1)), pa.array(ab.max(axis=1))], ["a", "b"])
 
-        for b in batches:
-            for seg, value, first, fp in zip(*(b.column(c).to_pylist() for c in range(4)), strict=True):
-                if (seg, value) != key:
-                    close()
-                    key, ids, fps = (seg, value), [], []
-                ids.append(first)
-                fps.append(fp)
-            yield sent()
-        close()
-        yield sent()
+def similar(a: np.ndarray, b: np.ndarray) -> bool:
+    """Whether the Jaccard similarity of two sets is 0.8 or more."""
+    both = len(np.intersect1d(a, b, assume_unique=True))
+    return 9 * both >= 4 * (len(a) + len(b))
 
-    rows = reps.select("first", "fp").mapInArrow(keyed, "seg int, value long, first long, fp binary")
-    return rows.repartition("seg", "value").sortWithinPartitions("seg", "value").mapInArrow(work, "a long, b long").distinct()
 
+def similar_groups(sets: list[np.ndarray]) -> np.ndarray:
+    """The group of each set: sets are in one if links between similar ones join them.
 
-def by_row(docs: DataFrame) -> DataFrame:
-    """``docs`` with _none, _id and _mark, which are equal only in rows with equal ids (or none) and equal texts."""
-    key = F.col("doc_id").cast("long")
-    return docs.withColumns({"_none": key.isNull(), "_id": F.coalesce(key, F.lit(0).cast("long")), "_mark": F.xxhash64("text")})
+    All such links are found: similar sets share an element among the first of each, in one order, up to a fifth.
+    Elements are in order of their number of sets, so shared passages come last. Pairs in one group already are not compared.
+    """
+    order = np.array(sorted(range(len(sets)), key=lambda i: len(sets[i])), dtype=np.int64)
+    sizes = np.array([len(sets[i]) for i in order], dtype=np.int64)
+    _, code, count = np.unique(np.concatenate([sets[i] for i in order]), return_inverse=True, return_counts=True)
+    rank = np.empty(len(count), dtype=np.int64)
+    rank[np.argsort(count, kind="stable")] = np.arange(len(count))
+    ends = np.cumsum(sizes)
+    first = [np.sort(rank[code[e - n : e]])[: n - (4 * n + 4) // 5 + 1] for e, n in zip(ends, sizes, strict=True)]
+    entry, owner = np.concatenate(first), np.repeat(np.arange(len(order)), [len(f) for f in first])
+    by = np.lexsort((owner, entry))
+    entry, owner = entry[by], owner[by]
+    group = np.arange(len(order))
+    for x, own in enumerate(first):
+        lo, hi = np.searchsorted(entry, own), np.searchsorted(entry, own, side="right")
+        some = [o[: np.searchsorted(o, x)] for o in (owner[i:j] for i, j in zip(lo, hi, strict=True)) if o[0] < x]
+        if not some:
+            continue
+        cand = np.unique(np.concatenate(some))
+        cand = cand[5 * sizes[cand] >= 4 * sizes[x]][::-1]
+        while len(cand := cand[group[cand] != group[x]]):
+            if similar(sets[order[x]], sets[order[cand[0]]]):
+                a, b = sorted((group[x], group[cand[0]]))
+                group[group == b] = a
+            cand = cand[1:]
+    out = np.empty(len(order), dtype=np.int64)
+    out[order] = group
+    return out
 
 
-def one_of_each(docs: DataFrame, distance: int = WIDE_DISTANCE, shingle: int = 5) -> DataFrame:
-    """``docs`` with one document of each group of near duplicates, that with the smallest id.
+def one_of_each(docs: DataFrame, shingle: int = 5) -> DataFrame:
+    """``docs`` with one document of each group of near duplicates, that with the smallest id; null ids come last.
 
-    Texts are compared by wide fingerprints of five-word shingles, each text of its own: different texts under one id
-    are different documents, and so are those without an id. Rows with null ids stay only if no row with an
-    id has their fingerprint, one for each; other columns stay as they are.
+    Near duplicates are texts whose sets of five-word shingles have a Jaccard similarity of 0.8 or more, and those
+    that such texts join. Candidates share a band of minimum hashes, with the same bands at every size; those that
+    candidates join meet in one task, which compares their sets exactly. Different texts under one id are different
+    documents, and so are those without an id. Texts without words are one; other columns stay as they are.
     """
     row = ["_none", "_id", "_mark"]
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            fp = pa.array([wide_fingerprint(t.as_py(), shingle) for t in b.column(3)], pa.binary())
-            yield pa.RecordBatch.from_arrays([*(b.column(i) for i in range(3)), fp], [*row, "fp"])
+            sets = [shingle_set(t.as_py(), shingle) for t in b.column(3)]
+            digests = pa.array([xxhash.xxh3_128_digest(s.tobytes()) for s in sets], pa.binary())
+            bands = pa.array([band_keys(s).view(np.int64) if len(s) else [] for s in sets], pa.list_(pa.int64()))
+            yield pa.RecordBatch.from_arrays([*(b.column(i) for i in range(3)), digests, bands], [*row, "fp", "bands"])
+
+    def starred(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        """Rows come sorted by band and node; each is linked to its band's first."""
+        key = first = None
+        for b in batches:
+            band, node = b.column(0).to_numpy(), b.column(1).to_numpy()
+            if not len(band):
+                continue
+            start = np.concatenate([[band[0] != key], band[1:] != band[:-1]])
+            at = np.maximum.accumulate(np.where(start, np.arange(len(band)), -1))
+            to = np.where(at >= 0, node[at], first if first is not None else 0)
+            key, first = band[-1], to[-1]
+            apart = to != node
+            yield pa.RecordBatch.from_arrays([pa.array(to[apart]), pa.array(node[apart])], ["a", "b"])
+
+    def solved(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        """Rows (root, _none, _id, _mark, text) come sorted by root; those that a row before them replaces."""
+        key, held = None, []
+
+        def lost() -> pa.RecordBatch:
+            rows = sorted(held, key=lambda r: r[:3])
+            group = similar_groups([r[3] for r in rows]) if len(rows) > 1 else np.arange(len(rows))
+            first = set(np.unique(group, return_index=True)[1].tolist())
+            gone = [r[:3] for i, r in enumerate(rows) if i not in first]
+            held.clear()
+            return pa.RecordBatch.from_arrays([pa.array([g[i] for g in gone], t) for i, t in enumerate((pa.bool_(), pa.int64(), pa.int64()))], row)
+
+        for b in batches:
+            for root, *own, text in zip(*(c.to_pylist() for c in b.columns), strict=True):
+                if root != key:
+                    yield lost()
+                    key = root
+                held.append((*own, shingle_set(text, shingle)))
+        yield lost()
 
     marked = by_row(docs)
-    fps = marked.select(*row, "text").mapInArrow(work, "_none boolean, _id long, _mark long, fp binary")
-    least = fps.groupBy("fp").agg(F.min(F.struct(*row)).alias("r")).select("fp", "r.*")
-    reps = written(least.withColumn("first", F.xxhash64("fp")), "fingerprints")
-    found = components(wide_links(reps.where("NOT _none"), distance))
-    named = reps.join(found.select(F.col("node").alias("first"), "root"), "first", "left")
-    ids = named.where("root IS NOT NULL").groupBy("root").agg(F.min(F.struct(*row)).alias("r")).select("r.*")
-    keep = named.where("root IS NULL").select(*row).unionByName(ids)
+    fps = marked.select(*row, "text").mapInArrow(work, "_none boolean, _id long, _mark long, fp binary, bands array<long>")
+    least = fps.groupBy("fp").agg(F.min(F.struct(*row)).alias("r"), F.first("bands").alias("bands")).select(F.xxhash64("fp").alias("node"), "r.*", "bands")
+    reps = written(least, "fingerprints")
+    keyed = reps.select(F.explode("bands").alias("band"), "node")
+    links = keyed.repartition("band").sortWithinPartitions("band", "node").mapInArrow(starred, "a long, b long").distinct()
+    met = written(reps.join(components(links), "node").select("root", *row), "candidates")
+    texts = marked.select(*row, "text").join(maybe_broadcast(met), row).dropDuplicates(["root", *row]).select("root", *row, "text")
+    gone = written(texts.repartition("root").sortWithinPartitions("root").mapInArrow(solved, "_none boolean, _id long, _mark long"), "replaced")
+    keep = reps.select(*row).join(gone, row, "left_anti")
     return marked.join(keep, row, "left_semi").dropDuplicates(row).drop(*row)

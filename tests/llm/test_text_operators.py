@@ -135,6 +135,34 @@ def test_near_copies_go(spark):
     assert {10 * i for i in range(60)} <= kept and len(kept) <= 64
 
 
+def test_near_copies_against_all_pairs(spark):
+    rng = np.random.default_rng(8)
+    rows = []
+    for i in range(150):  # similarities of 0.7 to 0.9, some at 0.8; sets of 12 to 400 shingles
+        n = int(rng.integers(12, 400))
+        words = [f"v{x}" for x in rng.integers(0, 50_000, n + 4)]
+        more = round(n / int(rng.integers(3, 8)))
+        rows += [(10 * i + 1, " ".join(words)), (10 * i, " ".join(words + [f"u{x}" for x in rng.integers(0, 50_000, more)]))]
+    for i in range(40):  # 80 equal shingles of 100, of 90 each and of 101 in all
+        words = [f"x{i}y{x}" for x in range(104)]
+        rows += [(5000 + 10 * i, " ".join(words)), (5001 + 10 * i, " ".join(words[:84]))]
+        rows += [(6000 + 10 * i, " ".join("q" + w for w in words)), (6001 + 10 * i, " ".join("q" + w for w in words[:83]))]
+    sets = {d: {tuple(w[i : i + 5]) for i in range(len(w) - 4)} for d, w in ((d, t.split()) for d, t in rows)}
+    root = {d: d for d in sets}
+    ids = sorted(sets)
+    by = defaultdict(set)
+    for d, s in sets.items():
+        for x in s:
+            by[x].add(d)
+    for a, b in {(a, b) for v in by.values() for a in v for b in v if a < b}:
+        if 5 * len(sets[a] & sets[b]) >= 4 * len(sets[a] | sets[b]):
+            low, high = sorted((root[a], root[b]))
+            root = {d: low if r == high else r for d, r in root.items()}
+    want = {d for d in ids if root[d] == d}
+    got = {r.doc_id for r in simhash.one_of_each(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    assert got == want and all(5001 + 10 * i not in got and 6001 + 10 * i in got for i in range(40))
+
+
 def test_different_texts_stay_under_one_id_and_none(spark):
     text = lambda i: " ".join(f"t{i}w{j}" for j in range(30))
     rows = [(None, text(i)) for i in range(5)] + [(4, text(i)) for i in range(5, 9)] + [(4, text(5)), (None, text(1)), (9, text(6)), (3, text(7)), (None, text(8))]
