@@ -43,7 +43,7 @@ SETS = {
 }
 DIMS = {"ord2": 2, "evt2": 2, "line3": 3, "line5": 5, "dup2": 2, "ol7": 7, "cust2": 2, "supp2": 2, "part2": 2, "emb5": 5, "emb7": 7, "emb10": 10, "emb16": 16, "evt5": 5, "evt7": 7}
 #: The stated query set: ids divisible by this.
-STEP = {"ord2": 20, "evt2": 20, "line3": 300, "line5": 300, "ol7": 300, "dup2": 3000, "evt5": 50, "evt7": 50}
+STEP = {"ord2": 20, "evt2": 20, "line3": 100, "line5": 100, "ol7": 100, "dup2": 100, "evt5": 50, "evt7": 50}
 
 
 def points_sql(name: str) -> str:

@@ -7,9 +7,11 @@ import pytest
 from kdforest.operators import tree as kd
 from kdforest.operators.baselines import FixedCells, RebuildAll, brute_knn
 from kdforest.operators.forest import LogForest
+from kdforest.queries import QUERIES
 from kdforest.shared import local_table
-from kdforest.sources.pointsets import points_from
+from kdforest.sources.pointsets import point_set, points_from
 
+SF = "/root/testdata/sf0.001"
 SCHEMA = "point_id long, c0 double, c1 double, seq long"
 
 
@@ -78,7 +80,7 @@ def test_search_and_metrics(spark, metric):
 
 
 def test_bad_coordinates(spark):
-    from kdforest.sources.pointsets import points_from
+    from kdforest.sources.pointsets import point_set, points_from
 
     rows = local_table(spark, [(1, 0.5), (2, None), (3, float("nan"))], "id long, x double")
     assert points_from(rows, "id", ["x"], bad="drop").count() == 1
@@ -100,3 +102,13 @@ def test_sixteen_dimensions_from_expressions(spark):
         best = sorted((sum((a - b) ** 2 for a, b in zip(at[q], at[p], strict=True)), p) for p in at)[:4]
         want += [(q, n, p, d) for n, (d, p) in enumerate(best, 1)]
     assert len(f.cells) > 1 and got == sorted(want)
+
+
+@pytest.mark.parametrize("name", ["line3", "line5", "ol7", "dup2"])
+def test_every_hundredth_row_is_asked(spark, name):
+    points, d = point_set(spark, SF, name)
+    stated = kd.as_queries(points.where("point_id % 100 = 0"), d)
+    got = QUERIES[f"tree_knn_{name}"](spark, SF).collect()
+    assert {r.query_id for r in got} == {r.query_id for r in stated.select("query_id").collect()}
+    want = brute_knn(stated, points, d, 5).collect()
+    assert sorted((r.query_id, r.rank, r.point_id) for r in got) == sorted((r.query_id, r.rank, r.point_id) for r in want)
