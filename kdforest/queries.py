@@ -538,13 +538,13 @@ def _stream_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 @query("stream_session_points")
 def _stream_sessions(spark: SparkSession, sf_dir: str) -> DataFrame:
     stream = updates.event_stream(spark, sf_dir).withColumn("at", F.col("ts").cast("timestamp"))
-    return updates.to_table(updates.sessions(stream, "at", "user_id", "2 hours", "1 hour"), "sessions")
+    return updates.whole_table(updates.sessions(stream, "at", "user_id", "2 hours", "1 hour"), "sessions")
 
 
 @query("stream_window_extents")
 def _stream_windows(spark: SparkSession, sf_dir: str) -> DataFrame:
     stream = updates.event_stream(spark, sf_dir).withColumn("at", F.col("ts").cast("timestamp"))
-    return updates.to_table(updates.window_extents(stream, "at", "1 day", "12 hours", "1 hour", "value"), "extents")
+    return updates.whole_table(updates.window_extents(stream, "at", "1 day", "12 hours", "1 hour", "value"), "extents")
 
 
 def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:

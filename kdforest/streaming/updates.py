@@ -31,6 +31,24 @@ def to_table(stream: DataFrame, name: str, mode: str = "append") -> DataFrame:
     return spark.read.schema(stream.schema).parquet(path)
 
 
+def whole_table(stream: DataFrame, name: str) -> DataFrame:
+    """A grouped stream's last values for the rows there are now, as a table in the shared folder.
+
+    All groups are written anew after each micro-batch, so those that the watermark has not passed are there too.
+    Groups are kept as state until the end, and no row is too late.
+    """
+    spark = stream.sparkSession
+    path, last = scratch_path(spark, name), []
+
+    def work(batch: DataFrame, batch_id: int) -> None:
+        batch.write.mode("overwrite").parquet(f"{path}/{batch_id}")
+        last[:] = [batch_id]
+
+    q = stream.writeStream.outputMode("complete").foreachBatch(work).option("checkpointLocation", scratch_path(spark, f"{name}-state")).trigger(availableNow=True).start()
+    q.awaitTermination()
+    return spark.read.schema(stream.schema).parquet(f"{path}/{last[0]}") if last else spark.createDataFrame([], stream.schema)
+
+
 def apply_changes(index, points_of: Callable[[DataFrame], DataFrame], deleted_of: Callable[[DataFrame], DataFrame]) -> Callable[[DataFrame, int], None]:
     """A micro-batch as two one-kind batches, inserts first; its id makes a retry do nothing."""
 
@@ -48,7 +66,7 @@ def deduplicated(stream: DataFrame, key: list[str], time: str, delay: str) -> Da
 
 
 def window_extents(stream: DataFrame, time: str, width: str, slide: str | None, delay: str, value: str) -> DataFrame:
-    """Count and extent of ``value`` in tumbling or sliding windows; rows later than ``delay`` are dropped."""
+    """Count and extent of ``value`` in tumbling or sliding windows; in append mode rows later than ``delay`` are dropped."""
     w = F.window(time, width, slide) if slide else F.window(time, width)
     return stream.withWatermark(time, delay).groupBy(w.alias("w")).agg(F.count("*").alias("n"), F.min(value).alias("lo"), F.max(value).alias("hi")).select(F.col("w.start").alias("start"), "n", "lo", "hi")
 

@@ -112,3 +112,26 @@ def test_every_hundredth_row_is_asked(spark, name):
     assert {r.query_id for r in got} == {r.query_id for r in stated.select("query_id").collect()}
     want = brute_knn(stated, points, d, 5).collect()
     assert sorted((r.query_id, r.rank, r.point_id) for r in got) == sorted((r.query_id, r.rank, r.point_id) for r in want)
+
+
+def test_streams_against_the_whole_table(spark):
+    events = spark.read.parquet(f"{SF}/events.parquet").selectExpr("*", "cast(ts as timestamp) as at").collect()
+    times, want = {}, {}
+    for r in events:
+        times.setdefault(r.user_id, []).append(r.at.timestamp())
+        for back in (0, 1):
+            start = (r.at.timestamp() // 43200 - back) * 43200
+            want.setdefault(start, []).append(r.value)
+    sessions = []
+    for user, at in times.items():
+        start = last = None
+        for t in sorted(at):
+            if last is None or t >= last + 7200:
+                sessions.append([user, t, 0])
+            sessions[-1][2] += 1
+            last = t
+    got = QUERIES["stream_session_points"](spark, SF).collect()
+    assert sorted((r.user_id, r.start.timestamp(), r.n) for r in got) == sorted(map(tuple, sessions))
+    assert sum(r.n for r in got) == len(events)
+    got = QUERIES["stream_window_extents"](spark, SF).collect()
+    assert sorted((r.start.timestamp(), r.n, r.lo, r.hi) for r in got) == sorted((s, len(v), min(v), max(v)) for s, v in want.items())
