@@ -228,21 +228,20 @@ class LogForest:
 
         Schedules: "tree_serial" takes the trees one after another (largest first, or last with order "asc") and hands each
         query's bound on, the small ones together; "all_parallel" searches all trees at once, each with a bound of
-        its own; "query_outer" runs one search per query over all trees' rows, for small forests.
+        its own; "query_outer" takes each query through all trees together: its home cells in all of them give one bound, which
+        prunes every tree's cells. That is done for all queries at once, without a limit to their number.
         """
         s = self.state
         queries = queries.select("query_id", *coords(self.d, "q"), F.lit(None).cast("double").alias("r2"))
         trees = sorted(s.slots, reverse=order == "desc")
         trees = ([*trees, -1] if order == "desc" else [-1, *trees]) if s.buffer is not None else trees
-        if schedule == "query_outer":
-            from kdforest.operators.baselines import brute_knn
-
-            return brute_knn(queries, self.live(), self.d, k, metric, exclude_self)
         if not trees:
             return queries.select("query_id", F.lit(1).alias("rank"), F.col("query_id").alias("point_id"), F.lit(0.0).alias("d2")).where("false")
         if schedule == "all_parallel":
             found = kd.search(queries, self._as_forest(s, trees), k, metric, exclude_self=exclude_self, tombs=s.tombs, shared_bound=False)
             return kd.ranked(found, k)
+        if schedule == "query_outer":
+            return kd.ranked(kd.search(queries, self._as_forest(s, trees), k, metric, exclude_self=exclude_self, tombs=s.tombs), k)
         if schedule != "tree_serial":
             raise ValueError(f"no such schedule: {schedule}")
         total = sum(s.slots[i].live for i in s.slots) + s.buffered

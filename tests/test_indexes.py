@@ -135,3 +135,16 @@ def test_streams_against_the_whole_table(spark):
     assert sum(r.n for r in got) == len(events)
     got = QUERIES["stream_window_extents"](spark, SF).collect()
     assert sorted((r.start.timestamp(), r.n, r.lo, r.hi) for r in got) == sorted((s, len(v), min(v), max(v)) for s, v in want.items())
+
+
+def test_query_outer_takes_many_queries_through_trees(spark, monkeypatch):
+    monkeypatch.setattr("kdforest.operators.baselines.BROADCAST_ROWS", 10)
+    rng = random.Random(6)
+    rows = [(i, rng.randrange(20), rng.randrange(20)) for i in range(150)]
+    index = LogForest(spark, 2, 16, cap=24)
+    index.insert(made(spark, rows[:120]))
+    index.insert(made(spark, rows[120:]))
+    index.delete(made(spark, rows[10:20]))
+    queries = [(1000 + i, rng.random() * 20, rng.random() * 20) for i in range(25)]
+    got = index.knn(kd.as_queries(made(spark, queries), 2), 4, "query_outer")
+    assert sorted(map(tuple, got.collect())) == nearest(rows[:10] + rows[20:], queries, 4)
