@@ -25,11 +25,19 @@ RAW = {"script", "style", "noscript", "template", "textarea", "iframe", "svg", "
 INLINE = {"a", "abbr", "acronym", "b", "bdi", "bdo", "big", "br", "cite", "code", "data", "del", "dfn", "em", "font", "i", "img", "ins", "kbd", "label", "mark", "q", "rp", "rt", "ruby", "s", "samp", "small", "span", "strike", "strong", "sub", "sup", "time", "tt", "u", "var", "wbr"}
 VOID = {"area", "base", "br", "col", "embed", "hr", "img", "input", "link", "meta", "param", "source", "track", "wbr"}
 #: Elements and words in class, id and role that mark parts around an article.
-AROUND = {"nav", "footer", "aside", "form", "header", "menu", "dialog", "button", "fieldset", "figcaption", "address"}
+AROUND = {"nav", "footer", "aside", "form", "header", "menu", "dialog", "button", "fieldset"}
 AROUND_WORDS = re.compile(
     r"(?:^|[\s_-])(?:ad|ads|advert\w*|adsense|banner|sponsor\w*|promo\w*|nav|navbar|navigation|menu|breadcrumbs?|header|masthead|footer|foot|copyright|sidebar|side|aside|widget|related|recommend\w*|share|sharing|social|cookies?|consent|gdpr|notice|alert|popup|modal|overlay|"
     r"newsletter|subscribe|subscription|signup|login|form|search|comments?|comment-list|reply|replies|respond|disqus|reader-comments|user-comments|pagination|pager|tags|toolbar|complementary|contentinfo|dialog)(?=$|[\s_-])"
 )
+#: Layout of a whole page, not a part of it.
+LAYOUT_WORDS = re.compile(r"(?:^|(?<=\s))(?:with|has|no)-\S+")
+#: Parts whose articles are comments, teasers or the like and not the page's own.
+NEVER = {"nav", "footer", "aside", "menu", "dialog"}
+NEVER_WORDS = re.compile(
+    r"(?:^|\s)(?:ads?|adverts?|advertisement|sponsored|promo|nav|navigation|menu|footer|sidebar|aside|widget|popup|modal|overlay|pagination|complementary|contentinfo|dialog|"
+    r"(?:comments?|reply|replies|respond|disqus|reader-comments|user-comments|related|recommend\w*|teasers?)(?:-\S*)?)(?=$|\s)"
+)
 ARTICLE_WORDS = re.compile(r"(?:^|[\s_-])(?:article|articlebody|post|entry|story|content|main|body|text)(?=$|[\s_-])")
 TOKEN = re.compile(r"<!--.*?(?:-->|\Z)|<!\[CDATA\[(.*?)\]\]>|<(/?)([a-zA-Z][^\s/>]*)((?:\"[^\"]*\"|'[^']*'|[^'\">])*)>|<[!?][^>]*>", re.S)
 ATTRIBUTE = re.compile(r"""(?:^|\s)(class|id|role|hidden|aria-hidden|style)\b(?:\s*=\s*("[^"]*"|'[^']*'|[^\s"'>]+))?""", re.I)
@@ -51,6 +59,7 @@ class _Open:
     name: str
     around: int
     article: int
+    never: bool = False
 
 
 @dataclass
@@ -84,8 +93,8 @@ class Scanner:
             self.text(" ")
             return
         hint = {k.lower(): v.strip("\"'").lower() for k, v in ATTRIBUTE.findall(attrs)} if attrs else {}
-        named = " ".join(hint.get(k, "") for k in ("class", "id", "role"))
-        hidden = "hidden" in hint or hint.get("aria-hidden") == "true" or "display:none" in hint.get("style", "").replace(" ", "")
+        named = LAYOUT_WORDS.sub("", " ".join(hint.get(k, "") for k in ("class", "id", "role")))
+        hidden = name not in ("html", "body") and ("hidden" in hint or hint.get("aria-hidden") == "true" or "display:none" in hint.get("style", "").replace(" ", ""))
         top = self.stack[-1] if self.stack else _Open("", 0, 0)
         if name in INLINE and not named and not hidden:
             return
@@ -105,8 +114,10 @@ class Scanner:
         article = top.article or name in ("article", "main") or bool(ARTICLE_WORDS.search(named))
         inside = name in ("article", "main") or "articlebody" in named
         heading_part = name == "header" and top.article  # an article's own heading
-        around = int(not inside and (top.around or hidden or name in AROUND and not heading_part or bool(AROUND_WORDS.search(named)) and name not in ("html", "body")))
-        self.stack.append(_Open(name, around or int(top.around and inside and top.name not in ("html", "body")), int(article)))
+        part = name not in ("html", "body") and not inside
+        never = top.never or hidden or part and not heading_part and (name in NEVER or bool(NEVER_WORDS.search(named)))
+        around = int(never or part and (top.around or name in AROUND and not heading_part or bool(AROUND_WORDS.search(named))))
+        self.stack.append(_Open(name, around, int(article), never))
 
     def end(self, name: str) -> None:
         if name == "a":

@@ -347,6 +347,16 @@ def test_html(spark):
     assert html_text.main_text(page) == "T <x\nOne two three.\nEnd."
 
 
+def test_html_keeps_all_of_an_article():
+    page = "<article><h1>Title</h1><p>One two.</p><figure><img src=x><figcaption>A caption here.</figcaption></figure><address>Written at home</address><p>End.</p></article>"
+    whole = "Title\nOne two.\nA caption here.\nWritten at home\nEnd."
+    assert html_text.main_text(page) == whole
+    for named in ("content-sidebar-wrap", "layout with-sidebar", "page header-fixed"):
+        assert html_text.main_text(f"<body><div class='{named}'><nav>menu</nav>{page}<aside>side</aside></div><footer>f</footer></body>") == whole
+    for part in ("<aside>{}</aside>", "<div class=related-posts>{}</div>", "<div id=comments>{}</div>", "<section class='teaser box'>{}</section>", "<div hidden>{}</div>"):
+        assert html_text.main_text(page + part.format("<article><h2>Other</h2><p>text of another one</p></article>")) == whole
+
+
 def test_quality(spark, docs, odd):
     labels = spark.read.parquet(f"{SF}/labels.parquet")
     model = quality.trained(docs, labels.where(~quality.held_out()))
