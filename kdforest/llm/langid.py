@@ -29,6 +29,8 @@ MOST_TRIGRAMS = 60
 OTHER = -math.log(BUCKETS) - 0.5
 #: Chance that a declared language is right, and pseudo-counts of the parent prior.
 DECLARED_RIGHT, SMOOTHING = 0.9, 20.0
+#: Largest share of a language's likelihood spread over all trigrams: with it one never seen is less likely than in no known language.
+MOST_SPREAD = 0.5
 SALTS = 64
 _TAGS = re.compile(r"<!--.*?-->|<(script|style|head)\b.*?</\1\s*>|<[^>]*>", re.S | re.I)
 _LETTER = np.array([chr(i).isalpha() for i in range(0x3000)])
@@ -64,6 +66,13 @@ class Likelihood:
         return [m * min(len(g), MOST_TRIGRAMS) for m in mean], len(g)
 
 
+def smoothed(counts: np.ndarray, floor: float = 0.5) -> np.ndarray:
+    """Log likelihoods from ``counts`` with ``floor`` added to each, but at most ``MOST_SPREAD`` of the whole."""
+    n = max(1, int(counts.sum()))
+    spread = min(floor * BUCKETS / (n + floor * BUCKETS), MOST_SPREAD)
+    return np.log((1 - spread) * counts / n + spread / BUCKETS)
+
+
 def trained(docs: DataFrame, rows: int = FIT_ROWS, most_languages: int = 200, floor: float = 0.5) -> Likelihood:
     """Fit on about ``rows`` labelled documents (doc_id, text, lang); rows without a label don't count."""
     some = hash_sample(docs.where("lang IS NOT NULL AND lang <> '' AND doc_id IS NOT NULL").select("doc_id", "text", "lang"), "doc_id", rows)
@@ -80,8 +89,7 @@ def trained(docs: DataFrame, rows: int = FIT_ROWS, most_languages: int = 200, fl
     for r in some.select("text", "lang").repartition(8).mapInArrow(work, "lang string, n binary").toLocalIterator():
         total[r.lang] = total.get(r.lang, 0) + np.frombuffer(r.n, dtype=np.int64)
     kept = sorted(sorted(total, key=lambda k: -total[k].sum())[:most_languages])
-    log = np.array([np.log((total[k] + floor) / (total[k].sum() + floor * BUCKETS)) for k in kept]).reshape(-1, BUCKETS)
-    return Likelihood(kept, log)
+    return Likelihood(kept, np.array([smoothed(total[k], floor) for k in kept]).reshape(-1, BUCKETS))
 
 
 def visible(page: str | None) -> str:
@@ -108,7 +116,7 @@ def _guess(ll: Column, n: int) -> Column:
 
 
 def host_priors(marked: DataFrame, n: int, smoothing: float = SMOOTHING) -> DataFrame:
-    """(host, suffix, prior): log priors of the ``n`` languages from grouped counts of text-only guesses."""
+    """(host, suffix, prior): log priors of the ``n`` classes from grouped counts of text-only guesses."""
     known = marked.where("trigrams > 0").select("host", "suffix", _guess(F.col("ll"), n).alias("g"))
     tally = [F.sum(F.when(F.col("g") == i + 1, 1.0).otherwise(0.0)).alias(f"n{i}") for i in range(n)]
     hosts = written(known.groupBy("host", "suffix").agg(*tally), "hosts")
@@ -127,13 +135,13 @@ def host_priors(marked: DataFrame, n: int, smoothing: float = SMOOTHING) -> Data
 def fused(marked: DataFrame, model: Likelihood) -> DataFrame:
     """``marked`` (host, suffix, declared, ll, trigrams and others) with language, confidence and accepted.
 
-    language is "und" if there are no letters or no known language explains them better than none does; accepted
-    says that it isn't. Hosts of a third of all rows are dealt out by a salt unless the priors are few.
+    language is "und" if there are no letters or no known language has the largest posterior; accepted says that
+    it isn't. Hosts of a third of all rows are dealt out by a salt unless the priors are few.
     """
     n = len(model.languages)
     if not n:
         return marked.select("*", F.lit("und").alias("language"), F.lit(0.0).alias("confidence"), F.lit(False).alias("accepted"))
-    priors = host_priors(marked, n)
+    priors = host_priors(marked, n + 1)
     few = priors.count() <= 20_000
     if few:
         joined = marked.join(F.broadcast(priors), ["host", "suffix"], "left")
@@ -145,14 +153,18 @@ def fused(marked: DataFrame, model: Likelihood) -> DataFrame:
     right, wrong = math.log(DECLARED_RIGHT), math.log((1 - DECLARED_RIGHT) / max(1, n - 1))
     claim = F.substring(F.lower(F.coalesce("declared", F.lit(""))), 1, 2)
     known = F.array_contains(names, claim)
-    said = F.transform(names, lambda x: F.when(~known, F.lit(0.0)).when(x == claim, F.lit(right)).otherwise(F.lit(wrong)))
-    prior = F.coalesce("prior", F.array(*[F.lit(-math.log(n))] * n))
-    score = F.zip_with(F.zip_with(F.slice("ll", 1, n), prior, lambda a, b: a + b), said, lambda a, b: a + b)
+    said = F.concat(
+        F.transform(names, lambda x: F.when(~known, F.lit(0.0)).when(x == claim, F.lit(right)).otherwise(F.lit(wrong))),
+        F.array(F.when(known, F.lit(-math.log(n))).otherwise(F.lit(0.0))),
+    )
+    prior = F.coalesce("prior", F.array(*[F.lit(-math.log(n + 1))] * (n + 1)))
+    score = F.zip_with(F.zip_with("ll", prior, lambda a, b: a + b), said, lambda a, b: a + b)
     out = joined.withColumn("_score", score).drop("prior")
     top = F.array_max("_score")
     mass = F.aggregate("_score", F.lit(0.0), lambda acc, x: acc + F.exp(x - F.array_max("_score")))
-    best = F.get(names, F.array_position("_score", top).cast("int") - 1)
-    real = (F.col("trigrams") > 0) & (F.array_max(F.slice("ll", 1, n)) > F.get("ll", F.lit(n)))
+    place = F.array_position("_score", top).cast("int")
+    best = F.get(names, place - 1)
+    real = (F.col("trigrams") > 0) & (place <= n)
     return out.select(*marked.columns, F.when(real, best).otherwise("und").alias("language"), F.when(real, 1 / mass).otherwise(0.0).alias("confidence"), F.coalesce(real, F.lit(False)).alias("accepted"))
 
 

@@ -379,6 +379,24 @@ def test_language(spark, docs, odd):
     assert langid.accepted_documents(docs, langid.trained(docs.limit(0))).count() == 0
 
 
+def test_language_is_decided_by_the_posterior(spark):
+    clean, odd, junk = "the clear words of a known tongue", "odd brief note", "zzqx vvkj wqqz xkcd"
+    log = np.full((2, langid.BUCKETS), langid.OTHER - 3)
+    log[1, langid.trigrams(clean)] = -4.0
+    log[1, langid.trigrams(odd)] = langid.OTHER - 0.1  # just below no known language
+    model = langid.Likelihood(["de", "en"], log)
+    rows = [(i, clean, "en", "good") for i in range(60)] + [(i, junk, "", "bad") for i in range(100, 160)] + [(200, odd, "en", "good"), (201, odd, "", "bad"), (202, junk, "en", "good")]
+    kept = {r.doc_id for r in langid.accepted_documents(spark.createDataFrame(rows, "doc_id long, text string, lang string, source string"), model).collect()}
+    assert kept == {*range(60), 200}
+
+
+def test_a_small_language_has_no_high_floor(spark):
+    rows = [(i, f"the usual words of sentence {i} are here", "en") for i in range(50)] + [(99, "una lingua rara", "xx")]
+    model = langid.trained(spark.createDataFrame(rows, "doc_id long, text string, lang string"))
+    assert model.languages == ["en", "xx"] and (model.log.min(axis=1) < langid.OTHER).all()
+    assert np.exp(model.log).sum(axis=1) == pytest.approx(1)
+
+
 @pytest.mark.parametrize("name", ["edit_report", "remove_repeats", "linked", "sharded", "contamination", "pack"])
 def test_empty_tables(spark, docs, name):
     none = docs.limit(0)
