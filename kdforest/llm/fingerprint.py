@@ -4,8 +4,8 @@ A text is the set of its paragraphs, cut further at sentence ends. Each has a 32
 of each of three subtables: the cell holds a signed count, the XOR of digests and the XOR of 16-bit checks. The
 difference of two sketches holds only the digests that one side has; peeling takes a cell with a single digest,
 removes it from its other cells, and goes on. A pair is peeled in a small folded table first, then in the full
-one; where the difference is too large for that, its size is estimated from the signed counts. ``recovered`` goes
-on with larger tables instead, until every digest is known.
+one; pairs that stay hidden are sketched again with a larger table, and what that leaves is compared digest by digest.
+``recovered`` goes on with larger tables until every digest is known.
 """
 
 from __future__ import annotations
@@ -18,6 +18,7 @@ from kdforest.llm.common import table, written
 TABLES = 3
 CELLS = 16  # of a subtable
 FOLDED = 4
+RETRIED = 64  # cells of a subtable for pairs that the fixed ones can't peel
 #: Pieces end with a line or a sentence.
 PIECE_ENDS = r"\n+|(?<=[.!?])[ ]+"
 
@@ -121,16 +122,19 @@ def peeled(cells: Column, size: int, rounds: int = 16) -> Column:
 
 
 def with_likeness(df: DataFrame, name: str, a: str, a_n: str, b: str, b_n: str, cells: int = CELLS) -> DataFrame:
-    """``df`` and column ``name``: 1 less the differing pieces' share of the pieces of both sketches, 0 to 1; 1 for two empty texts."""
+    """``df`` and column ``name``: 1 less the differing pieces' share of the pieces of both sketches, 0 to 1; 1 for two empty texts.
+
+    Null where the difference can't be peeled; the estimate only saves attempts.
+    """
     diff, est, small, full = (f"_{name}_{x}" for x in ("diff", "est", "small", "full"))
     df = df.withColumn(diff, subtracted(F.col(a), F.col(b)))
     df = df.withColumn(est, F.aggregate(diff, F.lit(0).cast("long"), lambda acc, z: acc + z["c"] * z["c"]) / F.lit(float(TABLES)))
     df = df.withColumn(small, F.when(F.col(est) <= TABLES * FOLDED // 2, F.size(peeled(folded(F.col(diff), cells, FOLDED), FOLDED, 6))))
     df = df.withColumn(full, F.when(F.coalesce(small, F.lit(-1)).isin(-1) & (F.col(est) <= TABLES * cells * 3 // 4), F.size(peeled(F.col(diff), cells, 10))))
     small_n, full_n = (F.when(F.col(x) >= 0, F.col(x)) for x in (small, full))  # size of null is -1 in some modes
-    differing = F.coalesce(small_n.cast("double"), full_n.cast("double"), F.col(est))
+    differing = F.coalesce(small_n, full_n).cast("double")
     both = F.col(a_n) + F.col(b_n)
-    value = F.when(both == 0, F.lit(1.0)).otherwise(F.greatest(F.lit(0.0), F.least(F.lit(1.0), 1 - differing / both)))
+    value = F.when(both == 0, F.lit(1.0)).when(differing.isNotNull(), F.greatest(F.lit(0.0), F.least(F.lit(1.0), 1 - differing / both)))
     return df.withColumn(name, value).drop(diff, est, small, full)
 
 
@@ -185,7 +189,17 @@ def edit_report(docs: DataFrame, parts: int | None = None) -> DataFrame:
     follow = F.lead(F.struct("a", "n")).over(down)
     both = pair.select(*by, "a", "b", follow.alias("f")).where(~F.col("extra")).select("*", F.col("f.a").alias("next_a"), F.col("f.n").alias("next_n"))
     out = with_likeness(both, "near_edited", "a", "n", "b", "edited_n")
-    out = with_likeness(out, "near_next", "a", "n", "next_a", "next_n")
+    out = written(with_likeness(out, "near_next", "a", "n", "next_a", "next_n").drop("next_a", "f"), "likeness")
+    hidden = out.select("part", "pos", F.explode(F.array(F.when(F.col("near_edited").isNull(), 0), F.when(F.col("near_next").isNull(), 1))).alias("to")).where("to IS NOT NULL")
+    pair = rows.select("part", "pos", "extra", "own", "other", F.lead("own").over(down).alias("next")).where(~F.col("extra"))
+    sets = pair.select("part", "pos", "own", F.explode(F.array(F.struct(F.lit(0).alias("to"), F.col("other").alias("p")), F.struct(F.lit(1).alias("to"), F.col("next").alias("p")))).alias("s"))
+    sets = sets.select("part", "pos", "s.to", "own", "s.p").join(hidden, ["part", "pos", "to"], "left_semi")
+    sets = sets.select(F.struct("part", "pos", "to").alias("pair"), F.explode(F.array(F.struct(F.lit(1).alias("side"), F.col("own").alias("p")), F.struct(F.lit(-1).alias("side"), F.col("p").alias("p")))).alias("s"))
+    known = differing(sets.select("pair", "s.side", "s.p"), "pair", RETRIED, RETRIED).groupBy("pair").agg(F.count("*").alias("d"))
+    known = known.groupBy("pair.part", "pair.pos").agg(*[F.max(F.when(F.col("pair.to") == i, F.col("d"))).alias(f"d{i}") for i in (0, 1)])
+    out = out.join(known, ["part", "pos"], "left")
+    for name, i, other_n in (("near_edited", 0, "edited_n"), ("near_next", 1, "next_n")):
+        out = out.withColumn(name, F.coalesce(name, 1 - F.coalesce(f"d{i}", F.lit(0)) / (F.col("n") + F.col(other_n))))
     return out.select("doc_id", "n_chars", "edited_sha256", as_text(F.col("a"), F.col("n")).alias("fingerprint"), as_text(F.col("b"), F.col("edited_n")).alias("edited_fingerprint"), "near_edited", "near_next")
 
 
@@ -201,6 +215,11 @@ def recovered(old: DataFrame, new: DataFrame, key: str = "doc_id", cells: int =
         return df.where(F.col(key).isNotNull()).select(F.col(key), F.lit(side).alias("side"), F.explode(pieces(F.coalesce("text", F.lit("")))).alias("piece")).distinct()
 
     sets = slim(old, 1).unionByName(slim(new, -1)).groupBy(key, "side").agg(F.collect_list("piece").alias("p"))
+    return differing(sets, key, cells, most)
+
+
+def differing(sets: DataFrame, key: str, cells: int, most: int) -> DataFrame:
+    """(key, digest, side): what ``recovered`` gives, of sets (key, side, p) of pieces."""
     left, found = written(sets, "versions"), []
     while True:
         one = sketched(left, [key, "side"], "p", cells)

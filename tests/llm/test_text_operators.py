@@ -252,6 +252,19 @@ def test_likeness_against_sets(spark, docs):
     assert exact
 
 
+def test_likeness_is_exact_for_large_differences(spark):
+    sizes = [3, 40, 90, 300, 60, 200]
+    rows = [(i, "\n".join(f"line {j if j % 3 else (i, j)}" for j in range(n))) for i, n in enumerate(sizes)]
+    cut = lambda t: {x for x in re.split(r"\n+|(?<=[.!?])[ ]+", t) if x}
+    got = {r.doc_id: r for r in fingerprint.edit_report(spark.createDataFrame(rows, "doc_id long, text string"), parts=2).collect()}
+    for i, text in rows:
+        other = rows[i - 1][1]  # the next by descending id, the last one's is the first
+        third = len(text) // 3
+        edited = text[: len(text) - third] + other[:third]
+        for near, b in ((got[i].near_next, cut(other)), (got[i].near_edited, cut(edited))):
+            assert near == pytest.approx(1 - len(cut(text) ^ b) / (len(cut(text)) + len(b)), abs=1e-9)
+
+
 def test_recovered_digests(spark):
     old = spark.createDataFrame([(1, "a.\nb.\nc."), (2, "\n".join(f"line {i}" for i in range(300))), (3, "same")], "doc_id long, text string")
     new = spark.createDataFrame([(1, "a.\nx.\nc."), (2, "\n".join(f"other {i}" for i in range(280))), (3, "same"), (4, "new one")], "doc_id long, text string")
