@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from functools import reduce
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -31,7 +33,7 @@ class _Index:
             return local_table(self.spark, [], "point_id long, " + ", ".join(f"{c} double" for c in coords(self.d)) + ", seq long")
         points = self.forest.points
         if self.tombs is not None:
-            points = points.join(self.tombs, ["tree", "point_id"], "left_anti")
+            points = points.join(self.tombs, [c for c in ("tree", "node", "point_id", "gen") if c in points.columns], "left_anti")
         return points.select(*self.columns)
 
     def knn(self, queries: DataFrame, k: int, metric: str = "euclid", exclude_self: bool = False) -> DataFrame:
@@ -45,35 +47,74 @@ class RebuildAll(_Index):
     """Every batch builds one balanced tree over all live points anew."""
 
     def _rebuild(self, rows: DataFrame) -> None:
-        self.forest = kd.stored(kd.build(rows.select(F.lit(0).alias("tree"), *self.columns), self.d, self.rule, self.cap))
+        self.forest = kd.stored(kd.build(rows.select(F.lit(0).alias("tree"), *self.columns), self.d, self.rule, self.cap), rule=self.rule)
         self.moved = sum(c["n"] for c in self.forest.cells)
 
     def insert(self, batch: DataFrame) -> None:
         self._rebuild(self.live().unionByName(batch.select(*self.columns)))
 
     def delete(self, batch: DataFrame, key: str = "id") -> None:
-        live = self.live()
-        self._rebuild(live.join(kd.matches(live, batch, self.d, key).select("point_id"), "point_id", "left_anti"))
+        if self.forest is not None and self.forest.cells:
+            gone = kd.erase(self.forest, batch.select(*[c for c in self.columns if c in batch.columns]), BROADCAST_ROWS + 1, key)
+            self._rebuild(self.live().join(gone.select("point_id").distinct(), "point_id", "left_anti"))
 
 
 class FixedCells(_Index):
-    """Splits are never recomputed: inserts go to the cells they fall in, which split if they overflow; deletes leave tombstones."""
+    """Splits are never recomputed: inserts go to the cells they fall in, which split if they overflow; deletes leave tombstones.
+
+    An insert reads and writes its own rows and those of overflowing cells alone. ``gen``, the number of the batch that
+    brought a point, tells a point from one of the same id that was deleted before it.
+    """
+
+    def __init__(self, spark: SparkSession, d: int, rule: str = "object", cap: int = kd.CELL_CAP):
+        super().__init__(spark, d, rule, cap)
+        self.parts: list[DataFrame] = []
+        self.gen = 0
+
+    def _add(self, rows: DataFrame) -> None:
+        self.parts.append(rows)
+        points = reduce(DataFrame.unionByName, self.parts)
+        self.forest = kd.Forest(points, self.d, self.forest.splits if self.forest else [], self.forest.cells if self.forest else [])
 
     def insert(self, batch: DataFrame) -> None:
-        rows = batch.select(F.lit(0).alias("tree"), F.lit(1).cast("long").alias("node"), *self.columns)
-        if self.forest is None:
-            self.forest = kd.stored(kd.build(rows, self.d, self.rule, self.cap))
-            self.moved = sum(c["n"] for c in self.forest.cells)
-            return
-        routed = written(kd.route(rows, self.forest.splits, self.d), "batch")
-        both = self.forest.points.unionByName(routed.select(*self.forest.points.columns))
-        grown = kd.build(both, self.d, self.rule, self.cap, self.forest.splits)  # only cells over the cap are split
-        new = len(grown.splits) > len(self.forest.splits)
-        self.forest = kd.Forest(written(grown.points, "cells") if new else both, self.d, grown.splits, grown.cells)
-        self.moved = routed.count()
+        self.gen += 1
+        rows = batch.select(F.lit(0).alias("tree"), F.lit(1).cast("long").alias("node"), *self.columns, F.lit(self.gen).alias("gen"))
+        splits = self.forest.splits if self.forest else []
+        routed = written(kd.route(rows, splits, self.d), "batch")
+        new = {c["node"]: c for c in kd.cell_table(routed, self.d)}
+        self.moved = sum(c["n"] for c in new.values())
+        cells = {c["node"]: c for c in self.forest.cells} if self.forest else {}
+        for node, c in new.items():
+            old = cells.get(node)
+            if old:
+                c = c | {"n": c["n"] + old["n"]} | {f"lo{j}": min(c[f"lo{j}"], old[f"lo{j}"]) for j in range(self.d)} | {f"hi{j}": max(c[f"hi{j}"], old[f"hi{j}"]) for j in range(self.d)}
+            cells[node] = c
+        self._add(routed)
+        self.forest.cells = list(cells.values())
+        full = [n for n, c in cells.items() if c["n"] > self.cap]
+        if full:
+            self._split(full)
+
+    def _split(self, full: list[int]) -> None:
+        """New splits below the cells ``full``: only their rows are read, and written without the deleted ones."""
+        touched, mine = F.col("node").isin(full), self.forest.points.where(F.col("node").isin(full))
+        if self.tombs is not None:
+            mine = mine.join(self.tombs.where(touched), ["tree", "node", "point_id", "gen"], "left_anti")
+        mine = written(mine, "overflow")
+        grown = kd.build(mine, self.d, self.rule, self.cap)
+        named = kd.route(mine, grown.splits, self.d)
+        cells = [c for c in self.forest.cells if c["node"] not in set(full)] + grown.cells
+        splits = self.forest.splits + grown.splits
+        self.parts = [p.where(~touched) for p in self.parts]
+        self._add(written(named, "cells"))
+        self.forest.splits, self.forest.cells = splits, cells
+        if self.tombs is not None:
+            self.tombs = written(self.tombs.where(~touched), "tombs")
+        self.moved += sum(c["n"] for c in grown.cells)
 
     def delete(self, batch: DataFrame, key: str = "id") -> None:
-        if self.forest is not None:
-            hits = kd.matches(self.forest.points, batch, self.d, key).select("tree", "point_id")
+        if self.forest is not None and self.forest.cells:
+            rows = written(batch.select(*[c for c in self.columns if c in batch.columns]), "erase")
+            hits = kd.erase(self.forest, rows, rows.count(), key)
             self.tombs = written(hits if self.tombs is None else self.tombs.unionByName(hits).distinct(), "tombs")
             self.moved = 0

@@ -1,4 +1,4 @@
-"""Bloom filters of trees as rows of 64 bits: built by one aggregate, probed by an equi join."""
+"""Bloom filters of trees as rows of 64 bits: built by one aggregate, probed by one equi join for all trees."""
 
 from __future__ import annotations
 
@@ -6,8 +6,8 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 
-def _places(keys: list[str], bits: int, hashes: int) -> Column:
-    return F.explode(F.array(*[F.pmod(F.xxhash64(F.lit(s), *keys), F.lit(bits)) for s in range(hashes)])).alias("place")
+def _places(keys: list[str], bits: Column, hashes: int) -> Column:
+    return F.explode(F.array(*[F.pmod(F.xxhash64(F.lit(s), *keys), bits) for s in range(hashes)])).alias("place")
 
 
 def bits_for(n: int, per_key: int = 10) -> int:
@@ -16,13 +16,15 @@ def bits_for(n: int, per_key: int = 10) -> int:
 
 def build(points: DataFrame, keys: list[str], bits: int, hashes: int = 3) -> DataFrame:
     """(tree, word, bits) over the trees of ``points``; words without a bit have no row."""
-    placed = points.select("tree", _places(keys, bits, hashes))
+    placed = points.select("tree", _places(keys, F.lit(bits), hashes))
     bit = F.call_function("shiftleft", F.lit(1).cast("long"), (F.col("place") % 64).cast("int"))
     return placed.groupBy("tree", F.floor(F.col("place") / 64).alias("word")).agg(F.bit_or(bit).alias("bits"))
 
 
-def candidates(batch: DataFrame, filters: DataFrame, keys: list[str], bits: int, hashes: int = 3) -> DataFrame:
-    """(tree, *keys): the rows of ``batch`` that each tree may hold; none that it holds is missing."""
-    placed = batch.select(*keys).distinct().select(*keys, _places(keys, bits, hashes)).withColumn("word", F.floor(F.col("place") / 64))
-    hit = placed.join(filters, "word").where(F.getbit(F.col("bits"), (F.col("place") % 64).cast("int")) == 1)
+def candidates(batch: DataFrame, filters: DataFrame, keys: list[str], sizes: dict[int, int], hashes: int = 3) -> DataFrame:
+    """(tree, *keys): the distinct keys of ``batch`` that each tree may hold; none that it holds is missing. ``sizes``: bits by tree."""
+    trees = F.explode(F.array(*[F.struct(F.lit(t).alias("tree"), F.lit(n).cast("long").alias("m")) for t, n in sizes.items()]))
+    each = batch.select(*keys).distinct().select(*keys, trees.alias("t")).select(*keys, "t.tree", "t.m")
+    placed = each.select(*keys, "tree", _places(keys, F.col("m"), hashes)).withColumn("word", F.floor(F.col("place") / 64))
+    hit = placed.join(filters, ["tree", "word"]).where(F.getbit(F.col("bits"), (F.col("place") % 64).cast("int")) == 1)
     return hit.groupBy("tree", *keys).agg(F.count("*").alias("n")).where(F.col("n") >= hashes).drop("n")

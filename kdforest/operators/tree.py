@@ -1,27 +1,117 @@
-"""Static kd-trees as tables: level-wise building, routing, exact two-round search, deletion.
+"""Static kd-trees as tables: building, routing, exact two-round search, routed deletion.
 
-Points are rows (tree, node, point_id, c0.., seq); a node is named by its path from the root (1; children 2i and
-2i+1). Splits and boxes of the upper part are a small table; the rows of a cell (a leaf of that part) lie together
-in files and in tasks. Several trees are built, routed and searched at once, keyed by (tree, node).
+Points are rows (tree, node, leaf, point_id, c0.., seq). A node of the upper part is named by its path from the root
+(1; children 2i and 2i + 1); its leaves are cells, whose rows lie together in files and in tasks. ``leaf`` numbers the nodes
+inside a cell in the same way (see ``cells``). Splits and boxes of the upper part are small tables that go along with a
+task up to a checked number of rows, and are joined level by level beyond it. Several trees are built, routed and
+searched at once, keyed by (tree, node).
 """
 
 from __future__ import annotations
 
+from collections.abc import Iterator
 from dataclasses import dataclass, field
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from kdforest.functions.geometry import coords, dist2, mind2
-from kdforest.shared import local_table, small, written
+from kdforest.functions.geometry import coords, mind2
+from kdforest.operators import cells as inside
+from kdforest.shared import BROADCAST_ROWS, local_table, small, written
 
-#: Points of a cell; some 128 MB of points on a cluster, few here so that tests have many cells.
+#: Points of a cell; few here so that tests have many cells. On a cluster take ``cap_for``.
 CELL_CAP = 4096
 MOST_LEVELS = 40
-#: Queries with more coordinates are stored before a search: while they are still expressions under a filter on their
-#: distance, the planner's constraints double with each of them, and 16 are too many to plan.
-WIDE = 8
-Split = tuple[int, int, int, float]  # tree, node, dimension, value: left iff below
+#: Rows that a build takes to the driver at most (about) to choose splits; all rows of smaller tables.
+SAMPLE = 100_000
+#: Queries that a task takes to one cell at a time; a cell with more is searched in several tasks.
+QUERY_BLOCK = 200_000
+Split = tuple[int, int, int, float]  # tree, node, dimension, value: left iff below; dimension d is the id
+#: Set to a smaller number of rows in tests of the way beyond it.
+ALONG = BROADCAST_ROWS
+
+
+def cap_for(d: int, cell_bytes: int = 128 << 20) -> int:
+    """Points of a cell of about ``cell_bytes``."""
+    return max(1, cell_bytes // (8 * (d + 5)))
+
+
+class TopTree:
+    """Boxes and live counts of the nodes above the cells of several trees, as arrays. Empty cells and paths to them are collapsed."""
+
+    def __init__(self, cells: list[dict], d: int, trees: list[int] | None = None):
+        rows = [c for c in cells if c["n"] > 0 and (trees is None or c["tree"] in trees)]
+        tree, node = np.array([c["tree"] for c in rows], dtype=np.int64), np.array([c["node"] for c in rows], dtype=np.int64)
+        live = np.array([c["n"] for c in rows], dtype=np.int64)
+        self.tree, self.node, self.live = tree, node, live
+        self.lo, self.hi = (np.array([[c[f"{a}{j}"] for j in range(d)] for c in rows], dtype=np.float64).reshape(len(rows), d) for a in ("lo", "hi"))
+        self.left, self.right = np.full(len(rows), -1), np.full(len(rows), -1)
+        self.roots: dict[int, int] = {}
+        made: dict[str, list] = {k: [] for k in ("tree", "node", "live", "lo", "hi", "left", "right")}
+        size, by_depth, front = len(rows), {}, {}
+        for i, key in enumerate(zip(tree.tolist(), node.tolist(), strict=True)):
+            by_depth.setdefault(key[1].bit_length(), []).append(key)
+            front[key] = i
+
+        def of(name: str, at: int) -> object:
+            return made[name][at - size] if at >= size else getattr(self, name)[at]
+
+        for depth in range(max(by_depth, default=1), 1, -1):
+            for t, n in by_depth.get(depth, []):
+                if (t, n) not in front:
+                    continue  # its sibling took it along
+                i, other = front.pop((t, n)), front.pop((t, n ^ 1), None)
+                by_depth.setdefault(depth - 1, []).append((t, n >> 1))
+                front[t, n >> 1] = i  # the only child stands for its parent
+                if other is not None:
+                    low, high = (other, i) if n & 1 else (i, other)
+                    pair = {"tree": t, "node": n >> 1, "live": of("live", i) + of("live", other), "left": low, "right": high}
+                    pair |= {"lo": np.minimum(of("lo", i), of("lo", other)), "hi": np.maximum(of("hi", i), of("hi", other))}
+                    for name, value in pair.items():
+                        made[name].append(value)
+                    front[t, n >> 1] = size + len(made["tree"]) - 1
+        for name, more in made.items():
+            if more:
+                setattr(self, name, np.concatenate([getattr(self, name), np.array(more)]))
+        self.roots = {t: i for (t, _), i in front.items()}
+
+    def __len__(self) -> int:
+        return len(self.tree)
+
+    def largest(self) -> int:
+        return max(self.roots, key=lambda t: self.live[self.roots[t]])
+
+    def home(self, q: np.ndarray, tree: int, k: int, metric: str) -> tuple[np.ndarray, np.ndarray]:
+        """The cell (a row number) nearest to each query's way down, and a bound: the far side of the smallest node with k live points."""
+        at = np.full(len(q), self.roots[tree])
+        r2 = np.full(len(q), np.inf)
+        down = np.arange(len(q))
+        while len(down):
+            now = at[down]
+            far = inside.box_most(q[down], self.lo[now], self.hi[now], metric)
+            r2[down] = np.where(self.live[now] >= k, np.minimum(r2[down], far), r2[down])
+            deep = self.left[now] >= 0
+            down, now = down[deep], now[deep]
+            l, r = self.left[now], self.right[now]
+            nearer = inside.box_least(q[down], self.lo[l], self.hi[l], metric) <= inside.box_least(q[down], self.lo[r], self.hi[r], metric)
+            at[down] = np.where(nearer, l, r)
+        return at, r2
+
+    def within(self, q: np.ndarray, r2: np.ndarray, metric: str, trees: list[int]) -> tuple[np.ndarray, np.ndarray]:
+        """(query, cell) pairs whose box is within the bound, of all ``trees``; both are row numbers."""
+        out_q, out_c = [], []
+        row = np.tile(np.arange(len(q)), len(trees))
+        at = np.repeat([self.roots[t] for t in trees], len(q)).astype(np.int64)
+        while len(row):
+            near = inside.box_least(q[row], self.lo[at], self.hi[at], metric) <= r2[row]
+            row, at = row[near], at[near]
+            cell = self.left[at] < 0
+            out_q.append(row[cell])
+            out_c.append(at[cell])
+            row, at = np.repeat(row[~cell], 2), np.column_stack([self.left[at[~cell]], self.right[at[~cell]]]).ravel()
+        return (np.concatenate(out_q), np.concatenate(out_c)) if out_q else (row, at)
 
 
 @dataclass
@@ -35,11 +125,14 @@ class Forest:
 
     @property
     def trees(self) -> list[int]:
-        return sorted({c["tree"] for c in self.cells})
+        return sorted({c["tree"] for c in self.cells if c["n"] > 0})
 
     def depth(self) -> int:
         return max((c["node"].bit_length() for c in self.cells), default=1) - 1
 
+    def top(self, trees: list[int] | None = None) -> TopTree:
+        return TopTree(self.cells, self.d, trees)
+
     def nodes(self, spark: SparkSession) -> tuple[DataFrame, int]:
         """(tree, parent, node, lo0.., hi0..): children and their boxes; a cell is its own child. A row per node."""
         boxes: dict[tuple[int, int], list[list[float]]] = {}
@@ -60,34 +153,87 @@ def _one_level(df: DataFrame, splits: list[Split], d: int, prefix: str = "c") ->
     """Rows whose (tree, node) is split go to the child on their side."""
     table = local_table(df.sparkSession, splits, "tree int, node long, dim int, val double")
     df = df.join(small(table, len(splits)), ["tree", "node"], "left")
-    x = F.get(F.array(*coords(d, prefix)), F.col("dim"))
+    x = F.get(F.array(*coords(d, prefix), F.col("point_id").cast("double")), F.col("dim"))
     moved = F.when(F.col("dim").isNull(), F.col("node")).otherwise(F.col("node") * 2 + (x >= F.col("val")).cast("long"))
     return df.withColumn("node", moved).drop("dim", "val")
 
 
-def route(df: DataFrame, splits: list[Split], d: int, prefix: str = "c") -> DataFrame:
-    """Each row's cell, from the node it is in."""
-    by_depth: dict[int, list[Split]] = {}
-    for s in splits:
-        by_depth.setdefault(s[1].bit_length(), []).append(s)
-    for depth in sorted(by_depth):
-        df = _one_level(df, by_depth[depth], d, prefix)
-    return df
+class Router:
+    """Splits as arrays; takes rows down from the node they are in."""
+
+    def __init__(self, splits: list[Split]):
+        key = np.array([(s[0] + 1 << 48) + s[1] for s in splits], dtype=np.int64)
+        by = np.argsort(key)
+        self.key = key[by]
+        self.dim = np.array([s[2] for s in splits], dtype=np.int64)[by]
+        self.val = np.array([s[3] for s in splits], dtype=np.float64)[by]
+
+    def down(self, tree: np.ndarray, node: np.ndarray, x: np.ndarray, both: int | None = None) -> tuple[np.ndarray, np.ndarray]:
+        """(row, node): the cell of each row; with ``both``, rows go to either side of a split in that dimension."""
+        row, node, done_row, done_node = np.arange(len(node)), node.astype(np.int64), [], []
+        base = (tree.astype(np.int64) + 1) << 48
+        while len(row) and len(self.key):
+            key = base[row] + node
+            at = np.minimum(np.searchsorted(self.key, key), len(self.key) - 1)
+            split = self.key[at] == key
+            done_row.append(row[~split])
+            done_node.append(node[~split])
+            row, node, at = row[split], node[split], at[split]
+            right = x[row, np.minimum(self.dim[at], x.shape[1] - 1)] >= self.val[at]
+            if both is not None and (twin := self.dim[at] == both).any():
+                row, node = np.concatenate([row, row[twin]]), np.concatenate([2 * node + (right & ~twin), 2 * node[twin] + 1])
+            else:
+                node = 2 * node + right
+        row, node = np.concatenate([*done_row, row]), np.concatenate([*done_node, node])
+        order = np.argsort(row, kind="stable")
+        return row[order], node[order]
+
+
+def route(df: DataFrame, splits: list[Split], d: int, prefix: str = "c", both: bool = False) -> DataFrame:
+    """Each row's cell, from the node (tree, node) it is in. ``both``: rows are a batch that names coordinates, not ids."""
+    if not splits:
+        return df
+    if len(splits) > ALONG and not both:
+        by_depth: dict[int, list[Split]] = {}
+        for s in splits:
+            by_depth.setdefault(s[1].bit_length(), []).append(s)
+        for depth in sorted(by_depth):
+            df = _one_level(df, by_depth[depth], d, prefix)
+        return df
+    router, names = Router(splits), [*coords(d, prefix), *(["point_id"] if "point_id" in df.columns else [])]
+
+    def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            x = np.column_stack([b.column(c).to_numpy(zero_copy_only=False).astype(np.float64) for c in names])
+            row, node = router.down(b.column("tree").to_numpy(), b.column("node").to_numpy(), x, d if both else None)
+            out = b if len(row) == b.num_rows else b.take(pa.array(row))
+            yield out.set_column(out.schema.get_field_index("node"), "node", pa.array(node, pa.int64()))
+
+    return df.mapInArrow(work, df.schema)
+
+
+def _cell_stats(points: DataFrame, d: int) -> list[dict]:
+    agg = [f(c).alias(f"{a}{j}") for j, c in enumerate(coords(d)) for f, a in ((F.min, "lo"), (F.max, "hi"))]
+    agg += [F.min("point_id").alias("lo_id"), F.max("point_id").alias("hi_id")]
+    return [r.asDict() for r in points.groupBy("tree", "node").agg(F.count("*").alias("n"), *agg).collect()]
 
 
 def cell_table(points: DataFrame, d: int) -> list[dict]:
     """n and the tight box of each (tree, node): one hash aggregate; a row per cell comes back."""
-    agg = [f(c).alias(f"{a}{j}") for j, c in enumerate(coords(d)) for f, a in ((F.min, "lo"), (F.max, "hi"))]
-    return [r.asDict() for r in points.groupBy("tree", "node").agg(F.count("*").alias("n"), *agg).collect()]
+    return [{k: v for k, v in c.items() if k not in ("lo_id", "hi_id")} for c in _cell_stats(points, d)]
 
 
 def choose_splits(cells: list[dict], d: int, rule: str, cap: int, median_of: dict | None = None) -> list[Split]:
-    """A split for each cell over ``cap``: by the depth's dimension, or the next with any extent; none if all points are equal."""
+    """A split for each cell over ``cap``: by the depth's dimension, or the next with any extent; of equal points by id, if ids are known."""
     out = []
     for c in cells:
         depth = c["node"].bit_length() - 1
         dim = next((j % d for j in range(depth, depth + d) if c[f"lo{j % d}"] < c[f"hi{j % d}"]), None)
-        if c["n"] <= cap or dim is None or depth >= MOST_LEVELS:
+        if c["n"] <= cap or depth >= MOST_LEVELS:
+            continue
+        if dim is None:
+            if c.get("lo_id") is not None and c["lo_id"] < c["hi_id"]:
+                out.append((c["tree"], c["node"], d, (c["lo_id"] + c["hi_id"] + 1) / 2))
             continue
         lo, hi = c[f"lo{dim}"], c[f"hi{dim}"]
         val = median_of.get((c["tree"], c["node"])) if rule == "object" and dim == depth % d and median_of else None
@@ -98,37 +244,83 @@ def choose_splits(cells: list[dict], d: int, rule: str, cap: int, median_of: dic
     return out
 
 
-def build(points: DataFrame, d: int, rule: str = "object", cap: int = CELL_CAP, splits: list[Split] | None = None) -> Forest:
-    """Trees over rows (tree, node or none, point_id, c0.., seq); nodes over ``cap`` are split, one aggregate per level for all of them.
+def sampled_splits(over: list[dict], rows: pa.Table, d: int, cap: int) -> list[Split]:
+    """Splits by object median of the cells ``over`` the cap, as many levels as their counts need, from a sample of their rows."""
+    tree, node = rows.column("tree").to_numpy(), rows.column("node").to_numpy()
+    x = np.column_stack([rows.column(c).to_numpy() for c in coords(d)]) if rows.num_rows else np.zeros((0, d))
+    out: list[Split] = []
+    for c in over:
+        own = np.flatnonzero((tree == c["tree"]) & (node == c["node"]))
+        todo = [(c["node"], own, float(c["n"]))]
+        while todo:
+            at, some, n = todo.pop()
+            depth = at.bit_length() - 1
+            if n <= cap or len(some) < 2 or depth >= MOST_LEVELS:
+                continue
+            lo, hi = x[some].min(axis=0), x[some].max(axis=0)
+            dim = next((j % d for j in range(depth, depth + d) if lo[j % d] < hi[j % d]), None)
+            if dim is None:
+                continue
+            value = x[some, dim]
+            val = float(np.partition(value, len(some) // 2)[len(some) // 2])
+            if val <= lo[dim]:  # many equal values: those above them go right
+                val = float(value[value > lo[dim]].min())
+            left = value < val
+            out.append((c["tree"], at, dim, val))
+            share = left.mean()
+            todo += [(2 * at, some[left], n * share), (2 * at + 1, some[~left], n * (1 - share))]
+    return out
+
+
+def build(points: DataFrame, d: int, rule: str = "object", cap: int = CELL_CAP, splits: list[Split] | None = None, serial: int = 0) -> Forest:
+    """Trees over rows (tree, node or none, point_id, c0.., seq); nodes over ``cap`` are split.
 
-    ``rule`` "object" splits at the median of the cycling dimension (a quantile sketch; only balance depends on its
-    error), "spatial" half way between smallest and largest. Equal points stay in one cell, however many.
+    ``rule`` "object" halves nodes by the median of the cycling dimension: exact in tables of up to SAMPLE rows,
+    by that many sampled ones in larger tables, where only balance depends on it; all levels need one pass
+    unless a cell comes out too large. "spatial" splits half way between smallest and largest, by one aggregate per level. Equal
+    points are parted by id. A table of up to ``serial`` rows is one cell. An empty table has no cells.
     """
     df = points if "node" in points.columns else points.withColumn("node", F.lit(1).cast("long"))
-    splits = list(splits or [])
-    closed: dict[tuple[int, int], dict] = {}
-    df = df.select("tree", "node", "point_id", *coords(d), "seq")
-    for level in range(MOST_LEVELS + 1):
-        medians = [F.percentile_approx(c, 0.5, 10_000).alias(f"m{j}") for j, c in enumerate(coords(d))] if rule == "object" else []
-        agg = [f(c).alias(f"{a}{j}") for j, c in enumerate(coords(d)) for f, a in ((F.min, "lo"), (F.max, "hi"))]
-        rows = [r.asDict() for r in df.groupBy("tree", "node").agg(F.count("*").alias("n"), *agg, *medians).collect()]
-        middle = {(r["tree"], r["node"]): r[f"m{(r['node'].bit_length() - 1) % d}"] for r in rows} if medians else None
-        new = choose_splits(rows, d, rule, cap, middle)
+    base = df.select("tree", F.col("node").cast("long").alias("node"), "point_id", *coords(d), "seq")
+    splits, df = list(splits or []), base
+    for level in range(2 * MOST_LEVELS):
+        cells = _cell_stats(df, d)
+        over = [c for c in cells if c["n"] > cap and c["n"] > serial]
+        new = []
+        if over and rule == "object":
+            share = min(1.0, SAMPLE / sum(c["n"] for c in over))
+            keys = local_table(base.sparkSession, [(c["tree"], c["node"]) for c in over], "tree int, node long")
+            some = df.join(small(keys, len(over)), ["tree", "node"], "left_semi")
+            if share < 1:
+                some = some.where(F.pmod(F.xxhash64("point_id", F.lit(level)), F.lit(1 << 30)) < int(share * (1 << 30)))
+            new = sampled_splits(over, some.select("tree", "node", *coords(d)).toArrow(), d, cap)
+            had = {(s[0], s[1]) for s in new}
+            over = [c for c in over if (c["tree"], c["node"]) not in had]
+        new += choose_splits(over, d, rule, cap)
         if not new:
-            closed = {(r["tree"], r["node"]): r for r in rows}
             break
         splits += new
-        df = _one_level(df, new, d)
-        if level % 6 == 5:
+        df = route(df, new, d)
+        if level % 8 == 7:
             df = written(df, "levels")
     keep = ["tree", "node", "n", *coords(d, "lo"), *coords(d, "hi")]
-    return Forest(df, d, splits, [{k: c[k] for k in keep} for c in closed.values()])
+    return Forest(df, d, splits, [{k: c[k] for k in keep} for c in cells])
+
+
+def stored(forest: Forest, leaf: int = inside.LEAF, rule: str = "object") -> Forest:
+    """The points written cell by cell, each with its leaf: the lower parts of all trees are built side by side."""
+    d = forest.d
+    plain = forest.points.select("tree", "node", F.lit(1).cast("long").alias("leaf"), "point_id", *coords(d), "seq")
 
+    def work(rows: pa.Table) -> pa.Table:
+        x = np.column_stack([rows.column(c).to_numpy() for c in coords(d)])
+        number = inside.leaf_numbers(x, rows.column("point_id").to_numpy(), leaf, rule)
+        depth = inside._depth(number)
+        out = rows.set_column(2, "leaf", pa.array(number))
+        return out.take(pa.array(np.argsort(number << (depth.max(initial=0) - depth), kind="stable")))
 
-def stored(forest: Forest, parts: int | None = None) -> Forest:
-    """The points written cell by cell."""
-    dealt = forest.points.repartition("tree", "node") if parts is None else forest.points.repartition(parts, "tree", "node")
-    return Forest(written(dealt.sortWithinPartitions("tree", "node"), "tree"), forest.d, forest.splits, forest.cells)
+    made = plain.groupBy("tree", "node").applyInArrow(work, plain.schema)
+    return Forest(written(made, "tree"), d, forest.splits, forest.cells)
 
 
 def top_k(rows: DataFrame, k: int, by: list[str] | None = None) -> DataFrame:
@@ -138,55 +330,177 @@ def top_k(rows: DataFrame, k: int, by: list[str] | None = None) -> DataFrame:
 
 
 def candidate_cells(queries: DataFrame, forest: Forest, trees: list[int], metric: str) -> DataFrame:
-    """(query.., tree, node) with the cells whose box is within the query's bound r2; a walk down the node table, level by level."""
+    """(query_id, q.., r2, tree, node): the cells whose box is within the query's bound r2."""
+    q, live = coords(forest.d, "q"), [t for t in trees if t in forest.trees]
+    if not live:
+        return queries.select("query_id", *q, "r2", F.lit(0).alias("tree"), F.lit(1).cast("long").alias("node")).where("false")
+    if len(forest.cells) <= ALONG:
+        top, schema = forest.top(live), queries.select("query_id", *q, "r2", F.lit(0).alias("tree"), F.lit(1).cast("long").alias("node")).schema
+
+        def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            for b in batches:
+                at = np.column_stack([b.column(c).to_numpy() for c in q])
+                row, cell = top.within(at, b.column("r2").to_numpy(), metric, live)
+                out = b.take(pa.array(row))
+                yield pa.RecordBatch.from_arrays([*out.columns, pa.array(top.tree[cell], pa.int32()), pa.array(top.node[cell], pa.int64())], [*b.schema.names, "tree", "node"])
+
+        return queries.select("query_id", *q, "r2").mapInArrow(work, schema)
     nodes, n = forest.nodes(queries.sparkSession)
-    front = queries.withColumn("tree", F.explode(F.array(*[F.lit(t) for t in trees]))).withColumn("parent", F.lit(0).cast("long"))
+    front = queries.withColumn("tree", F.explode(F.array(*[F.lit(t) for t in live]))).withColumn("parent", F.lit(0).cast("long"))
     for _ in range(forest.depth() + 2):
         met = front.join(small(nodes, n), ["tree", "parent"]).where(mind2(forest.d, metric) <= F.col("r2"))
-        front = met.select("query_id", *coords(forest.d, "q"), "r2", "tree", F.col("node").alias("parent"))
+        front = met.select("query_id", *q, "r2", "tree", F.col("node").alias("parent"))
     return front.withColumnRenamed("parent", "node").distinct()
 
 
-def search(queries: DataFrame, forest: Forest, k: int, metric: str = "euclid", trees: list[int] | None = None, exclude_self: bool = False, tombs: DataFrame | None = None, shared_bound: bool = True) -> DataFrame:
+def _points_side(forest: Forest, trees: list[int], tombs: DataFrame | None) -> DataFrame:
+    """(tree, node, leaf, point_id, gen, dead, c..) of the trees; tombstones are rows without coordinates."""
+    d, p = forest.d, forest.points
+    gen = F.col("gen") if "gen" in p.columns else F.lit(0)
+    leaf = F.col("leaf") if "leaf" in p.columns else F.lit(0).cast("long")
+    rows = p.where(F.col("tree").isin(trees)).select(F.col("tree").cast("int").alias("tree"), "node", leaf.alias("leaf"), "point_id", gen.cast("int").alias("gen"), F.lit(False).alias("dead"), *coords(d))
+    if tombs is not None:
+        gone = F.col("gen") if "gen" in tombs.columns else F.lit(0)
+        rows = rows.unionByName(tombs.where(F.col("tree").isin(trees)).select(F.col("tree").cast("int").alias("tree"), "node", F.lit(0).cast("long").alias("leaf"), "point_id", gone.cast("int").alias("gen"), F.lit(True).alias("dead"), *[F.lit(None).cast("double").alias(c) for c in coords(d)]))
+    return rows
+
+
+def live_tree(rows: pa.Table, d: int, rule: str = "object", leaf: int = inside.LEAF) -> inside.CellTree:
+    """The tree of a cell's rows (leaf, point_id, gen, dead, c..) without the dead ones; leaves are numbered anew if some row has none."""
+    ids, gen, dead = rows.column("point_id").to_numpy(), rows.column("gen").to_numpy().astype(np.int64), rows.column("dead").to_numpy()
+    keep = ~dead
+    if dead.any():
+        both = np.rec.fromarrays([ids, gen])
+        keep &= ~np.isin(both, both[dead])
+    x = np.column_stack([rows.column(c).to_numpy() for c in coords(d)])[keep]
+    number = rows.column("leaf").to_numpy()[keep]
+    if len(number) and number.min() < 1:
+        number = inside.leaf_numbers(x, ids[keep], leaf, rule)
+    heap = "tree" in rows.column_names and rows.num_rows and rows.column("tree")[0].as_py() < 0  # a buffer
+    return inside.CellTree(x, ids[keep], number, "heap" if heap else "veb")
+
+
+def _met(asked: DataFrame, points: DataFrame, cells: int) -> tuple[DataFrame, DataFrame]:
+    """Queries and points dealt by cell, and only points of cells that are asked. Cells with many queries are searched in parts."""
+    counts = asked.groupBy("tree", "node").agg(F.count("*").alias("n"))
+    hot = counts.where(F.col("n") > QUERY_BLOCK).select("tree", "node", F.ceil(F.col("n") / QUERY_BLOCK).cast("int").alias("parts"))
+    if not hot.isEmpty():
+        hot = written(hot, "hot")
+        part = F.pmod(F.xxhash64("query_id"), F.coalesce("parts", F.lit(1))).cast("int")
+        asked = asked.join(F.broadcast(hot) if cells <= ALONG else hot, ["tree", "node"], "left").withColumn("part", part).drop("parts")
+        each = F.explode(F.sequence(F.lit(0), F.coalesce("parts", F.lit(1)) - 1)).alias("part")
+        points = points.join(F.broadcast(hot) if cells <= ALONG else hot, ["tree", "node"], "left").select(*points.columns, each)
+    else:
+        asked, points = asked.withColumn("part", F.lit(0)), points.withColumn("part", F.lit(0))
+    touched = asked.select("tree", "node").distinct()
+    return asked, points.join(F.broadcast(touched) if cells <= ALONG else touched, ["tree", "node"], "left_semi")
+
+
+def search(queries: DataFrame, forest: Forest, k: int, metric: str = "euclid", trees: list[int] | None = None, exclude_self: bool = False, tombs: DataFrame | None = None, shared_bound: bool = True, homes: bool = True, fill: bool = True) -> DataFrame:
     """(query_id, point_id, d2) of the k nearest live points in ``trees`` to each query (query_id, q0.., r2).
 
-    Queries whose r2 is null first search the cell they fall in, which bounds the distance of their k-th neighbour;
-    then every cell within the bound is searched. Ties are ordered by point_id. With ``shared_bound=False`` each
-    tree has a bound of its own.
+    Queries whose r2 is null get a bound from the boxes above the cells. With ``homes`` they first search the cell nearest to
+    them, in the largest tree, whose k-th neighbour tightens it; then every other cell within the bound is searched.
+    Ties are ordered by point_id. With ``shared_bound=False`` each tree has a bound of its own. ``fill=False``
+    searches cells a query at a time, best node first.
     """
-    d = forest.d
-    trees = forest.trees if trees is None else trees
-    q = coords(d, "q")
+    d, spark, q = forest.d, queries.sparkSession, coords(forest.d, "q")
+    trees = [t for t in (forest.trees if trees is None else trees) if t in forest.trees]
     if not trees:
         return queries.select("query_id", F.lit(None).cast("long").alias("point_id"), F.lit(None).cast("double").alias("d2")).where("false")
-    if d > WIDE:
-        queries = written(queries, "queries")
-    points = forest.points.where(F.col("tree").isin(trees))
-    if tombs is not None:
-        points = points.join(tombs.select("tree", "point_id"), ["tree", "point_id"], "left_anti")
-
-    def near(where: DataFrame) -> DataFrame:
-        rows = where.join(points, ["tree", "node"]).withColumn("d2", dist2(d, metric)).where(F.col("r2").isNull() | (F.col("d2") <= F.col("r2")))
-        return rows.where("query_id <> point_id") if exclude_self else rows
-
-    start = queries.where("r2 IS NULL").withColumn("tree", F.explode(F.array(*[F.lit(t) for t in trees]))).withColumn("node", F.lit(1).cast("long"))
-    own = ["query_id"] if shared_bound else ["query_id", "tree"]
-    home = top_k(near(route(start, [s for s in forest.splits if s[0] in set(trees)], d, "q")).select(*own, "point_id", "d2"), k, own)
-    bound = home.groupBy(*own).agg(F.max("d2").alias("found"), F.count("*").alias("m")).select(*own, F.when(F.col("m") >= k, F.col("found")).alias("found"))
-    infinite = F.lit(float("inf"))
-    if shared_bound:
-        bounded = queries.join(bound, "query_id", "left").withColumn("r2", F.coalesce("r2", "found", infinite)).drop("found")
-        cells = candidate_cells(bounded, forest, trees, metric)
+    top, cells = forest.top(trees), len(forest.cells)
+    points = _points_side(forest, trees, tombs)
+    need = k + exclude_self
+    along = cells <= ALONG
+    roots = [top.largest()] if shared_bound else trees
+
+    def started(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            at = np.column_stack([b.column(c).to_numpy() for c in q])
+            given = b.column("r2").to_numpy(zero_copy_only=False).astype(np.float64)
+            for t in roots:
+                cell, bound = top.home(at, t, need, metric)
+                r2 = np.where(np.isnan(given), bound, given)
+                yield pa.RecordBatch.from_arrays([*b.columns[:-1], pa.array(r2), pa.array(top.tree[cell], pa.int32()), pa.array(top.node[cell], pa.int64())], ["query_id", *q, "r2", "tree", "node"])
+
+    slim = queries.select("query_id", *q, "r2")
+    home_schema = slim.select("*", F.lit(0).alias("tree"), F.lit(0).cast("long").alias("node")).schema
+    asked = slim.mapInArrow(started, home_schema)
+
+    def own_of(qs: pa.Table) -> np.ndarray | None:
+        return qs.column("query_id").to_numpy() if exclude_self else None
+
+    def answered(qs: pa.Table, ps: pa.Table):
+        at = np.column_stack([qs.column(c).to_numpy() for c in q])
+        return inside.nearest(live_tree(ps, d), at, qs.column("r2").to_numpy(), k, metric, own_of(qs), fill=fill)
+
+    def first(qs: pa.Table, ps: pa.Table) -> pa.Table:
+        n = qs.num_rows
+        row, ids, d2 = answered(qs, ps) if n and ps.num_rows else (np.zeros(0, dtype=np.int64), np.zeros(0, dtype=np.int64), np.zeros(0))
+        count = np.bincount(row, minlength=n)
+        ends = np.cumsum(count)
+        r2 = qs.column("r2").to_numpy().copy()
+        full = count == k
+        r2[full] = d2[ends[full] - 1]
+        offsets = pa.array(np.concatenate([[0], ends]), pa.int32())
+        lists = [pa.ListArray.from_arrays(offsets, pa.array(v)) for v in (ids, d2)]
+        return pa.table([qs.column("query_id"), *(qs.column(c) for c in q), pa.array(r2), qs.column("tree"), qs.column("node"), *lists], names=["query_id", *q, "r2", "tree", "node", "ids", "d2s"])
+
+    def later(qs: pa.Table, ps: pa.Table) -> pa.Table:
+        row, ids, d2 = answered(qs, ps) if qs.num_rows and ps.num_rows else (np.zeros(0, dtype=np.int64), np.zeros(0, dtype=np.int64), np.zeros(0))
+        return pa.table([qs.column("query_id").take(pa.array(row)), pa.array(ids, pa.int64()), pa.array(d2, pa.float64())], names=["query_id", "point_id", "d2"])
+
+    key = ["tree", "node", "part"]
+    found = None
+    if homes:
+        qs, ps = _met(asked, points, cells)
+        schema = asked.select("*", F.lit(None).cast("array<long>").alias("ids"), F.lit(None).cast("array<double>").alias("d2s")).schema
+        asked = written(qs.groupBy(*key).cogroup(ps.groupBy(*key)).applyInArrow(first, schema), "homes")
+        pairs = F.explode(F.arrays_zip("ids", "d2s")).alias("p")
+        found = asked.select("query_id", pairs).select("query_id", F.col("p.ids").alias("point_id"), F.col("p.d2s").alias("d2"))
+
+    def others(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            at = np.column_stack([b.column(c).to_numpy() for c in q])
+            tree, node, r2 = (b.column(c).to_numpy() for c in ("tree", "node", "r2"))
+            for t in [None] if shared_bound else trees:
+                mine = np.arange(len(r2)) if t is None else np.flatnonzero(tree == t)
+                row, cell = top.within(at[mine], r2[mine], metric, trees if t is None else [t])
+                row = mine[row]
+                new = (not homes) | (top.tree[cell] != tree[row]) | (top.node[cell] != node[row])
+                row, cell = row[new], cell[new]
+                out = b.take(pa.array(row))
+                yield pa.RecordBatch.from_arrays([*(out.column(c) for c in ("query_id", *q, "r2")), pa.array(top.tree[cell], pa.int32()), pa.array(top.node[cell], pa.int64())], ["query_id", *q, "r2", "tree", "node"])
+
+    if along:
+        rest = asked.select("query_id", *q, "r2", "tree", "node").mapInArrow(others, home_schema)
     else:
-        every = queries.withColumn("tree", F.explode(F.array(*[F.lit(t) for t in trees])))
-        bounded = every.join(bound, own, "left").withColumn("r2", F.coalesce("r2", "found", infinite)).drop("found")
-        nodes, n = forest.nodes(queries.sparkSession)
-        cells = bounded.withColumn("parent", F.lit(0).cast("long"))
-        for _ in range(forest.depth() + 2):
-            met = cells.join(small(nodes, n), ["tree", "parent"]).where(mind2(d, metric) <= F.col("r2"))
-            cells = met.select("query_id", *q, "r2", "tree", F.col("node").alias("parent"))
-        cells = cells.withColumnRenamed("parent", "node").distinct()
-    return top_k(near(cells).select("query_id", "point_id", "d2"), k).select("query_id", "point_id", "d2")
+        was = asked.select("query_id", F.col("tree").alias("tree"), F.col("node").alias("node"))
+        rest = candidate_cells(asked.select("query_id", *q, "r2"), forest, trees, metric)
+        rest = rest.join(was, ["query_id", "tree", "node"], "left_anti").select("query_id", *q, "r2", "tree", "node") if homes else rest
+    qs, ps = _met(written(rest, "asked"), points, cells)
+    more = qs.groupBy(*key).cogroup(ps.groupBy(*key)).applyInArrow(later, "query_id long, point_id long, d2 double")
+    out = more if found is None else found.unionByName(more)
+    return top_k(out, k).select("query_id", "point_id", "d2")
+
+
+def pruning(queries: DataFrame, forest: Forest, k: int, metric: str = "euclid") -> DataFrame:
+    """A row per cell that queries (query_id, q0.., r2: their bounds) search: queries, nodes visited, dropped and taken whole, leaves opened, distances.
+
+    Counts are summed from output rows, so tasks that run twice don't count twice.
+    """
+    d, q = forest.d, coords(forest.d, "q")
+    asked, points = _met(candidate_cells(queries, forest, forest.trees, metric), _points_side(forest, forest.trees, None), len(forest.cells))
+
+    def work(qs: pa.Table, ps: pa.Table) -> pa.Table:
+        stats = inside.Stats()
+        if qs.num_rows and ps.num_rows:
+            inside.nearest(live_tree(ps, d), np.column_stack([qs.column(c).to_numpy() for c in q]), qs.column("r2").to_numpy(), k, metric, stats=stats)
+        row = [ps.column("node")[0].as_py() if ps.num_rows else 0, qs.num_rows, *stats.values()]
+        return pa.table([pa.array([v], pa.int64()) for v in row], names=["node", "queries", "visited", "dropped", "whole", "leaves", "distances"])
+
+    key = ["tree", "node", "part"]
+    return asked.groupBy(*key).cogroup(points.groupBy(*key)).applyInArrow(work, "node long, queries long, visited long, dropped long, whole long, leaves long, distances long")
 
 
 def ranked(found: DataFrame, k: int) -> DataFrame:
@@ -205,6 +519,39 @@ def matches(points: DataFrame, batch: DataFrame, d: int, key: str = "id") -> Dat
     return points.join(batch.select(*on).distinct(), on, "left_semi")
 
 
+def erase(forest: Forest, named: DataFrame, n: int, key: str = "id", trees: list[int] | None = None) -> DataFrame:
+    """(tree, node, point_id, gen): the points that a batch (tree or none, point_id, c0..) of ``n`` rows names.
+
+    The batch is routed down each tree by its splits, and meets only the points of the cells it gets to. Ids
+    without coordinates can't be routed and meet all points of the trees.
+    """
+    d = forest.d
+    trees = forest.trees if trees is None else trees
+    gen = F.col("gen") if "gen" in forest.points.columns else F.lit(0)
+    points = forest.points.where(F.col("tree").isin(trees)).select("tree", "node", "point_id", gen.alias("gen"), *coords(d))
+    if not set(coords(d)) <= set(named.columns):
+        on = ["tree", "point_id"] if "tree" in named.columns else ["point_id"]
+        keys = named.select(*on).distinct()
+        return points.join(small(keys, n), on, "left_semi").select("tree", "node", "point_id", "gen")
+    at = named if "tree" in named.columns else named.withColumn("tree", F.explode(F.array(*[F.lit(t) for t in trees])))
+    if key == "coords":
+        at = at.select("tree", *coords(d)).distinct()
+    routed = route(at.withColumn("node", F.lit(1).cast("long")), [s for s in forest.splits if s[0] in set(trees)], d, both=key == "coords")
+    on = {"id": ["point_id"], "coords": coords(d), "id+coords": ["point_id", *coords(d)]}[key]
+    keys = routed.select("tree", "node", *on).distinct()
+    if n * len(trees) <= BROADCAST_ROWS:
+        return points.join(F.broadcast(keys), ["tree", "node", *on], "left_semi").select("tree", "node", "point_id", "gen")
+    touched = routed.select("tree", "node").distinct()
+    near = points.join(F.broadcast(touched) if len(forest.cells) <= ALONG else touched, ["tree", "node"], "left_semi")
+    return near.join(keys, ["tree", "node", *on], "left_semi").select("tree", "node", "point_id", "gen")
+
+
+def erased(cells: list[dict], gone: dict[tuple[int, int], int]) -> list[dict]:
+    """Cells with their counts less those ``gone`` by (tree, node), without empty ones; paths to these collapse in the ``TopTree``."""
+    out = [c | {"n": c["n"] - gone.get((c["tree"], c["node"]), 0)} for c in cells]
+    return [c for c in out if c["n"] > 0]
+
+
 def collapse(live: dict[int, int], splits: set[int], node: int = 1) -> int | dict | None:
     """The tree left after deletions: None for an empty node, a cell's id, or {node: (left, right)}; a node with one nonempty child is that child."""
     if node not in splits:

@@ -4,6 +4,8 @@ from __future__ import annotations
 
 from functools import cache
 
+import numpy as np
+
 
 def next_pow2(x: int) -> int:
     return 1 << max(0, (x - 1).bit_length())
@@ -33,6 +35,21 @@ def positions(levels: int) -> tuple[int, ...]:
     return tuple(out[1:])
 
 
+def places(nodes: np.ndarray, levels: int) -> np.ndarray:
+    """Position of each heap node in ``nodes`` in a complete tree of ``levels`` levels: ``positions`` without the whole tree."""
+    if levels <= 1 or not len(nodes):
+        return np.zeros(len(nodes), dtype=np.int64)
+    top, bottom = split_levels(levels)
+    depth = np.frexp(nodes.astype(np.float64))[1].astype(np.int64) - 1
+    above = depth < top
+    out = np.empty(len(nodes), dtype=np.int64)
+    out[above] = places(nodes[above], top)
+    low, down = nodes[~above], depth[~above] - top
+    own = (1 << down) | (low & ((1 << down) - 1))
+    out[~above] = (1 << top) - 1 + ((low >> down) - (1 << top)) * ((1 << bottom) - 1) + places(own, bottom)
+    return out
+
+
 def levels_for(n: int, leaf_cap: int = 1) -> int:
     """Levels of a tree over ``n`` points with leaves of about ``leaf_cap``."""
     if n <= leaf_cap:
