@@ -1,22 +1,19 @@
 """Removal of long word passages that an earlier document has too, by prefix-partitioned suffix trees.
 
-Every suffix of a document's words is cut at ``length`` words, for deeper nodes of a suffix tree only extend the
-repeats that its nodes at that depth show. A task turns the truncated suffixes of its documents into digests and
-sorts them; it settles at once those that repeat inside a block of its documents and sends each other suffix once, with
-the smallest document that has it, so a passage of a third of all documents costs a group one entry per block.
-Sorted suffixes are dealt by a prefix of their digests, whose length follows the size of the table, to
-groups that fit in memory and travel as packed columns. In a group the sorted suffixes are the leaves of a subtree and runs of
-equal ones its nodes of full depth: the maximal repeats. Each but a node's smallest document is told the suffix,
-and drops the words under it. What is told travels packed by bucket of documents and meets them there; a bucket
-has about as many words as a group.
-
-Prefixes are those of digests and not of words because words are Zipf-distributed: a few first words would
-start most suffixes, whatever the length.
+Words are integers: a bounded dictionary of frequent words goes along with each task, other words are spelled out once
+a block. Each window of ``length`` words belongs to one suffix of its document, that which starts at the window's rarest
+place (by the dictionary, then by hash) of three words, its anchor; equal windows have equal anchors, so only anchors
+need suffixes. Suffixes are dealt by prefixes of their words, three where a rare word leads and all words of a window
+where only common words do, to groups that fit in memory; neighbouring windows of one anchor travel as one run of words.
+
+Inside a group, and before that inside each block of documents of a task, suffixes are sorted by their words; neighbours'
+common prefixes of ``length`` words make the deep internal nodes of the subtree, the repeats. Digests only keep suffixes
+without a twin out of the sort, so words alone decide. Each but a node's smallest document is told where its windows
+start. What a block settles is not sent, so a passage of a third of all documents costs a group one entry per block.
 """
 
 from __future__ import annotations
 
-import hashlib
 from collections.abc import Iterator
 
 import numpy as np
@@ -25,183 +22,278 @@ import xxhash
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from kdforest.llm.common import table
+from kdforest.llm.common import hash_sample, table, unused
 
-#: Suffixes that a task sorts and settles at once.
+#: Words that a task sorts and settles at once.
 BLOCK = 2_000_000
-#: Suffixes meant for a group: some 2 MB packed.
+#: Windows meant for a group: some 3 MB packed.
 GROUP = 250_000
-_ODD = np.array([(0x9E3779B97F4A7C15 * (2 * i + 1) ^ (i * i + 1) << 32) & (2**64 - 1) | 1 for i in range(4096)], dtype=np.uint64)
-_NO_WORDS = np.zeros(0, dtype=np.uint64)
+#: Words of an anchor, and frequent words with a number of their own; the first COMMON of these lead long prefixes.
+ANCHOR, DICTIONARY, COMMON = 3, 60_000, 1024
+#: Documents whose words the dictionary is made of; it decides sizes, never results.
+DICTIONARY_ROWS = 10_000
+SPELLED = 0xFFFF
+_M1, _M2, _M3 = np.uint64(0x9E3779B97F4A7C15), np.uint64(0xBF58476D1CE4E5B9), np.uint64(0x94D049BB133111EB)
 
 
 def words_of(text: str | None) -> list[bytes]:
     return (text or "").encode().split()
 
 
-def suffix_digests(words: list[bytes], length: int) -> np.ndarray:
-    """64-bit digests of the suffixes of at least ``length`` words, cut at ``length``."""
-    if len(words) < length:
-        return _NO_WORDS
-    known = {w: xxhash.xxh3_64_intdigest(w) for w in set(words)}
-    h = np.fromiter(map(known.__getitem__, words), dtype=np.uint64, count=len(words))
-    n = len(words) - length + 1
-    out = np.zeros(n, dtype=np.uint64)
-    for i in range(length):
-        x = (h[i : i + n] + _ODD[i]) * _ODD[i + length]
-        out = (out ^ (x ^ (x >> np.uint64(29)))) * np.uint64(0xBF58476D1CE4E5B9)
-    return out ^ (out >> np.uint64(32))
+def mixed(x: np.ndarray) -> np.ndarray:
+    x = (x ^ (x >> np.uint64(30))) * _M2
+    x = (x ^ (x >> np.uint64(27))) * _M3
+    return x ^ (x >> np.uint64(31))
 
 
-def _packed(digest: np.ndarray, doc: np.ndarray) -> bytes:
-    """Sorted digests as differences and documents as offsets, in the smallest integers that hold them."""
-    base = int(doc.min())
-    d, o = np.diff(digest, prepend=np.uint64(0)), (doc - base).astype(np.uint64)
-    first, d = int(d[0]), d[1:]
-    high = (d >> np.uint64(32)).astype(np.uint64)
-    kinds = [next(k for k in ("u2", "u4", "u8") if int(x.max(initial=0)) <= np.iinfo(k).max) for x in (high, o)]
-    head = np.array([len(digest), first, base & (2**64 - 1), int(kinds[0][1]), int(kinds[1][1])], dtype="<u8")
-    return b"".join(x.tobytes() for x in (head, d.astype("<u4"), high.astype("<" + kinds[0]), o.astype("<" + kinds[1])))
+def digests(codes: np.ndarray, starts: np.ndarray, length: int) -> np.ndarray:
+    """64-bit digests of the windows at ``starts``; different windows may share one."""
+    h = mixed(codes.astype(np.uint64) * _M1 + _M1)
+    out = np.zeros(len(starts), dtype=np.uint64)
+    for j in range(length):
+        out = (out ^ h[starts + j]) * _M1
+        out ^= out >> np.uint64(29)
+    return out
 
 
-def _unpacked(blob: bytes) -> tuple[np.ndarray, np.ndarray]:
-    n, first, base, a, b = (int(x) for x in np.frombuffer(blob, "<u8", 5))
-    low = np.frombuffer(blob, "<u4", n - 1, 40).astype(np.uint64)
-    high = np.frombuffer(blob, f"<u{a}", n - 1, 40 + 4 * (n - 1)).astype(np.uint64)
-    off = np.frombuffer(blob, f"<u{b}", n, 40 + (4 + a) * (n - 1))
-    digest = np.cumsum(np.concatenate([np.array([first], dtype=np.uint64), (high << np.uint64(32)) | low]), dtype=np.uint64)
-    return digest, (np.array([base], dtype=np.uint64) + off.astype(np.uint64)).view(np.int64)
+def deep_nodes(codes: np.ndarray, starts: np.ndarray, length: int) -> tuple[np.ndarray, np.ndarray]:
+    """(leaves, node): the windows that have an equal one, sorted by their words, and a number for each internal node of depth ``length``."""
+    digest = digests(codes, starts, length)
+    order = np.argsort(digest, kind="stable")
+    sorted_digest = digest[order]
+    same = sorted_digest[1:] == sorted_digest[:-1]
+    twin = np.concatenate([[False], same]) | np.concatenate([same, [False]]) if len(order) else np.zeros(0, dtype=bool)
+    leaves = order[twin]
+    per = 3 if not len(codes) or int(codes.max()) < 1 << 21 else 2
+    bits = np.uint64(64 // per if per == 2 else 21)
+    keys = []
+    for j in range(0, length, per):  # several words in one integer
+        key = np.zeros(len(leaves), dtype=np.uint64)
+        for i in range(j, min(j + per, length)):
+            key = (key << bits) | codes[starts[leaves] + i].astype(np.uint64)
+        keys.append(key)
+    by = np.lexsort(keys[::-1])
+    leaves, keys = leaves[by], [k[by] for k in keys]
+    apart = np.zeros(max(0, len(leaves) - 1), dtype=bool)  # neighbours whose common prefix is shorter
+    for k in keys:
+        apart |= k[1:] != k[:-1]
+    node = np.concatenate([[0], np.cumsum(apart)]) if len(leaves) else np.zeros(0, dtype=np.int64)
+    return leaves, node
+
+
+def later_windows(codes: np.ndarray, starts: np.ndarray, doc: np.ndarray, length: int) -> np.ndarray:
+    """Which windows also start in a smaller document."""
+    leaves, node = deep_nodes(codes, starts, length)
+    later = np.zeros(len(starts), dtype=bool)
+    if len(leaves):
+        first = np.flatnonzero(np.concatenate([[True], node[1:] != node[:-1]]))
+        least = np.minimum.reduceat(doc[leaves], first)
+        later[leaves] = doc[leaves] > least[node]
+    return later
+
+
+class Coder(dict):
+    """Words to integers: those of the dictionary have theirs, others get the next."""
+
+    def __init__(self, words: list[bytes]):
+        super().__init__(zip(words, range(len(words)), strict=True))
+        self.own = len(words)
+        self.more: list[bytes] = []
+
+    def __missing__(self, word: bytes) -> int:
+        self[word] = n = self.own + len(self.more)
+        self.more.append(word)
+        return n
+
+    def forget(self) -> None:
+        for w in self.more:
+            del self[w]
+        self.more = []
+
+
+def _spans(lengths: np.ndarray) -> np.ndarray:
+    """0 to n - 1 for each of ``lengths``, joined."""
+    return np.arange(int(lengths.sum())) - np.repeat(np.cumsum(lengths) - lengths, lengths)
+
+
+def frequent_words(docs: DataFrame, rows: int = DICTIONARY_ROWS, most: int = DICTIONARY) -> list[bytes]:
+    """The most frequent words of at most about ``rows`` documents, most frequent first."""
+    some = hash_sample(docs.where("doc_id IS NOT NULL"), "doc_id", rows).select(F.explode(F.split("text", r"[ \t-\r]+")).alias("w")).where("w <> ''")
+    top = some.groupBy("w").agg(F.count("*").alias("n")).orderBy(F.desc("n"), "w").limit(most)
+    return [r.w.encode() for r in top.collect()]  # ``most`` rows
 
 
-def _later(digest: np.ndarray, doc: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """Of leaves sorted by (digest, doc): which begin a node, and which belong to a larger document than their node's smallest."""
-    begins = np.concatenate([[True], digest[1:] != digest[:-1]])
-    least = doc[np.maximum.accumulate(np.where(begins, np.arange(len(doc)), 0))]
-    return begins, doc > least
+def bucket_column(doc: Column, buckets: int) -> Column:
+    return F.pmod(F.xxhash64(doc), F.lit(buckets))
 
 
-def bucket_number(doc: np.ndarray, buckets: int) -> np.ndarray:
-    return np.mod(doc ^ (doc >> 11) ^ (doc >> 23) ^ (doc >> 37), buckets)
+TOLD = pa.schema([("doc", pa.int64()), ("mark", pa.int64()), ("start", pa.list_(pa.int64())), ("count", pa.list_(pa.int64()))])
+PACKED = pa.schema([
+    ("prefix", pa.int64()), ("docs", pa.list_(pa.int64())), ("marks", pa.list_(pa.int64())), ("owner", pa.list_(pa.int32())), ("start", pa.list_(pa.int32())),
+    ("count", pa.list_(pa.int8())), ("words", pa.binary()), ("spelled", pa.list_(pa.int32())), ("vocabulary", pa.list_(pa.binary())), *TOLD.remove(2).remove(2), ("runs", pa.list_(pa.int64())), ("sizes", pa.list_(pa.int64())),
+])
+PACKED_DDL = "prefix long, docs array<long>, marks array<long>, owner array<int>, start array<int>, count array<tinyint>, words binary, spelled array<int>, vocabulary array<binary>, doc long, mark long, runs array<long>, sizes array<long>"
 
 
-def bucket_column(doc: Column, buckets: int) -> Column:
-    """``bucket_number`` in Spark; a null is in none."""
-    mixed = doc.bitwiseXOR(F.shiftright(doc, 11)).bitwiseXOR(F.shiftright(doc, 23)).bitwiseXOR(F.shiftright(doc, 37))
-    return F.pmod(mixed, F.lit(buckets))
-
-
-def _told(digest: np.ndarray, doc: np.ndarray, buckets: int) -> Iterator[tuple[int, bytes]]:
-    """(bucket of documents, its documents, how many suffixes of each, and their digests) of leaves in any order."""
-    if len(doc):
-        bucket = bucket_number(doc, buckets)
-        order = np.lexsort((doc, bucket))
-        digest, doc, bucket = digest[order], doc[order], bucket[order]
-        edge = np.concatenate([[0], np.flatnonzero(np.diff(bucket)) + 1, [len(doc)]])
-        for i, j in zip(edge[:-1].tolist(), edge[1:].tolist(), strict=True):
-            ids, n = np.unique(doc[i:j], return_counts=True)
-            yield int(bucket[i]), b"".join((np.array([len(ids)], "<i8").tobytes(), ids.astype("<i8").tobytes(), n.astype("<i4").tobytes(), digest[i:j].tobytes()))
-
-
-def _heard(blobs: list[bytes]) -> dict[int, list[np.ndarray]]:
-    """Suffix digests by document."""
-    out: dict[int, list[np.ndarray]] = {}
-    for x in blobs:
-        n = int(np.frombuffer(x, "<i8", 1)[0])
-        ids, counts = np.frombuffer(x, "<i8", n, 8), np.frombuffer(x, "<i4", n, 8 + 8 * n)
-        parts = np.split(np.frombuffer(x, "<u8", offset=8 + 12 * n), np.cumsum(counts)[:-1])
-        for d, part in zip(ids.tolist(), parts, strict=True):
-            out.setdefault(d, []).append(part)
-    return out
+def _told_rows(doc: np.ndarray, mark: np.ndarray, start: np.ndarray) -> Iterator[tuple]:
+    """(doc, mark, starts, counts): the told windows of each document as runs."""
+    if not len(doc):
+        return
+    order = np.lexsort((start, mark, doc))
+    doc, mark, start = doc[order], mark[order], start[order]
+    own = np.concatenate([[True], (doc[1:] != doc[:-1]) | (mark[1:] != mark[:-1])])
+    first = np.flatnonzero(own | np.concatenate([[True], start[1:] != start[:-1] + 1]))
+    count = np.diff(np.append(first, len(doc)))
+    edge = np.append(np.flatnonzero(own[first]), len(first))
+    for i, j in zip(edge[:-1].tolist(), edge[1:].tolist(), strict=True):
+        yield int(doc[first[i]]), int(mark[first[i]]), start[first[i:j]], count[i:j]
 
 
-def _batches(rows: Iterator[tuple], schema: pa.Schema, size: int = 64 << 20) -> Iterator[pa.RecordBatch]:
+def _batches(rows: Iterator[dict], schema: pa.Schema, size: int = 16 << 20) -> Iterator[pa.RecordBatch]:
     held, held_bytes = [], 0
+
+    def batch() -> pa.RecordBatch:
+        return pa.RecordBatch.from_arrays([pa.array([r.get(f.name) for r in held], f.type) for f in schema], schema=schema)
+
     for row in rows:
         held.append(row)
-        held_bytes += 64 + sum(len(x) for x in row if isinstance(x, bytes))
+        held_bytes += 64 + sum(getattr(x, "nbytes", len(x) if isinstance(x, bytes) else 0) for x in row.values())
         if held_bytes > size:
-            yield pa.RecordBatch.from_pylist([dict(zip(schema.names, r, strict=True)) for r in held], schema)
+            yield batch()
             held, held_bytes = [], 0
-    yield pa.RecordBatch.from_pylist([dict(zip(schema.names, r, strict=True)) for r in held], schema)
+    yield batch()
 
 
-def repeated_suffixes(docs: DataFrame, length: int, prefix_bits: int) -> DataFrame:
-    """(bucket, data): packed digests of the suffixes that a smaller doc_id has too, by bucket of documents. A bucket has a row per block of suffixes at most."""
-    schema = pa.schema([("prefix", pa.int64()), ("bucket", pa.int64()), ("data", pa.binary())])
-    told = pa.schema([("bucket", pa.int64()), ("data", pa.binary())])
+def repeated_windows(docs: DataFrame, length: int, prefix_bits: int, words: list[bytes]) -> DataFrame:
+    """(doc, mark, start, count): runs of windows that also start in a smaller document, by document and digest of its text; may have several rows each."""
     groups = 1 << prefix_bits
-
-    def leaves(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple]:
-        digests: list[np.ndarray] = []
-        owners: list[int] = []
-        held = 0
-
-        def block() -> Iterator[tuple]:
-            digest = np.concatenate(digests)
-            doc = np.repeat(np.array(owners, dtype=np.int64), [len(d) for d in digests])
-            order = np.argsort(doc, kind="stable")
-            order = order[np.argsort(digest[order], kind="stable")]
-            digest, doc = digest[order], doc[order]
-            begins, later = _later(digest, doc)
-            same = np.concatenate([[False], (digest[1:] == digest[:-1]) & (doc[1:] == doc[:-1])])
-            for k, data in _told(digest[later & ~same], doc[later & ~same], groups + 1):
-                yield None, k, data
-            digest, doc = digest[begins], doc[begins]
-            cut = np.searchsorted(digest >> np.uint64(64 - prefix_bits), np.arange(groups + 1, dtype=np.uint64)) if prefix_bits else [0, len(digest)]
-            for g in np.flatnonzero(np.diff(cut)).tolist():
-                yield g, None, _packed(digest[cut[g] : cut[g + 1]], doc[cut[g] : cut[g + 1]])
+    anchor = min(ANCHOR, length)
+    known = np.array([xxhash.xxh3_64_intdigest(w) for w in words], dtype=np.uint64)
+
+    def settled(codes: np.ndarray, size: np.ndarray, docs_of: np.ndarray, marks: np.ndarray, coder: Coder) -> Iterator[dict]:
+        """Told windows of a block, and its other windows as packed runs by group."""
+        owner = np.repeat(np.arange(len(size)), size)
+        at = _spans(size)
+        starts = np.flatnonzero(at + length <= size[owner])
+        if not len(starts):
+            return
+        gone = later_windows(codes, starts, docs_of[owner[starts]], length)
+        for d, m, s, n in _told_rows(docs_of[owner[starts[gone]]], marks[owner[starts[gone]]], at[starts[gone]]):
+            yield {"doc": d, "mark": m, "runs": s, "sizes": n}
+        starts = starts[~gone]
+        if not len(starts):
+            return
+        own = np.concatenate([known, np.array([xxhash.xxh3_64_intdigest(w) for w in coder.more], dtype=np.uint64)])[codes]
+        n = len(codes) - anchor + 1
+        gram, rank = np.zeros(n, dtype=np.uint64), np.zeros(n, dtype=np.int64)
+        for j in range(anchor):
+            gram = mixed((gram ^ own[j : j + n]) * _M1 + np.uint64(j + 1))
+            rank = np.maximum(rank, codes[j : j + n])
+        common = rank < COMMON
+        # rarest first: sixteen classes of rank, then by hash
+        rarity = np.minimum(15, np.where(rank >= coder.own, 16, np.log2(rank + 1.0)).astype(np.int64)).astype(np.uint64)
+        order_key = ((np.uint64(15) - rarity) << np.uint64(60)) | (gram >> np.uint64(4))
+        best, place = order_key[starts], starts.copy()
+        for j in range(1, length - anchor + 1):
+            other = order_key[starts + j]
+            less = other < best
+            best, place = np.where(less, other, best), np.where(less, starts + j, place)
+        alone = common[place]
+        deal = gram[place]
+        if alone.any():
+            whole = own[starts[alone]].copy()
+            for j in range(1, length):
+                whole = mixed((whole ^ own[starts[alone] + j]) * _M1)
+            deal[alone] = whole
+        new = np.concatenate([[True], (starts[1:] != starts[:-1] + 1) | (place[1:] != place[:-1]) | alone[1:] | (owner[starts[1:]] != owner[starts[:-1]])])
+        first = np.flatnonzero(new)
+        count = np.diff(np.append(first, len(starts)))
+        group = (deal[first] >> np.uint64(64 - prefix_bits)).astype(np.int64) if prefix_bits else np.zeros(len(first), dtype=np.int64)
+        by = np.argsort(group, kind="stable")
+        first, count, group = first[by], count[by], group[by]
+        edge = np.append(np.flatnonzero(np.concatenate([[True], group[1:] != group[:-1]])), len(group))
+        for i, j in zip(edge[:-1].tolist(), edge[1:].tolist(), strict=True):
+            s, c = starts[first[i:j]], count[i:j]
+            flat = codes[np.repeat(s, c + length - 1) + _spans(c + length - 1)]
+            rare = flat >= coder.own
+            names, spelled = np.unique(flat[rare], return_inverse=True)
+            held, mine = np.unique(owner[s], return_inverse=True)
+            yield {
+                "prefix": int(group[i]), "docs": docs_of[held], "marks": marks[held], "owner": mine.astype(np.int32), "start": at[s].astype(np.int32), "count": c.astype(np.int8),
+                "words": np.where(rare, SPELLED, flat).astype("<u2").tobytes(), "spelled": spelled.astype(np.int32), "vocabulary": [coder.more[x - coder.own] for x in names.tolist()],
+            }
+
+    def leaves(batches: Iterator[pa.RecordBatch]) -> Iterator[dict]:
+        coder = Coder(words)
+        codes, owners, marks, held = [], [], [], 0
+
+        def block() -> Iterator[dict]:
+            yield from settled(np.concatenate(codes), np.array([len(c) for c in codes]), np.array(owners, dtype=np.int64), np.array(marks, dtype=np.int64), coder)
 
         for b in batches:
             for d, text in zip(b.column(0).to_pylist(), b.column(1), strict=True):
-                found = suffix_digests(words_of(text.as_py()), length)
-                if d is not None and len(found):
-                    digests.append(found)
-                    owners.append(d)
-                    held += len(found)
-                    if held >= BLOCK:
-                        yield from block()
-                        digests.clear()
-                        owners.clear()
-                        held = 0
+                raw = (text.as_py() or "").encode()
+                found = raw.split()
+                if len(found) < length:
+                    continue
+                codes.append(np.fromiter(map(coder.__getitem__, found), dtype=np.int64, count=len(found)))
+                owners.append(d)
+                marks.append(xxhash.xxh3_64_intdigest(raw) - (1 << 63))
+                held += len(found)
+                if held >= BLOCK:
+                    yield from block()
+                    codes.clear(), owners.clear(), marks.clear(), coder.forget()
+                    held = 0
         if held:
             yield from block()
 
-    def subtree(blobs: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
-        parts = [_unpacked(x) for x in blobs]
-        digest, doc = np.concatenate([p[0] for p in parts]), np.concatenate([p[1] for p in parts])
-        order = np.lexsort((doc, digest))
-        digest, doc = digest[order], doc[order]
-        later = _later(digest, doc)[1]
-        return digest[later], doc[later]
-
-    def subtrees(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[int, bytes]]:
-        """Rows come sorted by prefix. What groups of one task tell goes out together, a block of suffixes at a time."""
-        at, held, found, size = None, [], [], 0
-
-        def tell() -> Iterator[tuple[int, bytes]]:
-            yield from _told(np.concatenate([f[0] for f in found]), np.concatenate([f[1] for f in found]), groups + 1)
-
+    def subtree(rows: list[dict]) -> Iterator[dict]:
+        """Told windows of one group."""
+        coder = Coder(words)
+        parts, docs_of, marks, owner, start, count = [], [], [], [], [], []
+        seen = 0
+        for r in rows:
+            flat = np.frombuffer(r["words"], "<u2").astype(np.int64)
+            names = np.array([coder[w] for w in r["vocabulary"]], dtype=np.int64)
+            flat[flat == SPELLED] = names[np.array(r["spelled"], dtype=np.int64)] if len(names) else 0
+            parts.append(flat)
+            docs_of.append(r["docs"])
+            marks.append(r["marks"])
+            owner.append(np.asarray(r["owner"], dtype=np.int64) + seen)
+            start.append(np.asarray(r["start"], dtype=np.int64))
+            count.append(np.asarray(r["count"], dtype=np.int64))
+            seen += len(r["docs"])
+        codes, owner, start, count = (np.concatenate(x) for x in (parts, owner, start, count))
+        docs_of, marks = np.concatenate(docs_of).astype(np.int64), np.concatenate(marks).astype(np.int64)
+        span = count + length - 1
+        begin = np.cumsum(span) - span
+        starts = np.repeat(begin, count) + _spans(count)
+        own, at = np.repeat(owner, count), np.repeat(start, count) + _spans(count)
+        gone = later_windows(codes, starts, docs_of[own], length)
+        for d, m, s, n in _told_rows(docs_of[own[gone]], marks[own[gone]], at[gone]):
+            yield {"doc": d, "mark": m, "start": s, "count": n}
+
+    def subtrees(batches: Iterator[pa.RecordBatch]) -> Iterator[dict]:
+        """Rows come sorted by prefix; told windows of blocks have none and pass through."""
+        group, held = None, []
         for b in batches:
-            for g, k, data in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), b.column(2), strict=True):
-                if g is None:
-                    yield k, data.as_py()
+            for i in range(b.num_rows):
+                prefix = b.column("prefix")[i].as_py()
+                if prefix is None:
+                    yield {"doc": b.column("doc")[i].as_py(), "mark": b.column("mark")[i].as_py(), "start": b.column("runs")[i].values.to_numpy(), "count": b.column("sizes")[i].values.to_numpy()}
                     continue
-                if g != at and held:
-                    found.append(subtree(held))
-                    held, size = [], size + len(found[-1][0])
-                    if size >= BLOCK:
-                        yield from tell()
-                        found, size = [], 0
-                at = g
-                held.append(data.as_py())
+                if prefix != group and held:
+                    yield from subtree(held)
+                    held = []
+                group = prefix
+                row = {n: b.column(n)[i] for n in ("docs", "marks", "owner", "start", "count", "spelled")}
+                held.append({n: v.values.to_numpy() for n, v in row.items()} | {"words": b.column("words")[i].as_py(), "vocabulary": b.column("vocabulary")[i].as_py()})
         if held:
-            found.append(subtree(held))
-        if found:
-            yield from tell()
+            yield from subtree(held)
 
-    made = docs.mapInArrow(lambda it: _batches(leaves(it), schema, 8 << 20), "prefix long, bucket long, data binary")
-    dealt = made.repartition(F.coalesce("prefix", -1 - F.col("bucket"))).sortWithinPartitions("prefix")
-    return dealt.mapInArrow(lambda it: _batches(subtrees(it), told, 8 << 20), "bucket long, data binary")
+    made = docs.where("doc_id IS NOT NULL").mapInArrow(lambda it: _batches(leaves(it), PACKED, 8 << 20), PACKED_DDL)
+    dealt = made.repartition(F.coalesce("prefix", -1 - F.pmod(F.xxhash64("doc"), F.lit(groups)))).sortWithinPartitions("prefix")
+    return dealt.mapInArrow(lambda it: _batches(subtrees(it), TOLD, 8 << 20), "doc long, mark long, start array<long>, count array<long>")
 
 
 def remove_repeats(docs: DataFrame, length: int = 13, id_col: str = "doc_id", text_col: str = "text", prefix_bits: int | None = None) -> DataFrame:
@@ -214,42 +306,72 @@ def remove_repeats(docs: DataFrame, length: int = 13, id_col: str = "doc_id", te
     """
     slim = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"))
     if prefix_bits is None:
-        suffixes = (slim.agg(F.sum(F.octet_length("text"))).first()[0] or 0) / 6
-        prefix_bits = max(8, int(np.ceil(np.log2(max(1.0, suffixes / GROUP)))))
-    told = repeated_suffixes(slim, length, prefix_bits)
+        windows = (slim.agg(F.sum(F.octet_length("text"))).first()[0] or 0) / 6
+        prefix_bits = max(8, int(np.ceil(np.log2(max(1.0, windows / GROUP)))))
+    told = repeated_windows(slim, length, prefix_bits, frequent_words(slim))
     rest = docs.drop("n_words", "n_removed", "kept_text")
+    names = rest.columns
     schema = rest.select("*", F.lit(0).cast("long").alias("n_words"), F.lit(0).cast("long").alias("n_removed"), F.lit("").alias("kept_text")).schema
-    buckets = (1 << prefix_bits) + 1
-    at = rest.columns.index(id_col), rest.columns.index(text_col)
-    anywhere = F.pmod(F.xxhash64(text_col), F.lit(buckets))
-    placed = rest.withColumn("_bucket", F.coalesce(bucket_column(F.col(id_col).cast("long"), buckets), anywhere))
-
-    def work(rows: pa.Table, blobs: pa.Table) -> pa.Table:
-        cut = _heard(blobs.column("data").to_pylist())
-        kept, n, gone = [], [], []
-        for d, text in zip(rows.column(at[0]).to_pylist(), rows.column(at[1]), strict=True):
-            words = words_of(text.as_py())
+    own = [unused(rest, n) for n in ("told_doc", "told_mark", "told_start", "told_count", "told_bucket")]
+    buckets = max(1, 1 << prefix_bits)
+    heard = told.toDF(*own[:4]).withColumn(own[4], bucket_column(F.col(own[0]), buckets))
+    key = F.col(id_col).cast("long")
+    placed = rest.where(key.isNotNull()).withColumn(own[4], bucket_column(key, buckets))
+    both = heard.unionByName(placed, allowMissingColumns=True).select(*names, *own)
+    both = both.repartition(own[4]).sortWithinPartitions(F.col(own[4]), F.col(own[0]).asc_nulls_last())
+
+    def kept(texts: pa.Array, ids: list, cut: dict) -> list[pa.Array]:
+        n, gone, left = [], [], []
+        for d, text in zip(ids, texts, strict=True):
+            raw = (text.as_py() or "").encode()
+            words = raw.split()
             n.append(len(words))
-            if d is not None and int(d) in cut:
-                starts = np.isin(suffix_digests(words, length), np.concatenate(cut[int(d)]))
-                ends = np.zeros(len(words) + 1, dtype=np.int64)
-                ends[: len(starts)] += starts
-                ends[length : length + len(starts)] -= starts
-                stay = np.cumsum(ends[:-1]) == 0
-                words = [words[i] for i in np.flatnonzero(stay).tolist()]
+            found = cut.get((int(d), xxhash.xxh3_64_intdigest(raw) - (1 << 63))) if cut and d is not None else None
+            if found:
+                change = np.zeros(len(words) + 1, dtype=np.int64)
+                for start, count in found:
+                    np.add.at(change, start, 1)
+                    np.add.at(change, start + count + length - 1, -1)
+                words = [words[i] for i in np.flatnonzero(np.cumsum(change[:-1]) == 0).tolist()]
             gone.append(n[-1] - len(words))
-            kept.append(b" ".join(words).decode())
-        cols = [rows.column(i) for i in range(rows.num_columns - 1)]
-        return pa.Table.from_arrays([*cols, pa.array(n, pa.int64()), pa.array(gone, pa.int64()), pa.array(kept, pa.string())], [*rows.column_names[:-1], "n_words", "n_removed", "kept_text"])
+            left.append(b" ".join(words).decode())
+        return [pa.array(n, pa.int64()), pa.array(gone, pa.int64()), pa.array(left, pa.string())]
 
-    return placed.groupBy("_bucket").cogroup(told.groupBy("bucket")).applyInArrow(work, schema)
+    out_names = [*names, "n_words", "n_removed", "kept_text"]
+    at_id, at_text = names.index(id_col), names.index(text_col)
+
+    def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        """Rows come sorted by bucket, what a bucket is told before its documents, which pass one by one."""
+        bucket, cut = None, {}
+        for b in batches:
+            at = b.column(own[4]).to_numpy()
+            is_doc = b.column(own[0]).is_null().to_numpy(zero_copy_only=False)
+            edge = np.flatnonzero(np.concatenate([[True], at[1:] != at[:-1]])) if len(at) else np.zeros(0, dtype=np.int64)
+            columns: list[list[pa.Array]] = []
+            for i, j in zip(edge.tolist(), [*edge[1:].tolist(), len(at)], strict=True):
+                if at[i] != bucket:
+                    bucket, cut = at[i], {}
+                mid = i + int((~is_doc[i:j]).sum())
+                for r in range(i, mid):
+                    cut.setdefault((b.column(own[0])[r].as_py(), b.column(own[1])[r].as_py()), []).append((b.column(own[2])[r].values.to_numpy(), b.column(own[3])[r].values.to_numpy()))
+                part = b.slice(mid, j - mid)
+                columns.append([*part.columns[: len(names)], *kept(part.column(at_text), part.column(at_id).to_pylist(), cut)])
+            for c in columns:
+                if len(c[0]):
+                    yield pa.RecordBatch.from_arrays(c, out_names)
+
+    def alone(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            yield pa.RecordBatch.from_arrays([*b.columns, *kept(b.column(at_text), [None] * b.num_rows, {})], out_names)
+
+    return both.mapInArrow(work, schema).unionByName(rest.where(key.isNull()).mapInArrow(alone, schema))
 
 
 def op3_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Per document the words it has, those removed and a digest of those kept; see ``remove_repeats``."""
     docs = table(spark, sf_dir, "documents").select("doc_id", "text")
     return remove_repeats(docs).select("doc_id", "n_words", "n_removed", F.sha2(F.col("kept_text").cast("binary"), 256).alias("kept_sha256"))
 
-
 OP3_SQL = r"""
 WITH w AS (SELECT doc_id, row_number() OVER () AS rid, list_filter(regexp_split_to_array(coalesce(text, ''), '[\x20\x09-\x0D]+'), lambda x: x <> '') AS words FROM documents),
 win AS (SELECT rid, doc_id, i, array_to_string(words[i:i + 12], ' ') AS gram FROM w, unnest(range(1, len(words) - 11)) AS t(i)),

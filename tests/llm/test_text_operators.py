@@ -42,12 +42,36 @@ def test_suffix_dedup(docs, odd, monkeypatch):
         assert Counter(map(tuple, got)) == Counter(windows_removed(rows))
 
 
-def test_suffix_blocks(docs, monkeypatch):
-    whole = substring.remove_repeats(docs).select("doc_id", "n_removed").collect()
-    assert sum(r.n_removed for r in whole) > 0
-    digest, doc = np.array([5, 9, 2**63 + 7], dtype=np.uint64), np.array([-4, 2**40, 7])
-    back = substring._unpacked(substring._packed(digest, doc))
-    assert all((a == b).all() for a, b in zip(back, (digest, doc), strict=True))
+def test_suffixes_by_words_alone(spark, docs, monkeypatch):
+    """Every digest collides, blocks are small and the dictionary has few words: words decide."""
+    rows = [(r.doc_id, r.text) for r in docs.where("doc_id < 60").select("doc_id", "text").collect()]
+    from kdforest.llm.substring import Coder, later_windows
+
+    monkeypatch.setattr(substring, "digests", lambda codes, starts, length: np.zeros(len(starts), dtype=np.uint64))
+    coder = Coder([b"the", b"of"])
+    words = [(d, (t or "").encode().split()) for d, t in rows]
+    codes = np.concatenate([np.array([coder[w] for w in ws], dtype=np.int64) for _, ws in words])
+    owner = np.repeat(np.arange(len(words)), [len(ws) for _, ws in words])
+    starts = np.array([i for i in range(len(codes) - 12) if owner[i] == owner[i + 12]])
+    ids = np.array([d for d, _ in words])
+    later = later_windows(codes, starts, ids[owner[starts]], 13)
+    gone = Counter()
+    for s in starts[later].tolist():
+        gone.update({(owner[s], p) for p in range(s, s + 13)})
+    per = Counter(ids[o] for o, _ in gone)
+    assert {d: per[d] for d, *_ in windows_removed(rows)} == {d: n for d, _, n, _ in windows_removed(rows)}
+
+
+def test_suffix_blocks(docs, odd, monkeypatch):
+    monkeypatch.setattr(substring, "BLOCK", 300)
+    monkeypatch.setattr(substring, "DICTIONARY", 50)
+    clash = docs.withColumnsRenamed({"source": "told_bucket", "lang": "_bucket", "n_chars": "told_doc"})
+    for table, bits in ((clash, 4), (odd, 2)):
+        rows = [(r.doc_id, r.text) for r in table.select("doc_id", "text").collect()]
+        out = substring.remove_repeats(table, prefix_bits=bits)
+        assert out.columns[: len(table.columns)] == table.columns
+        got = out.select("doc_id", "n_words", "n_removed", F.sha2(F.col("kept_text").cast("binary"), 256)).collect()
+        assert Counter(map(tuple, got)) == Counter(windows_removed(rows))
 
 
 def plain_simhash(text):
