@@ -4,8 +4,9 @@ A text is the set of its paragraphs, cut further at sentence ends. Each has a 32
 of each of three subtables: the cell holds a signed count, the XOR of digests and the XOR of 16-bit checks. The
 difference of two sketches holds only the digests that one side has; peeling takes a cell with a single digest,
 removes it from its other cells, and goes on. A pair is peeled in a small folded table first, then in the full
-one; pairs that stay hidden are sketched again with a larger table, and what that leaves is compared digest by digest.
-``recovered`` goes on with larger tables until every digest is known.
+one; pairs that stay hidden are sketched again from their digests with tables four times as large, and so on, until every
+differing digest is known. A text's sketch is made in its row; texts travel once, to meet the next, and digests of hidden
+pairs a second time.
 """
 
 from __future__ import annotations
@@ -18,26 +19,29 @@ from kdforest.llm.common import table, written
 TABLES = 3
 CELLS = 16  # of a subtable
 FOLDED = 4
-RETRIED = 64  # cells of a subtable for pairs that the fixed ones can't peel
+RETRIED, MOST_CELLS = 64, 1024  # cells of a subtable for pairs that the fixed ones can't peel, at first and at most
 #: Pieces end with a line or a sentence.
 PIECE_ENDS = r"\n+|(?<=[.!?])[ ]+"
 
 
-def pieces(text: Column) -> Column:
-    return F.array_distinct(F.array_remove(F.split(text, PIECE_ENDS), ""))
+def digests(text: Column) -> Column:
+    """The distinct digests of a text's pieces, as signed integers."""
+    return F.array_distinct(F.transform(F.array_remove(F.split(text, PIECE_ENDS), ""), lambda p: F.xxhash64(p).bitwiseAND(F.lit(0xFFFFFFFF)).bitwiseXOR(F.lit(0x80000000)) - F.lit(0x80000000).cast("long"))).cast("array<int>")
 
 
-def key_of(piece: Column) -> Column:
-    return F.xxhash64(piece).bitwiseAND(F.lit(0xFFFFFFFF))
+def unsigned(digest: Column) -> Column:
+    return digest.cast("long").bitwiseAND(F.lit(0xFFFFFFFF))
 
 
 def mixed(key: Column) -> Column:
-    """Decides a digest's cells (bits 0, 8 and 16 on), its sign (bit 60) and its check (bits 32 on)."""
+    """Decides a digest's sign (bit 60), its check (bits 32 on) and its cells: bits 0, 8 and 16 on in tables of up to 256 cells."""
     return F.xxhash64(F.lit(7), key)
 
 
 def cell_of(h: Column, t: int, cells: int) -> Column:
-    return F.shiftright(h, 8 * t).bitwiseAND(F.lit(cells - 1).cast("long")) + t * cells
+    """The cell in subtable ``t``; that of a table with fewer cells has its low bits. Larger tables hash once more."""
+    source = F.shiftright(h, 8 * t) if cells <= 256 else F.xxhash64(F.lit(t), h)
+    return source.bitwiseAND(F.lit(cells - 1).cast("long")) + t * cells
 
 
 def sign_of(h: Column) -> Column:
@@ -48,17 +52,39 @@ def check_of(h: Column) -> Column:
     return F.shiftright(h, 32).bitwiseAND(F.lit(0xFFFF).cast("long"))
 
 
-def sketched(rows: DataFrame, by: list[str], piece_list: str, cells: int = CELLS) -> DataFrame:
-    """(*by, cells): the sketch of each row's pieces; a row without any has empty cells.
+def hashed(keys: Column, cells: int = CELLS) -> Column:
+    """Each digest with its count, check and cells."""
+
+    def one(key: Column) -> Column:
+        k = unsigned(key)
+        h = mixed(k)
+        return F.struct(k.alias("k"), sign_of(h).alias("c"), check_of(h).alias("x"), F.array(*[cell_of(h, t, cells) for t in range(TABLES)]).alias("at"))
+
+    return F.transform(keys, one)
+
+
+def sketch(entries: Column, cells: int = CELLS) -> Column:
+    """The cells (c, k, x) of ``hashed`` digests, made in their row."""
+    zero = F.lit(0).cast("long")
+    empty = F.struct(zero.alias("c"), zero.alias("k"), zero.alias("x"))
+    every = F.sequence(F.lit(0).cast("long"), F.lit(TABLES * cells - 1).cast("long"))
+
+    def merged(acc: Column, e: Column) -> Column:
+        return F.struct((acc["c"] + e["c"]).alias("c"), acc["k"].bitwiseXOR(e["k"]).alias("k"), acc["x"].bitwiseXOR(e["x"]).alias("x"))
+
+    return F.transform(every, lambda i: F.aggregate(F.filter(entries, lambda e: F.array_contains(e["at"], i)), empty, merged))
+
+
+def sketched(rows: DataFrame, by: list[str], keys: str, cells: int) -> DataFrame:
+    """(*by, cells): larger sketches, by grouped aggregation; a row without digests has empty cells.
 
     Rows with the same ``by`` are one set. If rows are dealt by some of ``by`` already, nothing is dealt anew.
     """
     every = F.sequence(F.lit(0).cast("long"), F.lit(TABLES * cells - 1).cast("long"))
-    one = rows.select(*by, F.explode(F.concat(F.col(piece_list), F.array(F.lit(None).cast("string")))).alias("piece"))
-    hashed = one.select(*by, F.when(F.col("piece").isNotNull(), key_of(F.col("piece"))).alias("key"))
+    one = rows.select(*by, F.explode(F.concat(F.col(keys), F.array(F.lit(None).cast("int")))).alias("key")).withColumn("key", unsigned(F.col("key")))
     h = mixed(F.col("key"))
     cell = F.explode(F.when(F.col("key").isNull(), every).otherwise(F.array(*[cell_of(F.col("h"), t, cells) for t in range(TABLES)]))).alias("cell")
-    dealt = hashed.select(*by, "key", h.alias("h")).select(*by, "key", "h", cell)
+    dealt = one.select(*by, "key", h.alias("h")).select(*by, "key", "h", cell)
     own = F.col("key").isNotNull()
     nil = F.lit(0).cast("long")
     summed = dealt.groupBy(*by, "cell").agg(
@@ -169,38 +195,35 @@ def edit_report(docs: DataFrame, parts: int | None = None) -> DataFrame:
     """Fingerprints of each text and of its edited version, with the likeness of it to that and to the next text.
 
     A null text is empty. Repeated rows follow each other; a single row is its own next. An empty table gives none.
-    Other columns are ignored. ``parts`` (default: twice the shuffle partitions, 4096 at most) cuts the ids.
+    Other columns are ignored. ``parts`` (default: twice the shuffle partitions, and so many that a range has some 64 MB of texts) cuts the ids.
     """
     spark = docs.sparkSession
     slim = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce("text", F.lit("")).alias("text"))
-    parts = parts or min(4096, 2 * int(spark.conf.get("spark.sql.shuffle.partitions")))
+    if parts is None:
+        total = slim.agg(F.sum(F.octet_length("text"))).first()[0] or 0
+        parts = max(2 * int(spark.conf.get("spark.sql.shuffle.partitions")), total >> 26)
     rows = with_next(slim, parts)
     changed = F.when(~F.col("extra"), edited(F.col("text"), F.col("next_text")))
     rows = rows.select("part", "pos", "doc_id", "extra", "text", changed.alias("edited"))
-    rows = rows.select("part", "pos", "doc_id", "extra", F.char_length("text").cast("long").alias("n_chars"), F.sha2(F.col("edited").cast("binary"), 256).alias("edited_sha256"), pieces(F.col("text")).alias("own"), pieces(F.coalesce("edited", F.lit(""))).alias("other"))
-    sides = rows.select(
-        "part", "pos", "doc_id", "extra", "n_chars", "edited_sha256", F.size("own").alias("n"), F.size("other").alias("edited_n"),
-        F.explode(F.array(F.struct(F.lit(0).alias("side"), F.col("own").alias("p")), F.struct(F.lit(1).alias("side"), F.col("other").alias("p")))).alias("s"),
-    ).select("part", "pos", "doc_id", "extra", "n_chars", "edited_sha256", "n", "edited_n", F.col("s.side").alias("side"), F.col("s.p").alias("p"))
-    by = ["part", "pos", "doc_id", "extra", "n_chars", "edited_sha256", "n", "edited_n"]
-    made = sketched(sides, [*by, "side"], "p")
-    pair = made.groupBy(*by).agg(F.max(F.when(F.col("side") == 0, F.col("cells"))).alias("a"), F.max(F.when(F.col("side") == 1, F.col("cells"))).alias("b"))
+    rows = rows.select("part", "pos", "doc_id", "extra", F.char_length("text").cast("long").alias("n_chars"), F.sha2(F.col("edited").cast("binary"), 256).alias("edited_sha256"), digests(F.col("text")).alias("own"), digests(F.coalesce("edited", F.lit(""))).alias("other"))
+    rows = rows.select("*", hashed(F.col("own")).alias("own_h"), hashed(F.col("other")).alias("other_h"))
+    rows = rows.select("part", "pos", "doc_id", "extra", "n_chars", "edited_sha256", "own", "other", F.size("own").alias("n"), F.size("other").alias("edited_n"), sketch(F.col("own_h")).alias("a"), sketch(F.col("other_h")).alias("b"))
     down = Window.partitionBy("part").orderBy("pos")
-    follow = F.lead(F.struct("a", "n")).over(down)
-    both = pair.select(*by, "a", "b", follow.alias("f")).where(~F.col("extra")).select("*", F.col("f.a").alias("next_a"), F.col("f.n").alias("next_n"))
+    both = rows.withColumn("f", F.lead(F.struct("a", "n", "own")).over(down)).where(~F.col("extra"))
+    both = both.select("*", F.col("f.a").alias("next_a"), F.col("f.n").alias("next_n"), F.col("f.own").alias("next")).drop("f", "extra")
     out = with_likeness(both, "near_edited", "a", "n", "b", "edited_n")
-    out = written(with_likeness(out, "near_next", "a", "n", "next_a", "next_n").drop("next_a", "f"), "likeness")
-    hidden = out.select("part", "pos", F.explode(F.array(F.when(F.col("near_edited").isNull(), 0), F.when(F.col("near_next").isNull(), 1))).alias("to")).where("to IS NOT NULL")
-    pair = rows.select("part", "pos", "extra", "own", "other", F.lead("own").over(down).alias("next")).where(~F.col("extra"))
-    sets = pair.select("part", "pos", "own", F.explode(F.array(F.struct(F.lit(0).alias("to"), F.col("other").alias("p")), F.struct(F.lit(1).alias("to"), F.col("next").alias("p")))).alias("s"))
-    sets = sets.select("part", "pos", "s.to", "own", "s.p").join(hidden, ["part", "pos", "to"], "left_semi")
-    sets = sets.select(F.struct("part", "pos", "to").alias("pair"), F.explode(F.array(F.struct(F.lit(1).alias("side"), F.col("own").alias("p")), F.struct(F.lit(-1).alias("side"), F.col("p").alias("p")))).alias("s"))
-    known = differing(sets.select("pair", "s.side", "s.p"), "pair", RETRIED, RETRIED).groupBy("pair").agg(F.count("*").alias("d"))
-    known = known.groupBy("pair.part", "pair.pos").agg(*[F.max(F.when(F.col("pair.to") == i, F.col("d"))).alias(f"d{i}") for i in (0, 1)])
-    out = out.join(known, ["part", "pos"], "left")
+    out = with_likeness(out, "near_next", "a", "n", "next_a", "next_n")
+    hidden = F.array(F.when(F.col("near_edited").isNull(), F.struct(F.lit(0).alias("to"), F.col("other").alias("p"))), F.when(F.col("near_next").isNull(), F.struct(F.lit(1).alias("to"), F.col("next").alias("p"))))
+    out = out.withColumn("hidden", F.filter(hidden, lambda z: z.isNotNull())).withColumn("own", F.when(F.size("hidden") > 0, F.col("own")))
+    packed = [F.unhex(as_text(F.col(c), F.col(n))).alias(name) for c, n, name in (("a", "n", "fingerprint"), ("b", "edited_n", "edited_fingerprint"))]
+    out = written(out.select("part", "pos", "doc_id", "n_chars", "edited_sha256", *packed, "near_edited", "near_next", "n", "edited_n", "next_n", "own", "hidden"), "likeness")
+    pairs = out.where(F.size("hidden") > 0).select("part", "pos", "own", F.explode("hidden").alias("z")).select("part", "pos", F.col("z.to").alias("to"), "own", F.col("z.p").alias("other"))
+    known = differing(pairs, ["part", "pos", "to"], RETRIED, MOST_CELLS).groupBy("part", "pos", "to").agg(F.count("*").alias("d"))
+    known = known.groupBy("part", "pos").agg(*[F.max(F.when(F.col("to") == i, F.col("d"))).alias(f"d{i}") for i in (0, 1)])
+    out = out.drop("own", "hidden").join(known, ["part", "pos"], "left")
     for name, i, other_n in (("near_edited", 0, "edited_n"), ("near_next", 1, "next_n")):
         out = out.withColumn(name, F.coalesce(name, 1 - F.coalesce(f"d{i}", F.lit(0)) / (F.col("n") + F.col(other_n))))
-    return out.select("doc_id", "n_chars", "edited_sha256", as_text(F.col("a"), F.col("n")).alias("fingerprint"), as_text(F.col("b"), F.col("edited_n")).alias("edited_fingerprint"), "near_edited", "near_next")
+    return out.select("doc_id", "n_chars", "edited_sha256", F.lower(F.hex("fingerprint")).alias("fingerprint"), F.lower(F.hex("edited_fingerprint")).alias("edited_fingerprint"), "near_edited", "near_next")
 
 
 def recovered(old: DataFrame, new: DataFrame, key: str = "doc_id", cells: int = CELLS, most: int = 1 << 12) -> DataFrame:
@@ -211,30 +234,37 @@ def recovered(old: DataFrame, new: DataFrame, key: str = "doc_id", cells: int =
     by one. Rows with a null key are left out, rows of one key are one set of pieces; no difference gives no row.
     """
 
-    def slim(df: DataFrame, side: int) -> DataFrame:
-        return df.where(F.col(key).isNotNull()).select(F.col(key), F.lit(side).alias("side"), F.explode(pieces(F.coalesce("text", F.lit("")))).alias("piece")).distinct()
+    def slim(df: DataFrame, name: str) -> DataFrame:
+        own = df.where(F.col(key).isNotNull()).groupBy(key).agg(F.array_distinct(F.flatten(F.collect_list(digests(F.coalesce("text", F.lit("")))))).alias(name))
+        return own
 
-    sets = slim(old, 1).unionByName(slim(new, -1)).groupBy(key, "side").agg(F.collect_list("piece").alias("p"))
-    return differing(sets, key, cells, most)
+    none = F.expr("cast(array() as array<int>)")
+    pairs = slim(old, "own").join(slim(new, "other"), key, "full_outer").select(key, F.coalesce("own", none).alias("own"), F.coalesce("other", none).alias("other"))
+    return differing(pairs, [key], cells, most)
 
 
-def differing(sets: DataFrame, key: str, cells: int, most: int) -> DataFrame:
-    """(key, digest, side): what ``recovered`` gives, of sets (key, side, p) of pieces."""
-    left, found = written(sets, "versions"), []
+def differing(pairs: DataFrame, by: list[str], cells: int, most: int) -> DataFrame:
+    """(*by, digest, side): what ``recovered`` gives, of rows (*by, own, other) of digests. A round deals the digests of its pairs once."""
+    left, found = written(pairs, "versions"), []
+    zero = F.lit(0).cast("long")
+    blank = F.transform(F.sequence(F.lit(1), F.lit(TABLES * cells)), lambda _: F.struct(zero.alias("c"), zero.alias("k"), zero.alias("x")))
     while True:
-        one = sketched(left, [key, "side"], "p", cells)
-        zero = F.transform(F.sequence(F.lit(1), F.lit(TABLES * cells)), lambda _: F.struct(F.lit(0).cast("long").alias("c"), F.lit(0).cast("long").alias("k"), F.lit(0).cast("long").alias("x")))
-        pair = one.groupBy(key).agg(F.max(F.when(F.col("side") == 1, F.col("cells"))).alias("a"), F.max(F.when(F.col("side") == -1, F.col("cells"))).alias("b"))
-        diff = written(pair.select(key, subtracted(F.coalesce("a", zero), F.coalesce("b", zero)).alias("d")).withColumn("got", peeled(F.col("d"), cells, 16)).select(key, "got"), "peeled")
-        found.append(diff.where("got IS NOT NULL").select(key, F.explode("got").alias("g")).select(key, F.col("g.key").alias("digest"), F.col("g.side").cast("int").alias("side")))
-        failed = diff.where("got IS NULL").select(key)
+        dealt = left.repartition(*by)
+        sides = dealt.select(*by, F.explode(F.array(F.struct(F.lit(1).alias("side"), F.col("own").alias("p")), F.struct(F.lit(-1).alias("side"), F.col("other").alias("p")))).alias("s")).select(*by, "s.side", "s.p")
+        one = sketched(sides, [*by, "side"], "p", cells)
+        pair = one.groupBy(*by).agg(F.max(F.when(F.col("side") == 1, F.col("cells"))).alias("a"), F.max(F.when(F.col("side") == -1, F.col("cells"))).alias("b"))
+        diff = written(pair.select(*by, subtracted(F.coalesce("a", blank), F.coalesce("b", blank)).alias("d")).withColumn("got", peeled(F.col("d"), cells, 16)).select(*by, "got"), "peeled")
+        found.append(diff.where("got IS NOT NULL").select(*by, F.explode("got").alias("g")).select(*by, F.col("g.key").alias("digest"), F.col("g.side").cast("int").alias("side")))
+        failed = diff.where("got IS NULL").select(*by)
         if failed.isEmpty():
             break
-        left = written(left.join(failed, key, "left_semi"), "versions")
+        left = written(left.join(failed, by, "left_semi"), "versions")
         cells *= 4
+        blank = F.transform(F.sequence(F.lit(1), F.lit(TABLES * cells)), lambda _: F.struct(zero.alias("c"), zero.alias("k"), zero.alias("x")))
         if cells > most:
-            keys = left.select(key, "side", F.explode("p").alias("p")).select(key, "side", key_of(F.col("p")).alias("digest"))
-            found.append(keys.groupBy(key, "digest").agg(F.sum("side").cast("int").alias("side")).where("side <> 0").select(key, "digest", "side"))
+            for one_side, other, side in (("own", "other", 1), ("other", "own", -1)):
+                only = F.explode(F.array_except(one_side, other)).alias("digest")
+                found.append(left.select(*by, only).select(*by, unsigned(F.col("digest")).alias("digest"), F.lit(side).alias("side")))
             break
     out = found[0]
     for more in found[1:]:
@@ -243,4 +273,5 @@ def differing(sets: DataFrame, key: str, cells: int, most: int) -> DataFrame:
 
 
 def op2_sketch(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Fingerprints and likenesses of every document; see ``edit_report``."""
     return edit_report(table(spark, sf_dir, "documents"))
