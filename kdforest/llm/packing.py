@@ -3,8 +3,9 @@
 Each task tokenises its documents as it reads them and packs them online, so no rows are shuffled and a task
 holds only its partly filled windows. A document is its token ids and a closing id. Whole windows of it are
 filled at once; the rest goes to the fill level for which the sum of squared counts of partly filled windows,
-kept in a level array, becomes smallest. When a task ends, what is left in its partly filled windows is cut into
-full windows and a last few whose lengths are powers of two, which take no padding.
+kept in a level array, becomes smallest. When a task ends, its fullest windows stay as they are and are topped up with
+pieces cut from the emptiest ones; what is left of those goes to a few windows whose lengths are powers of two, which
+take no padding.
 """
 
 from __future__ import annotations
@@ -34,19 +35,23 @@ def text_encoder(path: str) -> Callable[[str], list[int]]:
     """Token ids of a text as the tokeniser file says.
 
     A plain byte-level file whose ids follow its merges is run by a faster library with the same merges (tests
-    compare the two), any other by the tokeniser itself. Strings of special tokens in a text are ordinary text.
+    compare the two), any other by the tokeniser itself. The name of a special token in a text is that token, as the
+    tokeniser has it.
     """
     from tokenizers import Tokenizer
 
     tokenizer = Tokenizer.from_file(path)
-    tokenizer.encode_special_tokens = True
     spec = json.loads(tokenizer.to_str())
     pre, model = spec.get("pre_tokenizer") or {}, spec["model"]
     plain = pre.get("type") == "ByteLevel" and not pre.get("add_prefix_space") and pre.get("use_regex", True) and not spec.get("normalizer") and model["type"] == "BPE"
-    if plain and (ranks := byte_ranks(model["vocab"], model["merges"], {t["content"] for t in spec["added_tokens"]})):
+    added = spec["added_tokens"]
+    plain = plain and all(t["special"] and not (t["lstrip"] or t["rstrip"] or t["single_word"]) for t in added)
+    if plain and (ranks := byte_ranks(model["vocab"], model["merges"], {t["content"] for t in added})):
         import tiktoken
 
-        return tiktoken.Encoding("bytes", pat_str=PATTERN, mergeable_ranks=ranks, special_tokens={}).encode_ordinary
+        names = {t["content"]: t["id"] for t in added}
+        fast = tiktoken.Encoding("bytes", pat_str=PATTERN, mergeable_ranks=ranks, special_tokens=names)
+        return lambda text: fast.encode(text, allowed_special="all") if any(n in text for n in names) else fast.encode_ordinary(text)
     return lambda text: tokenizer.encode(text, add_special_tokens=False).ids
 
 
@@ -75,6 +80,7 @@ class LevelPacker:
         self.size = size
         self.count = np.zeros(size + 1, dtype=np.int64)  # partly filled windows at each level; level 0 and full count none
         self.open: dict[int, list[list[tuple]]] = {}
+        self.kept = self.parted = 0  # open windows at the end that stayed, and that were cut up
 
     def level_for(self, n: int) -> int:
         """The level whose windows take ``n`` more ids with the smallest sum of squared counts; 0 opens a window."""
@@ -106,27 +112,37 @@ class LevelPacker:
         return closed
 
     def finish(self) -> list[list[tuple]]:
-        """Keeps windows that need no padding, and cuts the others' pieces into full windows and powers of two."""
-        closed, rest = [], []
+        """Windows of a power of two stay; of the others the fullest are topped up from the emptiest, whose last ids go to powers of two."""
+        closed, partly = [], []
         for level in sorted(self.open, reverse=True):
             for window in self.open[level]:
                 if level & (level - 1) == 0:
                     closed.append(window)
                 else:
-                    rest += window
-        left = sum(len(ids) for _, _, ids in rest)
-        room, window = 0, []
-        for doc, start, ids in rest:
-            at = 0
-            while at < len(ids):
-                if not room:
-                    room = self.size if left >= self.size else 1 << (left.bit_length() - 1)
-                k = min(room, len(ids) - at)
-                window.append((doc, start + at, ids[at : at + k]))
-                at, room, left = at + k, room - k, left - k
-                if not room:
-                    closed.append(window)
-                    window = []
+                    partly.append((level, window))
+        total = sum(level for level, _ in partly)
+        stay = total // self.size
+        self.kept, self.parted = stay, len(partly) - stay
+        rest = [piece for _, window in partly[stay:] for piece in window]
+        rest.reverse()
+
+        def take(room: int) -> list[tuple]:
+            out = []
+            while room:
+                doc, start, ids = rest.pop()
+                k = min(room, len(ids))
+                out.append((doc, start, ids[:k]))
+                if k < len(ids):
+                    rest.append((doc, start + k, ids[k:]))
+                room -= k
+            return out
+
+        closed += [window + take(self.size - level) for level, window in partly[:stay]]
+        left = total - stay * self.size
+        while left:
+            room = 1 << (left.bit_length() - 1)
+            closed.append(take(room))
+            left -= room
         self.open, self.count = {}, np.zeros_like(self.count)
         return closed
 
@@ -185,6 +201,7 @@ def padding(pieces: DataFrame, size: int = 1024) -> DataFrame:
 
 
 def op10_pack(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The pieces of all documents in windows of 1024 ids; see ``pack``."""
     import public_tokenizers
 
     return pack(table(spark, sf_dir, "documents"), public_tokenizers.path("byte_bpe_50k.json"))
