@@ -1,7 +1,8 @@
 """Web archives: a writer on Spark's text sink, and a Python data source that reads them back.
 
-A record is text in UTF-8 whose end mark (two line breaks) is the text sink's line separator, so any store that
-Spark can write holds the archives. The data source plans one partition per archive file, reads a record's
+A record is text in UTF-8 whose end mark (two line breaks) is the text sink's line separator. Archives are written to
+any store that Spark can write, plain or in gzip; they are read through pyarrow's file systems (local, hdfs, s3, gs).
+The data source plans one partition per archive file, reads a record's
 headers first and skips its payload undecoded if the record is filtered out or no payload column is asked for.
 Filters on header columns are pushed down.
 """
@@ -11,8 +12,9 @@ from __future__ import annotations
 import hashlib
 import json
 from collections.abc import Iterable, Iterator
+from datetime import UTC, datetime
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.datasource import DataSource, DataSourceReader, EqualTo, Filter, In, InputPartition, IsNotNull
 
@@ -27,22 +29,26 @@ HEADER_COLUMNS = {"page_id": "WARC-Page-ID", "url": "WARC-Target-URI", "record_t
 
 
 def deduplicated(pages: DataFrame) -> DataFrame:
-    """``pages`` (page_id, url, html) with payload, digest, payload_bytes and refers_to (null: stored in full).
+    """``pages`` (page_id, url, html) with payload, digest, payload_bytes and refers_to, first_url (null: stored in full).
 
     Of rows with equal payloads of at least 100 bytes that with the smallest page_id is stored; rows that share
     this page_id and payload are all stored. A payload that no row with an id has is stored in each row.
     """
     slim = pages.select(F.col("page_id").cast("long").alias("page_id"), F.col("url").cast("string").alias("url"), F.coalesce("html", F.lit("")).alias("payload"))
     marked = slim.select("*", F.sha2(F.col("payload").cast("binary"), 256).alias("digest"), F.octet_length("payload").cast("long").alias("payload_bytes"))
-    same = marked.where(F.col("payload_bytes") >= LEAST_BYTES).groupBy("digest").agg(F.min("page_id").alias("first"), F.count("*").alias("n")).where("n > 1").select("digest", "first")
-    salted = same.select("digest", "first", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))).alias("salt"))  # copies of one payload may be a third of all rows
+    same = marked.where(F.col("payload_bytes") >= LEAST_BYTES).groupBy("digest").agg(F.min(F.when(F.col("page_id").isNotNull(), F.struct("page_id", "url"))).alias("f"), F.count("*").alias("n")).where("n > 1").select("digest", F.col("f.page_id").alias("first"), F.col("f.url").alias("first_url"))
+    salted = same.select("digest", "first", "first_url", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))).alias("salt"))  # copies of one payload may be a third of all rows
     salt = F.pmod(F.xxhash64("page_id", "url"), F.lit(SALTS)).cast("int")
     found = marked.withColumn("salt", salt).join(maybe_broadcast(salted), ["digest", "salt"], "left")
     return found.withColumn("refers_to", F.when(F.col("page_id") != F.col("first"), F.col("first"))).drop("salt", "first")
 
 
-def records(marked: DataFrame) -> DataFrame:
-    """The text of each record without its end mark (column value)."""
+def record_id(page_id: Column, url: Column, digest: Column) -> Column:
+    return F.concat(F.lit("<urn:sha256:"), F.sha2(F.concat_ws("|", F.coalesce(page_id.cast("string"), F.lit("")), url, digest), 256), F.lit(">"))
+
+
+def records(marked: DataFrame, date: str) -> DataFrame:
+    """The text of each record without its end mark (column value); ``date`` is that of all records."""
     quoted = F.to_json(F.struct(F.col("url").alias("u")))  # line breaks in an address can't break a header
     revisit = F.col("refers_to").isNotNull()
     block = F.when(revisit, F.lit("")).otherwise(F.col("payload"))
@@ -50,11 +56,14 @@ def records(marked: DataFrame) -> DataFrame:
     head = [
         F.lit("WARC/1.1"),
         F.concat(F.lit("WARC-Type: "), F.when(revisit, "revisit").otherwise("response")),
-        F.concat(F.lit("WARC-Record-ID: <urn:sha256:"), F.sha2(F.concat_ws("|", id_text, "url", "digest"), 256), F.lit(">")),
+        F.concat(F.lit("WARC-Record-ID: "), record_id(F.col("page_id"), F.col("url"), F.col("digest"))),
+        F.lit(f"WARC-Date: {date}"),
         F.concat(F.lit("WARC-Page-ID: "), id_text),
         F.concat(F.lit("WARC-Target-URI: "), quoted),
         F.concat(F.lit("WARC-Payload-Digest: sha256:"), F.col("digest")),
         F.concat(F.lit("WARC-Payload-Length: "), F.col("payload_bytes").cast("string")),
+        F.when(revisit, F.concat(F.lit("WARC-Refers-To: "), record_id(F.col("refers_to"), F.col("first_url"), F.col("digest")))),
+        F.when(revisit, F.lit(f"WARC-Refers-To-Date: {date}")),
         F.when(revisit, F.concat(F.lit("WARC-Refers-To-Page-ID: "), F.col("refers_to").cast("string"))),
         F.when(revisit, F.lit("WARC-Profile: http://netpreserve.org/warc/1.1/revisit/identical-payload-digest")),
         F.lit("Content-Type: text/html; charset=utf-8"),
@@ -63,9 +72,15 @@ def records(marked: DataFrame) -> DataFrame:
     return marked.select(F.concat(F.concat_ws("\r\n", *head), F.lit(END), block).alias("value"))
 
 
-def write_warc(pages: DataFrame, path: str) -> None:
-    """Archives of ``pages`` in ``path``; an empty table gives a folder without records."""
-    records(deduplicated(pages)).write.option("lineSep", END).text(path)
+def write_warc(pages: DataFrame, path: str, date: str | None = None, compression: str | None = None) -> None:
+    """Archives of ``pages`` (page_id, url, html) in ``path``; an empty table gives a folder without records.
+
+    A null page is an empty payload, a null address a null one in its header, a null id an empty header; all are records.
+    Columns besides the three are ignored. ``date`` defaults to now (UTC), ``compression`` may be "gzip".
+    """
+    date = date or datetime.now(UTC).strftime("%Y-%m-%dT%H:%M:%SZ")
+    sink = records(deduplicated(pages), date).write.option("lineSep", END)
+    (sink.option("compression", compression) if compression else sink).text(path)
 
 
 def _cast(name: str, raw: str | None) -> object:
@@ -78,6 +93,11 @@ def _cast(name: str, raw: str | None) -> object:
     return raw.removeprefix("sha256:") if name == "payload_digest" else raw
 
 
+def opened(path: str) -> str:
+    """The address by which pyarrow knows a store that Spark calls s3a."""
+    return "s3" + path[3:] if path.startswith(("s3a:", "s3n:")) else path
+
+
 class WarcPartition(InputPartition):
     def __init__(self, path: str, size: int):
         self.path, self.size = path, size
@@ -99,7 +119,7 @@ class WarcReader(DataSourceReader):
     def partitions(self) -> list[InputPartition]:
         from pyarrow import fs
 
-        store, root = fs.FileSystem.from_uri(self.path)
+        store, root = fs.FileSystem.from_uri(opened(self.path))
         infos = store.get_file_info(fs.FileSelector(root, recursive=True))
         files = [i for i in infos if i.is_file and i.size and not i.base_name.startswith(("_", "."))]
         return [WarcPartition(i.path, i.size) for i in sorted(files, key=lambda i: i.path)] or [WarcPartition("", 0)]
@@ -112,9 +132,10 @@ class WarcReader(DataSourceReader):
 
         if not partition.size:
             return
-        store = fs.FileSystem.from_uri(self.path)[0]
-        with store.open_input_file(partition.path) as raw:
-            stream = Buffered(raw)
+        store = fs.FileSystem.from_uri(opened(self.path))[0]
+        packed = partition.path.endswith(".gz")
+        with store.open_input_stream(partition.path, compression="gzip") if packed else store.open_input_file(partition.path) as raw:
+            stream = Buffered(raw, seeks=not packed)
             while lines := stream.head():
                 fields = dict(x.split(": ", 1) for x in lines[1:] if ": " in x)
                 length = int(fields["Content-Length"])
@@ -134,8 +155,8 @@ class WarcReader(DataSourceReader):
 class Buffered:
     """Sequential reading with cheap skips."""
 
-    def __init__(self, raw, block: int = 1 << 20):
-        self.raw, self.block, self.held, self.at = raw, block, b"", 0
+    def __init__(self, raw, block: int = 1 << 20, seeks: bool = True):
+        self.raw, self.block, self.seeks, self.held, self.at = raw, block, seeks, b"", 0
 
     def more(self) -> bool:
         got = self.raw.read(self.block)
@@ -164,8 +185,15 @@ class Buffered:
     def skip(self, n: int) -> None:
         held = min(n, len(self.held) - self.at)
         self.at += held
-        if n > held:
-            self.raw.seek(self.raw.tell() + n - held)
+        left = n - held
+        if left and self.seeks:
+            self.raw.seek(self.raw.tell() + left)
+            return
+        while left:
+            got = len(self.raw.read(min(left, self.block)))
+            if not got:
+                raise OSError("a record is cut off")
+            left -= got
 
 
 class WarcDataSource(DataSource):
@@ -195,6 +223,7 @@ def read_warc(spark: SparkSession, path: str, columns: list[str] | None = None)
 
 
 def op4_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Writes all pages to archives and reads back what each record is; see ``write_warc``."""
     path = scratch_path(spark, "warc")
     write_warc(table(spark, sf_dir, "pages"), path)
     back = read_warc(spark, path, ["page_id", "record_type", "refers_to", "payload_digest", "payload_bytes", "computed_digest"])
