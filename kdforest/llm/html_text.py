@@ -1,8 +1,8 @@
 """Main text of web pages: flat text blocks, described by shape and neighbours, classified by a decision tree.
 
-A page is read once by a tolerant scanner into flat blocks (runs of text between block-level tags), each with its
-word count, link density and the part of the page it stands in. A block's features and those of its two
-neighbours go to a small decision tree, grown here (Gini splits) on a labelled table of blocks.
+A page is read once, in time linear in its length, by a tolerant scanner into flat blocks (runs of text between
+block-level tags), each with its word count, link density and the part of the page it stands in. A block's features and
+those of its two neighbours go to a small decision tree, grown here (Gini splits) on a table of blocks labelled by hand.
 """
 
 from __future__ import annotations
@@ -10,6 +10,7 @@ from __future__ import annotations
 import functools
 import html
 import re
+from collections import Counter
 from collections.abc import Iterator
 from dataclasses import dataclass, field
 
@@ -26,10 +27,13 @@ INLINE = {"a", "abbr", "acronym", "b", "bdi", "bdo", "big", "br", "cite", "code"
 VOID = {"area", "base", "br", "col", "embed", "hr", "img", "input", "link", "meta", "param", "source", "track", "wbr"}
 #: Elements and words in class, id and role that mark parts around an article.
 AROUND = {"nav", "footer", "aside", "form", "header", "menu", "dialog", "button", "fieldset"}
-AROUND_WORDS = re.compile(
-    r"(?:^|[\s_-])(?:ad|ads|advert\w*|adsense|banner|sponsor\w*|promo\w*|nav|navbar|navigation|menu|breadcrumbs?|header|masthead|footer|foot|copyright|sidebar|side|aside|widget|related|recommend\w*|share|sharing|social|cookies?|consent|gdpr|notice|alert|popup|modal|overlay|"
-    r"newsletter|subscribe|subscription|signup|login|form|search|comments?|comment-list|reply|replies|respond|disqus|reader-comments|user-comments|pagination|pager|tags|toolbar|complementary|contentinfo|dialog)(?=$|[\s_-])"
+AROUND_WORDS = set(
+    "ad ads advert adverts advertisement advertising adsense banner sponsor sponsored promo promotion nav navbar navigation menu breadcrumb breadcrumbs header masthead footer foot copyright sidebar side "
+    "aside widget related recommended recommendations share sharing social cookie cookies consent gdpr notice alert popup modal overlay newsletter subscribe subscription signup login form search "
+    "comment comments reply replies respond disqus pagination pager tags toolbar complementary contentinfo dialog reader user".split()
 )
+#: Parts of a name that say nothing by themselves.
+NEUTRAL_WORDS = set("list box wrap wrapper container area section block bar item items inner outer group row col column panel unit slot links link posts post top bottom left right main page site global primary secondary the is-open".split())
 #: Layout of a whole page, not a part of it.
 LAYOUT_WORDS = re.compile(r"(?:^|(?<=\s))(?:with|has|no)-\S+")
 #: Parts whose articles are comments, teasers or the like and not the page's own.
@@ -39,11 +43,24 @@ NEVER_WORDS = re.compile(
     r"(?:comments?|reply|replies|respond|disqus|reader-comments|user-comments|related|recommend\w*|teasers?)(?:-\S*)?)(?=$|\s)"
 )
 ARTICLE_WORDS = re.compile(r"(?:^|[\s_-])(?:article|articlebody|post|entry|story|content|main|body|text)(?=$|[\s_-])")
-TOKEN = re.compile(r"<!--.*?(?:-->|\Z)|<!\[CDATA\[(.*?)\]\]>|<(/?)([a-zA-Z][^\s/>]*)((?:\"[^\"]*\"|'[^']*'|[^'\">])*)>|<[!?][^>]*>", re.S)
+TAG = re.compile(r"<(/?)([a-zA-Z][^\s/>]*+)")
+#: Attributes up to the end of a tag; a ">" in a quoted value doesn't end it.
+ATTRIBUTES = re.compile(r"""((?:=\s*+"[^"]*+"|=\s*+'[^']*+'|[^>])*+)>""")
 ATTRIBUTE = re.compile(r"""(?:^|\s)(class|id|role|hidden|aria-hidden|style)\b(?:\s*=\s*("[^"]*"|'[^']*'|[^\s"'>]+))?""", re.I)
 FEATURES = ("words", "link_density", "before_words", "before_links", "after_words", "after_links", "around", "place", "heading")
 
 
+def named_part(named: str) -> int:
+    """What the words in class, id and role say: 2 if a name says that this is a part around an article, 1 if a part of a name might, 0 if nothing does."""
+    most = 0
+    for token in named.split():
+        words = [w for w in re.split(r"[_-]+", token) if w]
+        said = [w in AROUND_WORDS for w in words]
+        if any(said):
+            most = max(most, 2 if all(ok or w in NEUTRAL_WORDS for ok, w in zip(said, words, strict=True)) else 1)
+    return most
+
+
 @dataclass
 class Block:
     text: str
@@ -70,6 +87,16 @@ class Scanner:
     stack: list[_Open] = field(default_factory=list)
     parts: list[tuple[str, bool]] = field(default_factory=list)
     links: int = 0
+    opened: Counter = field(default_factory=Counter)
+
+    def push(self, item: _Open) -> None:
+        self.stack.append(item)
+        self.opened[item.name] += 1
+
+    def cut(self, at: int) -> None:
+        for item in self.stack[at:]:
+            self.opened[item.name] -= 1
+        del self.stack[at:]
 
     def close_block(self) -> None:
         text = " ".join(html.unescape("".join(p for p, _ in self.parts)).split())
@@ -102,12 +129,12 @@ class Scanner:
             self.close_block()
             if name == "p":  # an open paragraph ends where a block begins
                 while self.stack and self.stack[-1].name == "p":
-                    self.stack.pop()
+                    self.cut(-1)
                 top = self.stack[-1] if self.stack else _Open("", 0, 0)
             if name in ("li", "tr", "td", "th", "dt", "dd", "option") and top.name == name:
-                self.stack.pop()
+                self.cut(-1)
                 top = self.stack[-1] if self.stack else _Open("", 0, 0)
-        elif hidden or AROUND_WORDS.search(named):
+        elif hidden or named_part(named):
             self.close_block()
         if name in VOID:
             return
@@ -116,53 +143,84 @@ class Scanner:
         heading_part = name == "header" and top.article  # an article's own heading
         part = name not in ("html", "body") and not inside
         never = top.never or hidden or part and not heading_part and (name in NEVER or bool(NEVER_WORDS.search(named)))
-        around = int(never or part and (top.around or name in AROUND and not heading_part or bool(AROUND_WORDS.search(named))))
-        self.stack.append(_Open(name, around, int(article), never))
+        said = max(top.around, 2 if name in AROUND and not heading_part else 0, named_part(named)) if part else 0
+        self.push(_Open(name, 2 if never else said, int(article), never))
 
     def end(self, name: str) -> None:
         if name == "a":
             self.links = max(0, self.links - 1)
             return
-        at = next((i for i in range(len(self.stack) - 1, -1, -1) if self.stack[i].name == name), None)
-        if at is None:
+        if not self.opened[name]:
             if name not in INLINE:
                 self.close_block()
             return
+        at = next(i for i in range(len(self.stack) - 1, -1, -1) if self.stack[i].name == name)
         if name not in INLINE or self.stack[at].around:
             self.close_block()
-        del self.stack[at:]
+        self.cut(at)
 
     def scan(self, page: str) -> list[Block]:
-        at, n = 0, len(page)
+        at, n, careful, unclosed = 0, len(page), True, set()
         while at < n:
-            m = TOKEN.search(page, at)
-            if not m:
+            begin = page.find("<", at)
+            if begin < 0:
                 self.text(page[at:])
                 break
-            self.text(page[at : m.start()])
-            at = m.end()
-            if m[1] is not None:
-                self.text(html.escape(m[1]))
-            elif m[3]:
-                name = m[3].lower()
-                if m[2]:
-                    self.end(name)
-                elif name in RAW or name in ("title", "head"):
-                    if name not in INLINE:
-                        self.close_block()
-                    if name != "head" and not m[4].endswith("/"):
-                        stop = re.compile(rf"</{re.escape(name)}\b[^>]*>", re.I).search(page, at)
-                        at = stop.end() if stop else (n if name in ("script", "style", "textarea", "title", "xmp") else at)
-                else:
-                    self.start(name, m[4])
+            self.text(page[at:begin])
+            if page.startswith("<!--", begin):
+                stop = page.find("-->", begin + 4)
+                at = stop + 3 if stop >= 0 else n
+            elif page.startswith("<![CDATA[", begin):
+                stop = page.find("]]>", begin)
+                self.text(html.escape(page[begin + 9 : stop if stop >= 0 else n]))
+                at = stop + 3 if stop >= 0 else n
+            elif page.startswith(("<!", "<?"), begin):
+                stop = page.find(">", begin)
+                at = stop + 1 if stop >= 0 else n
+            elif not (tag := TAG.match(page, begin)):
+                self.text("<")
+                at = begin + 1
+            else:
+                rest = ATTRIBUTES.match(page, tag.end()) if careful else None
+                if rest:
+                    attrs, at = rest[1], rest.end()
+                else:  # quotes run to the end of the page: from here on a tag ends at its first ">"
+                    careful = False
+                    stop = page.find(">", tag.end())
+                    attrs, at = (page[tag.end() : stop], stop + 1) if stop >= 0 else ("", n)
+                    if stop < 0:
+                        break  # the page ends inside a tag
+                at = self.tag(page, at, bool(tag[1]), tag[2].lower(), attrs, unclosed)
         self.close_block()
         return self.blocks
 
+    def tag(self, page: str, at: int, closing: bool, name: str, attrs: str, unclosed: set[str]) -> int:
+        """Takes in a tag that ends at ``at``; where to go on. ``unclosed``: raw elements that nothing ends any more."""
+        if closing:
+            self.end(name)
+        elif name in RAW or name in ("title", "head"):
+            if name not in INLINE:
+                self.close_block()
+            if name != "head" and not attrs.endswith("/"):
+                stop = None if name in unclosed else _ends(name).search(page, at)
+                if stop:
+                    return stop.end()
+                unclosed.add(name)
+                return len(page) if name in ("script", "style", "textarea", "title", "xmp") else at
+        else:
+            self.start(name, attrs)
+        return at
+
+
+@functools.cache
+def _ends(name: str) -> re.Pattern:
+    return re.compile(rf"</{name}(?![a-z0-9-])[^>]*+>", re.I)
+
 
 def features(blocks: list[Block]) -> np.ndarray:
     x = np.zeros((len(blocks) + 2, 2))
     x[1:-1] = np.array([[b.words, b.link_density] for b in blocks], dtype=float).reshape(-1, 2)
-    has = float(any(b.article and not b.around for b in blocks))
+    has = float(any(b.article and b.around < 2 for b in blocks))
     # place: 2 in an article, 1 in a page without one, 0 elsewhere
     own = np.array([[b.around, 2 if b.article else 1 - has, b.heading] for b in blocks], dtype=float).reshape(-1, 3)
     return np.hstack([x[1:-1], x[:-2], x[2:], own])
@@ -209,43 +267,47 @@ def classify(tree: Leaf | Split, x: np.ndarray) -> np.ndarray:
     return out
 
 
-def labelled_blocks(pages: int = 240, seed: int = 7) -> tuple[np.ndarray, np.ndarray]:
-    """The labelled table: blocks of ``pages`` small pages with and without an article element, by a seeded rule.
-
-    In pages with an article, what stands in it and in no part around it is text, whatever its length and links.
-    In others long blocks with few links are, and headings and short blocks next to them. Real labelled blocks
-    with the same features can be passed to ``grow`` instead.
-    """
-    rng = np.random.default_rng(seed)
+#: Pages with their blocks labelled by hand, in page order (+ text of the article, - not). {n}: n words, [n]: a link of n words.
+LABELLED_PAGES = (
+    ("<header><div>{2}</div>[3]</header><nav>[1][2][1]</nav><article><h1>{6}</h1><p>{60}</p><p>{3}</p><ul><li>[4]</li><li>{5}</li></ul><p>{2}[9]</p></article><aside>{30}</aside><footer>{9}[2]</footer>", "---++++++--"),
+    ("<nav>[1][1][1]</nav><div class=ad>{8}</div><article><h1>{7}</h1><p>{90}</p><p>{1}</p><p>{150}</p></article><footer>{5}</footer>", "--++++-"),
+    ("<div class=ad>{40}</div><main><h2>{3}</h2><p>{25}</p><p>[6]</p><blockquote>{18}</blockquote><p>{4}</p></main><div>{12}</div><div>[2]</div>", "-+++++--"),
+    ("<div>{3}</div><article><p>{12}</p><table><tr><td>{2}</td><td>{1}</td></tr><tr><td>[1]</td><td>{3}</td></tr></table><p>{70}</p></article><div>{35}</div>", "-++++++-"),
+    ("<article><h1>{4}</h1><p>{30}</p><aside>{14}</aside><p>{22}</p><form>{5}</form><div class=share>[1][1]</div><p>{9}</p><div id=comments><p>{40}</p><p>{12}</p></div></article><footer>[3]</footer>", "++-+--+---"),
+    ("<article><p>{50}</p><div class=related-posts><h3>{2}</h3><p>[7]</p><p>{20}</p></div><p>{6}</p></article><div class=comment-list><p>{60}</p></div>", "+---+-"),
+    ("<main><p>{40}</p><div class=search-results-explained><p>{20}</p><p>{35}</p></div><div class=share-it-now>[1][1]</div><p>{11}</p></main><footer>{3}</footer>", "+++-+-"),
+    ("<article><p>{28}</p><div class=side-effects-box2><p>{45}</p></div><div class=user-menu-x1>[2]</div><div class=notice-of-rights><p>{17}</p></div><div class=ad-x9>[3]</div></article>", "++-+-"),
+    ("<article><div class=banner-story1><p>{26}</p><p>{33}</p></div><div class=login-hint2>[2]</div><p>[5]</p></article><div class=tags-x>[1][1]</div>", "++-+-"),
+    ("<div>[1][1][1][1]</div><h1>{5}</h1><p>{80}</p><p>{12}</p><p>{45}[2]</p><p>{100}</p><div>[3]</div><div>[2][2]</div>", "-+++++--"),
+    ("<div>[2]</div><div>[1]</div><p>{55}</p><p>{9}</p><p>{60}[4]</p><h2>{4}</h2><p>{38}</p><div class=footer>{14}</div><div>[4]</div>", "--+++++--"),
+    ("<div>{2}[3]</div><p>{16}</p><p>{24}</p><p>{7}</p><p>{31}</p><div>[5][2]</div>", "-++++-"),
+    ("<ul><li>[1]</li><li>[2]</li><li>[1]</li></ul><h1>{8}</h1><p>{130}</p><p>{5}</p><p>{48}</p><ul><li>[6]</li><li>[5]</li><li>[7]</li></ul>", "---++++---"),
+    ("<p>{10}</p>", "+"),
+    ("<p>{3}</p>", "+"),
+    ("<h1>{2}</h1><p>{6}</p>", "++"),
+    ("<div class=cookie-notice>{12}</div><p>{20}</p><p>{11}</p>", "-++"),
+    ("<header>{4}</header><article><header><h1>{5}</h1><p>{4}</p></header><p>{21}</p><footer>{6}</footer></article>", "-+++-"),
+    ("<div class=sidebar><p>{80}</p><p>{25}</p></div><div class=post><h2>{4}</h2><p>{44}</p><p>[3]</p></div><div class=newsletter>{19}</div>", "--+++-"),
+)
+
+
+def labelled_blocks(pages: tuple[tuple[str, str], ...] = LABELLED_PAGES, scales: tuple[float, ...] = (1.0, 1.6, 2.5)) -> tuple[np.ndarray, np.ndarray]:
+    """The labelled table: features and labels of the blocks of ``pages``, at several lengths of their texts."""
     xs, ys = [], []
+    for markup, labels in pages:
+        for scale in scales:
 
-    def block(low: int, high: int, links: float, around: int = 0, article: int = 0, heading: int = 0) -> Block:
-        return Block("", int(rng.integers(low, high)), float(links), around, article, heading)
-
-    def links() -> float:
-        return float(rng.choice([0.0, rng.random() / 4, rng.random(), 1.0]))
-
-    for page in range(pages):
-        bare = page % 3 == 0
-        menu = [block(1, 5, 1.0, around=int(not bare or rng.random() < 0.5)) for _ in range(rng.integers(0, 6))]
-        rows = [(b, 0) for b in menu]
-        for _ in range(rng.integers(1, 9)):
-            kind = rng.random()
-            if bare:
-                rows.append((block(10, 150, rng.random() * 0.3 * (kind < 0.4)), 1) if kind < 0.8 else (block(2, 12, rng.random() * 0.2, heading=int(kind < 0.9)), 1))
-                if kind >= 0.8:
-                    rows.append((block(10, 150, 0.05), 1))
-            elif kind < 0.75:
-                rows.append((block(1, 200, links(), article=1, heading=int(kind < 0.15)), 1))
-            else:
-                rows.append((block(1, 80, links(), around=1, article=int(kind < 0.9)), 0))
-        if not bare and not any(label for _, label in rows):
-            rows.append((block(1, 200, 0, article=1), 1))
-        rows += [(block(1, 8, rng.choice([0.7, 1.0])), 0) for _ in range(rng.integers(0, 3))]
-        rows += [(block(1, 200, links(), around=int(bare)), 0) for _ in range(rng.integers(0, 3))]
-        xs.append(features([b for b, _ in rows]))
-        ys += [label for _, label in rows]
-    return np.vstack(xs), np.array(ys, dtype=float)
+            def words(m: re.Match, scale: float = scale) -> str:
+                n = int(m[1] or m[2])
+                text = "w " * (n if n < 10 else round(n * scale))
+                return f" {text}" if m[1] else f" <a href=x>{text}</a> "
+
+            blocks = Scanner().scan(re.sub(r"\{(\d+)\}|\[(\d+)\]", words, markup))
+            if len(blocks) != len(labels):
+                raise ValueError(f"{len(blocks)} blocks, {len(labels)} labels: {markup}")
+            xs.append(features(blocks))
+            ys += [float(c == "+") for c in labels]
+    return np.vstack(xs), np.array(ys)
 
 
 @functools.cache
@@ -281,6 +343,7 @@ def extract(pages: DataFrame, tree: Leaf | Split | None = None, html_col: str =
 
 
 def op5_html_text(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Main text of every page; see ``extract``."""
     slim = table(spark, sf_dir, "pages").select("page_id", "url", "html")
     # the markup itself stays in the worker
     tree = default_tree()
