@@ -4,8 +4,11 @@ Documents with equal texts are linked. Labels (shards) start from a hash of the
 a group's members move to the shard that most of them have (a group larger than a shard: to as many as it needs), as
 far as the quota of room there lets them. The
 state is one row per group and first label, never one per link, so a group of a third of all rows is a few rows.
-In the end documents are ranked by label and group, and shards are cut from that rank, so counts differ by at
-most one (law "rows") and only groups on a cut or larger than a shard are parted.
+In the end each group that a shard can hold settles on one label, documents are ranked by label, and shards are cut from that
+rank, so counts differ by at most one (law "rows"). Rows that may be parted, those without a link and those of larger groups, lie at
+both ends of a label, where the cuts fall.
+
+``propagated_links`` does the same rounds over any table of links.
 """
 
 from __future__ import annotations
@@ -17,9 +20,8 @@ from kdforest.llm.common import table, written
 
 SHARDS = 40
 ROUNDS = 4
-#: Documents in a bin of the final ranking; groups beyond it are ranked in parts.
+#: Documents in a bin of the final ranking; groups beyond it are ranked in parts of about as many.
 BIN = 1000
-PARTS = 64
 GROUP = ["h", "text_crc32", "size"]
 
 
@@ -51,13 +53,17 @@ def shares_admitted(moves: list[tuple[int, int, bool, int]], load: dict[int, int
     return share[True], share[False]
 
 
+def label_array(values: list[float], at: str) -> Column:
+    return F.get(F.array(*[F.lit(x) for x in values]), F.col(at))
+
+
 def propagated(rows: DataFrame, shards: int = SHARDS, rounds: int = ROUNDS, slack: float = 0.02) -> tuple[DataFrame, list[int]]:
-    """Cells of linked documents (group, first, n, label) after ``rounds``, and the cut links before and after each.
+    """Cells of linked documents (group, first, n, group_n, label) after ``rounds``, and the links cut before and after each.
 
-    A group's goals are the shards with most of its members, as many as its size needs; a link joins each member with
-    its group and is cut if the member is in no goal. Ties go by a hash of group and shard, so that wishes spread evenly.
+    Any two documents of a group are linked; a link is cut if their labels differ. A group's goals are the shards with most of its
+    members, as many as its size needs. Ties go by a hash of group and shard, so that wishes spread evenly.
     A shard takes movers up to its capacity, the mean and ``slack``: whole groups first, then single cells of groups
-    larger than a quarter of that, while a hash of theirs is below the share that has room.
+    larger than a quarter of that, while a hash of theirs is below the share that has room. Rounds end early when no cell wishes to move.
     """
     total = rows.count()
     capacity = int(total / shards * (1 + slack)) + 1
@@ -71,7 +77,10 @@ def propagated(rows: DataFrame, shards: int = SHARDS, rounds: int = ROUNDS, slac
     is_whole = F.col("group_n") <= capacity // 4
     cut: list[int] = []
     for k in range(rounds + 1):
-        votes = cells.groupBy(*GROUP, "label").agg(F.sum("n").alias("votes"))
+        votes = cells.groupBy(*GROUP, "group_n", "label").agg(F.sum("n").alias("votes"))
+        cut.append(cut_links(votes))
+        if k == rounds:
+            break
         ordered = F.sort_array(F.collect_list(F.struct("votes", F.xxhash64(*GROUP, "label").alias("tie"), "label")), asc=False)
         tops = votes.groupBy(*GROUP).agg(F.transform(ordered, lambda x: x["label"]).alias("tops"))  # an entry per shard at most
         needed = F.least(F.ceil(F.col("group_n") / capacity), F.size("tops")).cast("int")
@@ -79,19 +88,59 @@ def propagated(rows: DataFrame, shards: int = SHARDS, rounds: int = ROUNDS, slac
         goal = F.when(F.array_contains(goals, F.col("label")), F.col("label")).otherwise(F.get("tops", F.pmod(F.xxhash64(*GROUP, "first"), needed).cast("int")))
         wish = cells.join(tops, GROUP).withColumn("goal", goal)
         moves = [(r.label, r.goal, r.whole, r.n) for r in wish.groupBy("label", "goal", is_whole.alias("whole")).agg(F.sum("n").alias("n")).collect()]
-        cut.append(sum(n for label, to, _, n in moves if label != to))
-        if k == rounds or not cut[-1] or k > 1 and cut[-1] == cut[-2]:
+        if not any(label != to for label, to, _, _ in moves):
             break
         load = dict(single)
         for label, _, _, n in moves:
             load[label] = load.get(label, 0) + n
-        whole, part = (F.get(F.array(*[F.lit(x) for x in share]), F.col("goal")) for share in shares_admitted(moves, load, capacity, shards))
+        whole, part = (label_array(share, "goal") for share in shares_admitted(moves, load, capacity, shards))
         lot = F.when(is_whole, F.xxhash64(*GROUP, F.lit(k))).otherwise(F.xxhash64(*GROUP, "first", F.lit(k)))
         admitted = F.pmod(lot, F.lit(1 << 20)) < F.when(is_whole, whole).otherwise(part) * (1 << 20)
         cells = written(wish.select(*GROUP, "first", "n", "group_n", F.when(admitted, F.col("goal")).otherwise(F.col("label")).alias("label")), "cells")
     return cells, cut
 
 
+def cut_links(votes: DataFrame) -> int:
+    """Links between documents of one group with different labels, from rows (group, group_n, votes) per group and label."""
+    own = votes.groupBy(*GROUP, "group_n").agg(F.sum(F.col("votes").cast("decimal(20,0)") * F.col("votes")).alias("inside"))
+    total = own.agg(F.sum((F.col("group_n").cast("decimal(20,0)") * F.col("group_n") - F.col("inside")) / 2)).first()[0]
+    return int(total or 0)
+
+
+def propagated_links(nodes: DataFrame, links: DataFrame, shards: int = SHARDS, rounds: int = ROUNDS, slack: float = 0.02) -> tuple[DataFrame, list[int]]:
+    """(id, label) of ``nodes`` (id) after rounds over ``links`` (a, b), and the links cut before and after each round.
+
+    A node wishes to move where most of its neighbours are, if that is more than are with it; a shard admits as many as it has
+    room for, by a hash of node and round. Votes are counted per node and label before they are dealt, so a node with many
+    links costs no task more than a row per shard and source. Links to unknown or null ids, to oneself and repeated ones
+    don't count; nodes without links keep their first label, null ids are left out.
+    """
+    state = written(nodes.where("id IS NOT NULL").select("id").distinct().select("id", F.pmod(F.xxhash64("id", F.lit(1)), F.lit(shards)).cast("int").alias("label")), "labels")
+    capacity = int(state.count() / shards * (1 + slack)) + 1
+    pairs = links.where("a <> b").select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
+    both = pairs.unionByName(pairs.select(F.col("b").alias("a"), F.col("a").alias("b")))
+    both = written(both.join(state.select(F.col("id").alias("a")), "a", "left_semi").join(state.select(F.col("id").alias("b")), "b", "left_semi"), "links")
+    cut: list[int] = []
+    for k in range(rounds + 1):
+        met = both.join(state.select(F.col("id").alias("b"), F.col("label").alias("to")), "b").groupBy("a", "to").agg(F.count("*").alias("votes"))
+        seen = written(met.join(state.select(F.col("id").alias("a"), "label"), "a"), "votes")
+        cut.append((seen.where("to <> label").agg(F.sum("votes")).first()[0] or 0) // 2)
+        if k == rounds:
+            break
+        best = seen.groupBy("a", "label").agg(F.max(F.struct("votes", F.xxhash64("a", "to").alias("tie"), "to")).alias("top"), F.max(F.when(F.col("to") == F.col("label"), F.col("votes"))).alias("here"))
+        wish = best.where(F.col("top.votes") > F.coalesce("here", F.lit(0))).select(F.col("a").alias("id"), F.col("top.to").alias("goal"))
+        moves = [(r.label, r.goal, False, r.n) for r in state.join(wish, "id").groupBy("label", "goal").agg(F.count("*").alias("n")).collect()]  # a row per pair of shards at most
+        if not moves:
+            break
+        load = {r.label: r.n for r in state.groupBy("label").agg(F.count("*").alias("n")).collect()}
+        # half of the wishes a round, so that neighbours don't swap places for ever
+        share = [x / 2 for x in shares_admitted(moves, load, capacity, shards)[1]]
+        admitted = F.pmod(F.xxhash64("id", F.lit(k)), F.lit(1 << 20)) < label_array(share, "goal") * (1 << 20)
+        moved = wish.where(admitted)
+        state = written(state.join(moved, "id", "left").select("id", F.coalesce("goal", "label").alias("label")), "labels")
+    return state, cut
+
+
 def sharded(docs: DataFrame, shards: int = SHARDS, rounds: int = ROUNDS) -> DataFrame:
     """doc_id, size, text_crc32, law ("rows"), shard, slot (gapless from 0 in each shard) and grown_shard (null).
 
@@ -101,11 +150,18 @@ def sharded(docs: DataFrame, shards: int = SHARDS, rounds: int = ROUNDS) -> Data
     rows = written(described(docs), "rows")
     total = rows.count()
     cells, _ = propagated(rows, shards, rounds)
-    known = cells.select(*GROUP, F.col("first"), "label", "group_n")
+    room = max(1, total // shards)
+    votes = cells.groupBy(*GROUP, "group_n", "label").agg(F.sum("n").alias("votes"))
+    home = votes.where(F.col("group_n") <= room // 2).groupBy(*GROUP).agg(F.max_by("label", F.struct("votes", F.xxhash64(*GROUP, "label"))).alias("home"))
+    known = cells.join(home, GROUP, "left").select(*GROUP, "first", F.coalesce("home", "label").alias("label"), "group_n", F.col("home").isNotNull().alias("whole"))
     labelled = rows.withColumn("first", first_label(shards)).join(known, [*GROUP, "first"], "left")
-    bins = max(1, total // (shards * BIN))
-    part = F.when(F.col("group_n") > BIN, F.pmod(F.xxhash64("doc_id", F.lit(2)), F.lit(PARTS)).cast("int")).otherwise(0)
-    placed = labelled.select("doc_id", *GROUP, F.coalesce("label", "first").alias("label"), F.pmod("h", F.lit(bins)).alias("bin"), part.alias("part"))
+    bins = max(1, total // (shards * BIN), min(64, total // (shards * 32)))
+    part = F.when(F.col("group_n") > BIN, F.pmod(F.xxhash64("doc_id", F.lit(2)), F.ceil(F.col("group_n") / BIN))).otherwise(0).cast("long")
+    # rows that may be parted lie before (bin < 0) and after the groups of a label
+    inner = F.pmod("h", F.lit(bins))
+    loose = F.pmod(F.xxhash64("doc_id", F.lit(3)), F.lit(2 * bins))
+    bin_of = F.when(F.coalesce("whole", F.lit(False)), inner).when(loose < bins, loose - bins).otherwise(loose)
+    placed = labelled.select("doc_id", *GROUP, F.coalesce("label", "first").alias("label"), bin_of.alias("bin"), part.alias("part"))
     placed = written(placed, "placed")
     counts = placed.groupBy("label", "bin", "part").agg(F.count("*").alias("n"))
     before = Window.partitionBy("label").orderBy("bin", "part").rowsBetween(Window.unboundedPreceding, -1)
@@ -120,4 +176,5 @@ def sharded(docs: DataFrame, shards: int = SHARDS, rounds: int = ROUNDS) -> Data
 
 
 def op8_shard(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Shard and slot of every document; see ``sharded``."""
     return sharded(table(spark, sf_dir, "documents"))
