@@ -14,7 +14,7 @@ from collections.abc import Callable
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from kdforest.llm.common import maybe_broadcast, table, written
+from kdforest.llm.common import maybe_broadcast, table, unused, written
 
 WINDOW = 13
 #: Everything but ASCII digits, letters in lower case and non-ASCII.
@@ -105,11 +105,13 @@ def contamination(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, s
 
 def decontaminated(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, share: int = 20) -> DataFrame:
     """``docs`` without contaminated rows; every column stays."""
-    bad = contamination(docs, benchmark, window, share).where("contaminated").select(F.col("doc_id").alias("_d"), F.col("mark").alias("_m")).distinct()
-    return docs.join(bad, F.col("doc_id").eqNullSafe(F.col("_d")) & (F.xxhash64("text") == F.col("_m")), "left_anti")
+    d, m = unused(docs, "bad_id"), unused(docs, "bad_mark")
+    bad = contamination(docs, benchmark, window, share).where("contaminated").select(F.col("doc_id").alias(d), F.col("mark").alias(m)).distinct()
+    return docs.join(bad, F.col("doc_id").eqNullSafe(F.col(d)) & F.xxhash64("text").eqNullSafe(F.col(m)), "left_anti")
 
 
 def op9_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """How far each document repeats windows of benchmark items; see ``contamination``."""
     docs = table(spark, sf_dir, "documents").select("doc_id", "text")
     return contamination(docs, table(spark, sf_dir, "benchmark")).drop("mark")
 

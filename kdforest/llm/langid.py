@@ -19,7 +19,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from kdforest.llm.common import hash_sample, maybe_broadcast, table, written
+from kdforest.llm.common import hash_sample, maybe_broadcast, table, unused, written
 
 BUCKETS = 1 << 15
 FIT_ROWS = 6_000
@@ -74,7 +74,11 @@ def smoothed(counts: np.ndarray, floor: float = 0.5) -> np.ndarray:
 
 
 def trained(docs: DataFrame, rows: int = FIT_ROWS, most_languages: int = 200, floor: float = 0.5) -> Likelihood:
-    """Fit on about ``rows`` labelled documents (doc_id, text, lang); rows without a label don't count."""
+    """Fit on about ``rows`` labelled documents (doc_id, text, lang); rows without a label don't count.
+
+    Of more than ``most_languages`` languages those with the most trigrams in the sample are kept, which bounds the model;
+    texts in another one are then "und" or taken for a kept one. Null and empty texts count no trigrams.
+    """
     some = hash_sample(docs.where("lang IS NOT NULL AND lang <> '' AND doc_id IS NOT NULL").select("doc_id", "text", "lang"), "doc_id", rows)
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -147,11 +151,11 @@ def fused(marked: DataFrame, model: Likelihood) -> DataFrame:
         joined = marked.join(F.broadcast(priors), ["host", "suffix"], "left")
     else:
         spread = priors.select("*", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))).alias("salt"))
-        salt = F.pmod(F.xxhash64(F.col("ll")[0], "trigrams"), F.lit(SALTS)).cast("int")
+        salt = F.pmod(F.xxhash64(*[c for c in marked.columns if c not in ("host", "suffix", "declared", "ll")]), F.lit(SALTS)).cast("int")
         joined = marked.withColumn("salt", salt).join(spread, ["host", "suffix", "salt"], "left").drop("salt")
     names = F.array(*[F.lit(x) for x in model.languages])
     right, wrong = math.log(DECLARED_RIGHT), math.log((1 - DECLARED_RIGHT) / max(1, n - 1))
-    claim = F.substring(F.lower(F.coalesce("declared", F.lit(""))), 1, 2)
+    claim = F.regexp_extract(F.lower(F.coalesce("declared", F.lit(""))), "^([a-z]+)", 1)  # en-US is en, fil is not fi
     known = F.array_contains(names, claim)
     said = F.concat(
         F.transform(names, lambda x: F.when(~known, F.lit(0.0)).when(x == claim, F.lit(right)).otherwise(F.lit(wrong))),
@@ -189,13 +193,15 @@ def accepted_documents(docs: DataFrame, model: Likelihood) -> DataFrame:
     """
     source = F.coalesce(F.col("source").cast("string"), F.lit(""))
     real = F.coalesce(F.length("text") > 0, F.lit(False))
+    d, m = unused(docs, "rejected_id"), unused(docs, "rejected_mark")
     rows = docs.where(real).select(F.xxhash64("text").alias("mark"), F.col("doc_id"), F.col("lang").alias("declared"), source.alias("host"), F.lit("").alias("suffix"), F.col("text").alias("body"))
     marked = written(with_likelihoods(rows, model, markup=False), "likelihoods")
-    bad = fused(marked, model).where(~F.col("accepted")).select(F.col("doc_id").alias("_d"), F.col("mark").alias("_m")).distinct()
+    bad = fused(marked, model).where(~F.col("accepted")).select(F.col("doc_id").alias(d), F.col("mark").alias(m)).distinct()
     kept = docs.where(real)
-    return kept.join(maybe_broadcast(bad), F.col("doc_id").eqNullSafe(F.col("_d")) & (F.xxhash64("text") == F.col("_m")), "left_anti")
+    return kept.join(maybe_broadcast(bad), F.col("doc_id").eqNullSafe(F.col(d)) & (F.xxhash64("text") == F.col(m)), "left_anti")
 
 
 def op1_language(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The language of every page, by a model fitted on labelled documents; see ``page_languages``."""
     model = trained(table(spark, sf_dir, "documents"))
     return page_languages(table(spark, sf_dir, "pages"), model)

@@ -16,7 +16,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from kdforest.llm.common import hash_sample, table
+from kdforest.llm.common import hash_sample, table, unused
 
 #: Labelled rows that a fit takes at most (ties of hashes aside).
 FIT_ROWS = 20_000
@@ -61,8 +61,8 @@ def document_statistics(docs: DataFrame, keep: list[str], text_col: str = "text"
             x = pa.array([statistics(t.as_py()) for t in b.column(b.num_columns - 1)], pa.list_(pa.float64()))
             yield pa.RecordBatch.from_arrays([*(b.column(i) for i in range(len(keep))), x], [*keep, "x"])
 
-    slim = docs.select(*keep, F.col(text_col).alias("_text"))
-    schema = slim.drop("_text").withColumn("x", F.array(F.lit(0.0))).schema
+    slim = docs.select(*keep, F.col(text_col).alias(unused(docs, "whole_text")))
+    schema = docs.select(*keep).withColumn("x", F.array(F.lit(0.0))).schema
     return slim.mapInArrow(work, schema)
 
 
@@ -114,11 +114,14 @@ def fit(x: np.ndarray, y: np.ndarray, pooled: float = 0.5, ridge: float = 0.05)
 
 
 def trained(docs: DataFrame, labels: DataFrame, rows: int = FIT_ROWS) -> Discriminant:
-    """Fit on at most ``rows`` labelled documents, those whose ids have the smallest hashes; null labels don't count."""
+    """Fit on at most ``rows`` labelled documents, those whose ids have the smallest hashes; null labels don't count.
+
+    Of several rows of one id the smallest text counts, a null one as empty.
+    """
     known = labels.where("doc_id IS NOT NULL AND quality IN (0, 1)").groupBy("doc_id").agg(F.min("quality").alias("quality"))
     some = hash_sample(known, "doc_id", rows)
     ids = F.broadcast(some) if some.count() <= 2 * rows else some
-    joined = docs.select("doc_id", "text").join(ids, "doc_id")
+    joined = docs.select("doc_id", "text").join(ids, "doc_id").groupBy("doc_id", "quality").agg(F.min("text").alias("text"))
     got = document_statistics(joined, ["quality"]).collect()  # at most the sampled ids' rows
     return fit(np.array([r.x for r in got]), np.array([r.quality for r in got]))
 
@@ -133,8 +136,8 @@ def scored(docs: DataFrame, model: Discriminant, keep: list[str], text_col: str
             cols = [*(b.column(i) for i in range(len(keep))), pa.array(s, pa.float64()), pa.array(s >= 0.5).cast(pa.int32())]
             yield pa.RecordBatch.from_arrays(cols, [*keep, "score", "predicted"])
 
-    slim = docs.select(*keep, F.col(text_col).alias("_text"))
-    schema = slim.drop("_text").withColumns({"score": F.lit(0.0), "predicted": F.lit(0).cast("int")}).schema
+    slim = docs.select(*keep, F.col(text_col).alias(unused(docs, "whole_text")))
+    schema = docs.select(*keep).withColumns({"score": F.lit(0.0), "predicted": F.lit(0).cast("int")}).schema
     return slim.mapInArrow(work, schema)
 
 
@@ -143,6 +146,7 @@ def held_out() -> Column:
 
 
 def op6_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The quality score of every document by a model that saw no held-out label; see ``trained`` and ``scored``."""
     docs, labels = table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels")
     model = trained(docs, labels.where(~held_out()))
     return scored(docs, model, ["doc_id"]).select("doc_id", F.coalesce(held_out(), F.lit(False)).alias("held_out"), "score", "predicted")

@@ -23,7 +23,7 @@ import xxhash
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from kdforest.llm.common import maybe_broadcast, table, written
+from kdforest.llm.common import maybe_broadcast, table, unused, written
 
 #: A-Z to a-z, nothing else.
 LOWER = bytes(range(65)) + bytes(range(97, 123)) + bytes(range(91, 256))
@@ -203,14 +203,16 @@ def linked(fps: DataFrame, distance: int = 4) -> DataFrame:
 
 
 def op7_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The fingerprint of every document and the smallest id that is linked to it at 4 bits; see ``linked``."""
     fps = written(fingerprints(table(spark, sf_dir, "documents")), "simhash")
     return linked(fps).select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
 
 
-def by_row(docs: DataFrame) -> DataFrame:
-    """``docs`` with _none, _id and _mark, which are equal only in rows with equal ids (or none) and equal texts."""
+def by_row(docs: DataFrame) -> tuple[DataFrame, list[str]]:
+    """``docs`` with three columns, and their names, which are equal only in rows with equal ids (or none) and equal texts."""
     key = F.col("doc_id").cast("long")
-    return docs.withColumns({"_none": key.isNull(), "_id": F.coalesce(key, F.lit(0).cast("long")), "_mark": F.xxhash64("text")})
+    none, own, mark = (unused(docs, n) for n in ("_none", "_id", "_mark"))
+    return docs.withColumns({none: key.isNull(), own: F.coalesce(key, F.lit(0).cast("long")), mark: F.xxhash64("text")}), [none, own, mark]
 
 
 #: Bands and their minimum hashes: texts with a Jaccard similarity j share a band with a chance of 1 - (1 - j**6)**32,
@@ -288,7 +290,8 @@ def one_of_each(docs: DataFrame, shingle: int = 5) -> DataFrame:
     candidates join meet in one task, which compares their sets exactly. Different texts under one id are different
     documents, and so are those without an id. Texts without words are one; other columns stay as they are.
     """
-    row = ["_none", "_id", "_mark"]
+    marked, row = by_row(docs)
+    keys = f"`{row[0]}` boolean, `{row[1]}` long, `{row[2]}` long"
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
@@ -331,14 +334,13 @@ def one_of_each(docs: DataFrame, shingle: int = 5) -> DataFrame:
                 held.append((*own, shingle_set(text, shingle)))
         yield lost()
 
-    marked = by_row(docs)
-    fps = marked.select(*row, "text").mapInArrow(work, "_none boolean, _id long, _mark long, fp binary, bands array<long>")
+    fps = marked.select(*row, "text").mapInArrow(work, f"{keys}, fp binary, bands array<long>")
     least = fps.groupBy("fp").agg(F.min(F.struct(*row)).alias("r"), F.first("bands").alias("bands")).select(F.xxhash64("fp").alias("node"), "r.*", "bands")
     reps = written(least, "fingerprints")
     keyed = reps.select(F.explode("bands").alias("band"), "node")
     links = keyed.repartition("band").sortWithinPartitions("band", "node").mapInArrow(starred, "a long, b long").distinct()
     met = written(reps.join(components(links), "node").select("root", *row), "candidates")
     texts = marked.select(*row, "text").join(maybe_broadcast(met), row).dropDuplicates(["root", *row]).select("root", *row, "text")
-    gone = written(texts.repartition("root").sortWithinPartitions("root").mapInArrow(solved, "_none boolean, _id long, _mark long"), "replaced")
+    gone = written(texts.repartition("root").sortWithinPartitions("root").mapInArrow(solved, keys), "replaced")
     keep = reps.select(*row).join(gone, row, "left_anti")
     return marked.join(keep, row, "left_semi").dropDuplicates(row).drop(*row)
