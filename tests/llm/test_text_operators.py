@@ -201,8 +201,8 @@ def test_packing(docs, odd):
 
     path = public_tokenizers.path("byte_bpe_50k.json")
     tok = Tokenizer.from_file(path)
-    tok.encode_special_tokens = True
-    for table in (docs, odd):
+    named = odd.unionByName(odd.limit(1).selectExpr("700L AS doc_id", "'a <|endoftext|> b<|endoftext|>' AS text", "lang", "source", "n_chars", "_extra"))
+    for table in (docs, named):
         texts = Counter()
         ids = {}
         for r in table.collect():
@@ -232,6 +232,41 @@ def test_packing(docs, odd):
         assert packing.padding(packing.pack(table, path)).first().padding == 0
 
 
+def test_special_names_are_tokens():
+    import public_tokenizers
+    from tokenizers import Tokenizer
+
+    path = public_tokenizers.path("byte_bpe_50k.json")
+    text = "a <|endoftext|> b"
+    ids = Tokenizer.from_file(path).encode(text, add_special_tokens=False).ids
+    assert packing.text_encoder(path)(text) == ids and 50256 in ids
+
+
+def test_levels_by_brute_force():
+    """Each piece goes where the sum of squared counts is smallest; windows of the rule stay at the end."""
+    rng = np.random.default_rng(3)
+    packer, size, opened = packing.LevelPacker(16), 16, Counter()
+    for i in range(600):
+        n = int(rng.integers(1, 16))
+        square = lambda counts: sum(c * c for c in counts.values())
+        options = {}
+        for level in [0, *[v for v, c in opened.items() if c and v + n <= size]]:
+            after = Counter(opened)
+            after[level] -= level > 0
+            after[level + n] += level + n < size
+            options[level] = square(after) - square(opened)
+        level = packer.level_for(n)
+        assert options[level] == min(options.values())
+        packer.add(("d", i), np.arange(n, dtype="<u4"))
+        opened[level] -= level > 0
+        opened[level + n] += level + n < size
+        assert all(packer.count[v] == c for v, c in opened.items() if 0 < v < size)
+    total, windows = sum(v * c for v, c in opened.items() if v & (v - 1)), sum(c for v, c in opened.items() if v & (v - 1))
+    closed = packer.finish()
+    assert packer.kept == total // size and packer.kept + packer.parted == windows
+    assert all((k := sum(len(x) for *_, x in w)) == size or k & (k - 1) == 0 for w in closed)
+
+
 def test_levels():
     p = packing.LevelPacker(16)
     closed = p.add("a", np.arange(10, dtype="<u4")) + p.add("b", np.arange(6, dtype="<u4"))
@@ -273,6 +308,7 @@ def test_likeness_against_sets(spark, docs):
         if len(a ^ b) <= 12:
             exact += 1
             assert got[r.doc_id].near_next == pytest.approx(want, abs=0.35)
+        assert got[r.doc_id].near_next == pytest.approx(want if a or b else 1.0, abs=1e-9)
     assert exact
 
 
@@ -344,6 +380,21 @@ def test_sharding(docs, odd, spark):
     assert set(loads.values()) == {100}
     apart = sharding.sharded(many).where("text_crc32 <> " + str(zlib.crc32(b"hot"))).groupBy("text_crc32").agg(F.countDistinct("shard").alias("k")).where("k > 1").count()
     assert apart < 200
+    assert apart <= 50  # of 1000 groups
+
+
+def test_sharding_over_links(spark):
+    """Twelve planted clusters, a hub, and links that count for nothing."""
+    links = [(c * 100 + i, c * 100 + (i + s) % 60) for c in range(12) for i in range(60) for s in (1, 2, 5, 7)] + [(i, 999) for i in range(0, 1200, 7)]
+    ids = sorted({x for p in links for x in p})
+    nodes = spark.createDataFrame([(i,) for i in ids + ids[:5]] + [(None,)], "id long")
+    edges = spark.createDataFrame([*links, *links[:50], (3, 3), (5, 77777), (None, 4)], "a long, b long")
+    state, cut = sharding.propagated_links(nodes, edges, shards=4, rounds=8, slack=0.1)
+    got = {r.id: r.label for r in state.collect()}
+    assert sorted(got) == ids and set(got.values()) <= set(range(4))
+    real = {tuple(sorted(p)) for p in links if p[0] != p[1]}
+    assert cut[-1] == sum(got[a] != got[b] for a, b in real) < 0.7 * cut[0]
+    assert max(Counter(got.values()).values()) <= len(ids) / 4 * 1.25
 
 
 def test_warc(spark, tmp_path):
