@@ -3,10 +3,11 @@
 from __future__ import annotations
 
 import time
+import uuid
 from collections.abc import Callable
 from statistics import median
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from kdforest.operators.forest import LogForest
@@ -23,6 +24,50 @@ def timed(run: Callable[[], object], warmup: int = 1, runs: int = 3) -> float:
     return median(took)
 
 
+class CostMeter:
+    """Counts what Spark ran inside a ``with``: jobs and stages (a bound on the chain of dependent steps, ``depth``) and tasks.
+
+    ``work`` adds the rows that the caller reports, such as points moved or probed.
+    """
+
+    def __init__(self, spark: SparkSession):
+        self.context, self.group = spark.sparkContext, uuid.uuid4().hex
+        self.work = self.jobs = self.stages = self.tasks = 0
+
+    def __enter__(self) -> CostMeter:
+        self.context.setJobGroup(self.group, "measured")
+        return self
+
+    def add(self, rows: int) -> None:
+        self.work += rows
+
+    def __exit__(self, *_: object) -> None:
+        tracker = self.context.statusTracker()
+        jobs = [j for j in map(tracker.getJobInfo, tracker.getJobIdsForGroup(self.group)) if j]
+        stages = [s for j in jobs for s in map(tracker.getStageInfo, j.stageIds) if s]
+        self.jobs, self.stages, self.tasks = len(jobs), len(stages), sum(s.numTasks for s in stages)
+        self.context.setLocalProperty("spark.jobGroup.id", None)
+
+    @property
+    def depth(self) -> int:
+        return self.stages
+
+
+def curve(rows: list[dict], x: str, n: str = "n", seconds: str = "seconds") -> list[tuple]:
+    """(x, throughput) by x: one of the curves over threads, batch sizes or k."""
+    return sorted((r[x], throughput(r[n], r[seconds])) for r in rows)
+
+
+def speedups(rows: list[dict], threads: str = "threads", seconds: str = "seconds") -> dict:
+    """Seconds on the fewest threads over those on the most, their mean and largest, by all other fields."""
+    by: dict[tuple, dict] = {}
+    for r in rows:
+        key = tuple(sorted((k, v) for k, v in r.items() if k not in (threads, seconds) and isinstance(v, str)))
+        by.setdefault(key, {})[r[threads]] = r[seconds]
+    each = {k: speedup(v[min(v)], v[max(v)]) for k, v in by.items() if len(v) > 1}
+    return {"each": each, "mean": sum(each.values()) / max(1, len(each)), "largest": max(each.values(), default=0.0)}
+
+
 def throughput(n: int, seconds: float) -> float:
     return n / seconds if seconds else float("inf")
 
@@ -62,6 +107,24 @@ def forest_shape(mask: int, n: int, x: int) -> tuple[int, int]:
     return mask.bit_count(), (n // x).bit_length()
 
 
+def histogram(values: DataFrame, column: str, key: str) -> DataFrame:
+    """Per ``key``: rows, distinct values (exact and estimated), quartiles (exact and sketched), smallest and largest."""
+    q = F.array(*[F.lit(x) for x in (0.25, 0.5, 0.75)])
+    return values.groupBy(key).agg(
+        F.count(column).alias("n"), F.countDistinct(column).alias("distinct"), F.approx_count_distinct(column, 0.02).alias("about"), F.percentile(column, q).alias("quartiles"), F.percentile_approx(column, [0.25, 0.5, 0.75]).alias("sketched"), F.min(column).alias("lo"), F.max(column).alias("hi")
+    )
+
+
+def rolled_up(rows: DataFrame, dims: list[str], value: str) -> DataFrame:
+    """Sums of ``value`` over the leading subsets of ``dims``."""
+    return rows.rollup(*dims).agg(F.sum(value).alias("total"), F.grouping_id(*dims).cast("long").alias("level"))
+
+
+def grouped_sets(rows: DataFrame, sets: list[list[str]], dims: list[str], value: str) -> DataFrame:
+    """Sums of ``value`` over chosen subsets of ``dims``."""
+    return rows.groupingSets([[F.col(c) for c in s] for s in sets], *dims).agg(F.sum(value).alias("total"), F.grouping_id().cast("long").alias("level"))
+
+
 def subtotals(rows: DataFrame, dims: list[str], value: str) -> DataFrame:
     """Sums and counts of ``value`` over every subset of ``dims``."""
     return rows.cube(*dims).agg(F.sum(value).alias("total"), F.count(value).alias("n"), F.grouping_id(*dims).cast("long").alias("level"))

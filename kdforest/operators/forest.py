@@ -17,6 +17,7 @@ from kdforest.operators import bloom as bloom_filter
 from kdforest.operators import tree as kd
 from kdforest.operators.cells import LEAF
 from kdforest.operators.primitives import ranks
+from kdforest.operators.spatial import dual_search
 from kdforest.plans.schedule import bits, plan_insert, shares
 from kdforest.shared import emptied, local_table, read_back, written
 
@@ -294,7 +295,8 @@ class LogForest:
         Schedules: "tree_serial" takes the trees one after another (largest first, or last with order "asc") and hands each
         query's bound on, the small ones together; "all_parallel" searches all trees at once, each with a bound of
         its own; "query_outer" takes each query through all trees together: its home cells in all of them give one bound, which
-        prunes every tree's cells. That is done for all queries at once, without a limit to their number.
+        prunes every tree's cells. That is done for all queries at once, without a limit to their number. "dual" puts the
+        queries in a tree too, whose cells share a bound.
         """
         s = self.state
         queries = queries.select("query_id", *coords(self.d, "q"), F.lit(None).cast("double").alias("r2"))
@@ -307,6 +309,8 @@ class LogForest:
             return kd.ranked(found, k)
         if schedule == "query_outer":
             return kd.ranked(kd.search(queries, self._as_forest(s, trees), k, metric, exclude_self=exclude_self, tombs=s.tombs), k)
+        if schedule == "dual":
+            return dual_search(queries, self._as_forest(s, trees), k, self.cap, self.rule, metric, exclude_self, s.tombs)
         if schedule != "tree_serial":
             raise ValueError(f"no such schedule: {schedule}")
         total = sum(s.slots[i].live for i in s.slots) + s.buffered

@@ -2,10 +2,12 @@
 
 from __future__ import annotations
 
+from functools import reduce
+
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from kdforest.shared import written
+from kdforest.shared import small, written
 
 _OPS = {"sum": (F.sum, sum), "min": (F.min, min), "max": (F.max, max)}
 
@@ -54,9 +56,18 @@ def partition_around(df: DataFrame, column: str, pivot: float, order: list[str])
 
 
 def median_partition(df: DataFrame, column: str, tie: str, group: list[str]) -> DataFrame:
-    """``df`` with half: 0 for the lowest floor(n / 2) rows of each group by (column, tie), else 1."""
-    own = Window.partitionBy(*group)
-    return df.withColumn("half", (F.row_number().over(own.orderBy(column, tie)) > F.floor(F.count("*").over(own) / 2)).cast("int"))
+    """``df`` with half: 0 for the lowest floor(n / 2) rows of each group by (column, tie), else 1; nulls are lowest, null groups are one.
+
+    Rows are ranked over all groups at once, so a group of any size is spread over tasks.
+    """
+    ranked = written(ranks(df, [*group, column, tie]), "ranked")
+    names = [f"_group{i}" for i in range(len(group))]
+    while set(names) & set(df.columns):
+        names = ["_" + n for n in names]
+    per = written(ranked.groupBy(*group).agg(F.min("rank").alias("_start"), F.count("*").alias("_n")).toDF(*names, "_start", "_n"), "groups")
+    same = [F.col(a).eqNullSafe(F.col(b)) for a, b in zip(group, names, strict=True)]
+    joined = ranked.join(small(per, per.count()), reduce(lambda a, b: a & b, same))
+    return joined.select(*df.columns, (F.col("rank") - F.col("_start") >= F.floor(F.col("_n") / 2)).cast("int").alias("half"))
 
 
 def extent(df: DataFrame, columns: list[str], group: list[str]) -> DataFrame:

@@ -4,10 +4,11 @@ from __future__ import annotations
 
 from functools import reduce
 
+import numpy as np
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from kdforest.functions.geometry import box_mind2, coords, dist2
+from kdforest.functions.geometry import coords, dist2
 from kdforest.operators import tree as kd
 from kdforest.shared import local_table, small
 
@@ -39,9 +40,10 @@ def range_count(points: DataFrame, boxes: DataFrame, d: int) -> DataFrame:
 
 
 def radius_join(a: DataFrame, b: DataFrame, d: int, r: float) -> DataFrame:
-    """(query_id, point_id, d2) of all pairs within ``r``: an equi join on grid cells of side r and their neighbours; for few dimensions."""
-    cell = [F.floor(F.col(f"c{j}") / r) for j in range(d)]
-    around = [F.array(*[F.floor(F.col(f"q{j}") / r) + s for s in (-1, 0, 1)]) for j in range(d)]
+    """(query_id, point_id, d2) of all pairs within ``r``, 0 or more: an equi join on grid cells of side r and their neighbours; for few dimensions. Null coordinates meet nothing."""
+    side = r if r > 0 else 1.0  # with no radius only equal points are pairs
+    cell = [F.floor(F.col(f"c{j}") / side) for j in range(d)]
+    around = [F.array(*[F.floor(F.col(f"q{j}") / side) + s for s in (-1, 0, 1)]) for j in range(d)]
     left = a
     for j in range(d):
         left = left.withColumn(f"g{j}", F.explode(around[j]))
@@ -89,51 +91,56 @@ def lateral_knn(queries: DataFrame, points: DataFrame, d: int, k: int) -> DataFr
 
 
 def asof(left: DataFrame, right: DataFrame, by: list[str], on: str, value: str) -> DataFrame:
-    """``left`` and the ``value`` of the last row of ``right`` at or before it in ``on``, per key; one sort, no join."""
-    a = left.withColumn("_side", F.lit(1)).withColumn(f"asof_{value}", F.lit(None).cast(right.schema[value].dataType))
-    b = right.select(*by, on, F.lit(0).alias("_side"), F.col(value).alias(f"asof_{value}"))
+    """``left`` and the ``value`` (not null) of the last row of ``right`` at or before it in ``on``, per key; one sort, no join. Null keys are one key."""
+    side = "_side"
+    while side in left.columns:
+        side = "_" + side
+    a = left.withColumn(side, F.lit(1)).withColumn(f"asof_{value}", F.lit(None).cast(right.schema[value].dataType))
+    b = right.select(*by, on, F.lit(0).alias(side), F.col(value).alias(f"asof_{value}"))
     both = a.unionByName(b, allowMissingColumns=True)
-    last = Window.partitionBy(*by).orderBy(on, "_side").rowsBetween(Window.unboundedPreceding, 0)
-    return both.withColumn(f"asof_{value}", F.last(f"asof_{value}", ignorenulls=True).over(last)).where("_side = 1").drop("_side")
+    last = Window.partitionBy(*by).orderBy(on, side).rowsBetween(Window.unboundedPreceding, 0)
+    return both.withColumn(f"asof_{value}", F.last(f"asof_{value}", ignorenulls=True).over(last)).where(F.col(side) == 1).drop(side)
 
 
 def interval_join(a: DataFrame, b: DataFrame, x: str, y: str, w: float) -> DataFrame:
-    """Pairs whose ``x`` and ``y`` are within ``w``: an equi join on buckets of width w and their neighbours."""
-    left = a.withColumn("_b", F.explode(F.array(*[F.floor(F.col(x) / w) + s for s in (-1, 0, 1)])))
-    right = b.withColumn("_b", F.floor(F.col(y) / w))
-    return left.join(right, "_b").where(F.abs(F.col(x) - F.col(y)) <= w).drop("_b")
+    """Pairs whose ``x`` and ``y`` are within ``w``, 0 or more: an equi join on buckets of width w and their neighbours. Nulls meet nothing."""
+    side, key = (w if w > 0 else 1.0), "_bucket"
+    while key in {*a.columns, *b.columns}:
+        key = "_" + key
+    left = a.withColumn(key, F.explode(F.array(*[F.floor(F.col(x) / side) + s for s in (-1, 0, 1)])))
+    right = b.withColumn(key, F.floor(F.col(y) / side))
+    return left.join(right, key).where(F.abs(F.col(x) - F.col(y)) <= w).drop(key)
+
+
+def dual_search(queries: DataFrame, forest: kd.Forest, k: int, cap: int = kd.CELL_CAP, rule: str = "object", metric: str = "euclid", exclude_self: bool = False, tombs: DataFrame | None = None, pairs_seen: list | None = None) -> DataFrame:
+    """(query_id, rank, point_id, d2) by two trees: the queries' cells share a bound, and pairs of cells beyond it are dropped unseen.
+
+    ``forest`` may hold several trees. The number of pairs of cells met is added to ``pairs_seen``.
+    """
+    d, spark = forest.d, queries.sparkSession
+    q = coords(d, "q")
+    as_points = queries.select(F.lit(0).alias("tree"), F.col("query_id").alias("point_id"), *[F.col(f"q{j}").alias(f"c{j}") for j in range(d)], F.lit(0).cast("long").alias("seq"))
+    splits = [s for s in kd.build(as_points, d, rule, cap).splits if s[2] < d]
+
+    def meet(asked: DataFrame) -> DataFrame:
+        placed = kd.route(asked.select("query_id", *q, "r2", F.col("tree").alias("home_tree"), F.col("node").alias("home"), F.lit(0).alias("tree"), F.lit(1).cast("long").alias("node")), splits, d, "q")
+        box = [f(c).alias(f"{a}{j}") for j, c in enumerate(q) for f, a in ((F.min, "lo"), (F.max, "hi"))]
+        cells = placed.groupBy("node").agg(F.max("r2").alias("r2"), *box).collect()  # a row per query cell
+        lo, hi = (np.array([[c[f"{a}{j}"] for j in range(d)] for c in cells], dtype=float).reshape(len(cells), d) for a in ("lo", "hi"))
+        top = forest.top()
+        row, cell = top.near_boxes(lo, hi, np.array([c.r2 for c in cells], dtype=float), metric)
+        if pairs_seen is not None:
+            pairs_seen.append(len(row))
+        pairs = local_table(spark, [(cells[r].node, int(top.tree[c]), int(top.node[c])) for r, c in zip(row.tolist(), cell.tolist(), strict=True)], "qnode long, tree int, node long")
+        met = placed.drop("tree").withColumnRenamed("node", "qnode").join(small(pairs, len(row)), "qnode")
+        return met.where("tree <> home_tree OR node <> home").select("query_id", *q, "r2", "tree", "node")
+
+    return kd.ranked(kd.search(queries, forest, k, metric, exclude_self=exclude_self, tombs=tombs, meet=meet), k)
 
 
 def knn_dual(queries: DataFrame, points: DataFrame, d: int, k: int, cap: int = kd.CELL_CAP, rule: str = "object", exclude_self: bool = False) -> DataFrame:
-    """Neighbours by two trees: the queries' cells share a bound, and pairs of cells beyond it are dropped unseen."""
-    spark = queries.sparkSession
-    points_tree = kd.stored(kd.build(points.withColumn("tree", F.lit(0)), d, rule, cap))
-    as_points = queries.select(F.lit(0).alias("tree"), F.col("query_id").alias("point_id"), *[F.col(f"q{j}").alias(f"c{j}") for j in range(d)], F.lit(0).cast("long").alias("seq"))
-    query_tree = kd.stored(kd.build(as_points, d, rule, cap))
-    q = query_tree.points.select("node", F.col("point_id").alias("query_id"), *[F.col(f"c{j}").alias(f"q{j}") for j in range(d)])
-    if not points_tree.cells:
-        return queries.select("query_id", F.lit(1).alias("rank"), F.col("query_id").alias("point_id"), F.lit(0.0).alias("d2")).where("false")
-    # a bound for each query from the cell it falls in, then the largest of each query cell
-    home = kd.route(q.withColumn("qnode", F.col("node")).withColumn("node", F.lit(1).cast("long")).withColumn("tree", F.lit(0)), points_tree.splits, d, "q")
-
-    def near(rows: DataFrame) -> DataFrame:
-        out = rows.join(points_tree.points.select("node", "point_id", *coords(d)), "node").withColumn("d2", dist2(d))
-        return out.where("query_id <> point_id") if exclude_self else out
-
-    first = kd.top_k(near(home).select("query_id", "qnode", "point_id", "d2"), k).groupBy("query_id", "qnode").agg(F.max("d2").alias("r2"), F.count("*").alias("m"))
-    bounds = {r.qnode: r for r in first.groupBy("qnode").agg(F.max("r2").alias("r2"), F.min("m").alias("m"), F.count("*").alias("seen")).collect()}  # a row per query cell
-    boxes = []
-    for c in query_tree.cells:
-        b = bounds.get(c["node"])
-        r2 = float(b.r2) if b and b.m >= k and b.seen == c["n"] else float("inf")
-        boxes.append((c["node"], *[c[f"lo{j}"] for j in range(d)], *[c[f"hi{j}"] for j in range(d)], r2))
-    front = local_table(spark, boxes, "qnode long, " + ", ".join(f"{x} double" for x in (*coords(d, "qlo"), *coords(d, "qhi"))) + ", r2 double").withColumns({"tree": F.lit(0), "parent": F.lit(0).cast("long")})
-    nodes, n = points_tree.nodes(spark)
-    for _ in range(points_tree.depth() + 2):
-        met = front.join(small(nodes, n), ["tree", "parent"]).where(box_mind2(d) <= F.col("r2"))
-        front = met.select("qnode", *coords(d, "qlo"), *coords(d, "qhi"), "r2", "tree", F.col("node").alias("parent"))
-    pairs = front.select("qnode", F.col("parent").alias("node")).distinct()
-    return kd.ranked(near(q.withColumnRenamed("node", "qnode").join(pairs, "qnode")).select("query_id", "point_id", "d2"), k)
+    """Neighbours by a tree over the points and one over the queries."""
+    return dual_search(queries, kd.stored(kd.build(points.withColumn("tree", F.lit(0)), d, rule, cap), rule=rule), k, cap, rule, exclude_self=exclude_self)
 
 
 def visited(queries: DataFrame, forest: kd.Forest, r2: Column) -> DataFrame:

@@ -9,7 +9,7 @@ searched at once, keyed by (tree, node).
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 from dataclasses import dataclass, field
 
 import numpy as np
@@ -113,6 +113,21 @@ class TopTree:
             row, at = np.repeat(row[~cell], 2), np.column_stack([self.left[at[~cell]], self.right[at[~cell]]]).ravel()
         return (np.concatenate(out_q), np.concatenate(out_c)) if out_q else (row, at)
 
+    def near_boxes(self, lo: np.ndarray, hi: np.ndarray, r2: np.ndarray, metric: str) -> tuple[np.ndarray, np.ndarray]:
+        """(box, cell) pairs whose distance is within the box's bound: two trees walked as one."""
+        out_q, out_c = [], []
+        row = np.tile(np.arange(len(lo)), len(self.roots))
+        at = np.repeat(list(self.roots.values()), len(lo)).astype(np.int64)
+        while len(row):
+            gap = inside.combined([np.maximum(np.maximum(self.lo[at, j] - hi[row, j], 0.0), lo[row, j] - self.hi[at, j]) for j in range(lo.shape[1])], metric)
+            near = gap <= r2[row]
+            row, at = row[near], at[near]
+            cell = self.left[at] < 0
+            out_q.append(row[cell])
+            out_c.append(at[cell])
+            row, at = np.repeat(row[~cell], 2), np.column_stack([self.left[at[~cell]], self.right[at[~cell]]]).ravel()
+        return np.concatenate([*out_q, row]), np.concatenate([*out_c, at])
+
 
 @dataclass
 class Forest:
@@ -396,13 +411,15 @@ def _met(asked: DataFrame, points: DataFrame, cells: int) -> tuple[DataFrame, Da
     return asked, points.join(F.broadcast(touched) if cells <= ALONG else touched, ["tree", "node"], "left_semi")
 
 
-def search(queries: DataFrame, forest: Forest, k: int, metric: str = "euclid", trees: list[int] | None = None, exclude_self: bool = False, tombs: DataFrame | None = None, shared_bound: bool = True, homes: bool = True, fill: bool = True) -> DataFrame:
+def search(queries: DataFrame, forest: Forest, k: int, metric: str = "euclid", trees: list[int] | None = None, exclude_self: bool = False, tombs: DataFrame | None = None, shared_bound: bool = True, homes: bool = True, fill: bool = True, meet: Callable[[DataFrame], DataFrame] | None = None) -> DataFrame:
     """(query_id, point_id, d2) of the k nearest live points in ``trees`` to each query (query_id, q0.., r2).
 
     Queries whose r2 is null get a bound from the boxes above the cells. With ``homes`` they first search the cell nearest to
     them, in the largest tree, whose k-th neighbour tightens it; then every other cell within the bound is searched.
     Ties are ordered by point_id. With ``shared_bound=False`` each tree has a bound of its own. ``fill=False``
-    searches cells a query at a time, best node first.
+    searches cells a query at a time, best node first. ``meet`` takes the queries (query_id, q0.., r2, tree, node) to the
+    cells (tree, node) they search after their home, in place of the walk of each query. Queries that are null or
+    repeated have no defined result; without live points there are no rows.
     """
     d, spark, q = forest.d, queries.sparkSession, coords(forest.d, "q")
     trees = [t for t in (forest.trees if trees is None else trees) if t in forest.trees]
@@ -472,7 +489,9 @@ def search(queries: DataFrame, forest: Forest, k: int, metric: str = "euclid", t
                 out = b.take(pa.array(row))
                 yield pa.RecordBatch.from_arrays([*(out.column(c) for c in ("query_id", *q, "r2")), pa.array(top.tree[cell], pa.int32()), pa.array(top.node[cell], pa.int64())], ["query_id", *q, "r2", "tree", "node"])
 
-    if along:
+    if meet is not None:
+        rest = meet(asked.select("query_id", *q, "r2", "tree", "node"))
+    elif along:
         rest = asked.select("query_id", *q, "r2", "tree", "node").mapInArrow(others, home_schema)
     else:
         was = asked.select("query_id", F.col("tree").alias("tree"), F.col("node").alias("node"))

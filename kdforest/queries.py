@@ -14,7 +14,7 @@ from kdforest.operators import tree as kd
 from kdforest.operators.baselines import FixedCells, RebuildAll, brute_knn
 from kdforest.operators.forest import LogForest
 from kdforest.plans.veb import positions
-from kdforest.shared import local_table
+from kdforest.shared import local_table, scratch_path, written
 from kdforest.sources.pointsets import load, point_set
 from kdforest.streaming import updates
 
@@ -170,12 +170,52 @@ def _spatial_levels(spark: SparkSession, sf_dir: str) -> DataFrame:
     return _boxes(df)
 
 
-@query("veb_layout")
+_VEB = """
+WITH RECURSIVE top AS (SELECT l::BIGINT AS levels, n::BIGINT AS node FROM range(1, 9) a(l), range(1, 256) b(n) WHERE n < (1 << l)),
+walk AS (
+  SELECT levels, node, levels AS l, node AS n, 0::BIGINT AS base FROM top
+  UNION ALL
+  SELECT levels, node,
+    CASE WHEN n < (1 << (l - b)) THEN l - b ELSE b END,
+    CASE WHEN n < (1 << (l - b)) THEN n ELSE (1 << (deep - (l - b))) + (n & ((1 << (deep - (l - b))) - 1)) END,
+    CASE WHEN n < (1 << (l - b)) THEN base ELSE base + (1 << (l - b)) - 1 + ((n >> (deep - (l - b))) - (1 << (l - b))) * ((1 << b) - 1) END
+  FROM (SELECT *, (1 << ceil(log2((l + 1) // 2))::BIGINT) AS b, floor(log2(n))::BIGINT AS deep FROM walk WHERE l > 1)
+)
+SELECT levels::INTEGER AS levels, node::INTEGER AS node, base::INTEGER AS position FROM walk WHERE l = 1
+"""
+
+
+@query("veb_layout", _VEB)
 def _veb(spark: SparkSession, sf_dir: str) -> DataFrame:
     rows = [(levels, node, p) for levels in range(1, 9) for node, p in enumerate(positions(levels), start=1)]
     return local_table(spark, rows, "levels int, node int, position int")
 
 
+def _cells_sql(name: str, rule: str, cap: int, levels: int) -> str:
+    """The cells of a tree, level by level: nodes of over ``cap`` points are split in the dimension of the level."""
+    steps = [f"l0 AS (SELECT *, 1::BIGINT AS node FROM {points_sql(name)})"]
+    for i in range(levels):
+        c = f"c{i % DIMS[name]}"
+        middle = f"list_sort(list({c}))[count(*) // 2 + 1]" if rule == "object" else f"(min({c}) + max({c})) / 2"
+        steps.append(f"s{i} AS (SELECT node, count(*) AS n, min({c}) AS lo, {middle} AS val FROM l{i} GROUP BY node)")
+        steps.append(f"l{i + 1} AS (SELECT l.* EXCLUDE node, CASE WHEN n > {cap} THEN node * 2 + ({c} >= val)::BIGINT ELSE node END AS node FROM l{i} l JOIN s{i} USING (node))")
+    return "WITH " + ", ".join(steps) + f" SELECT node, count(*) AS n, sum(point_id)::BIGINT AS ids, round(min(c0), 6) AS lo0, round(max(c0), 6) AS hi0, round(min(c1), 6) AS lo1, round(max(c1), 6) AS hi1 FROM l{levels} GROUP BY node"
+
+
+def _cells(name: str, rule: str, cap: int) -> Query:
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        points, d = point_set(spark, sf_dir, name)
+        f = kd.stored(kd.build(points.withColumn("tree", F.lit(0)), d, rule, cap), rule=rule)
+        return f.points.groupBy("node").agg(F.count("*").alias("n"), F.sum("point_id").alias("ids"), *[F.round(g(c), 6).alias(f"{a}{j}") for j, c in enumerate(("c0", "c1")) for g, a in ((F.min, "lo"), (F.max, "hi"))])
+
+    return run
+
+
+for _rule in ("object", "spatial"):
+    for _name, _cap in (("ord2", 500), ("evt2", 300), ("line3", 3000)):
+        query(f"tree_cells_{_rule}_{_name}", _cells_sql(_name, _rule, _cap, 14 if _rule == "spatial" else 7))(_cells(_name, _rule, _cap))
+
+
 def _built(name: str, rule: str) -> Query:
     def run(spark: SparkSession, sf_dir: str) -> DataFrame:
         points, d = point_set(spark, sf_dir, name)
@@ -245,6 +285,89 @@ def mixed_index(spark: SparkSession, sf_dir: str, structure: str) -> tuple:
     return index, points
 
 
+_N = "(SELECT count(*) FROM orders)"
+_ARRIVED = f"(o_orderkey * 7919) % {_N}"
+
+
+def _steps_sql(percent: str, delete: bool) -> str:
+    """Live points after each batch of ``percent`` of the orders."""
+    size = f"greatest(1, {_N} * {percent} // 100)"
+    inside = f"(SELECT count(*) FROM orders WHERE {_ARRIVED} < {size} * step)"
+    return f"SELECT p::INTEGER AS percent, step::INTEGER AS step, {f'{_N} - {inside}' if delete else inside} AS live FROM (VALUES (10), (20), (30), (40), (50)) t(p), range(1, 11) u(step) WHERE {size} * (step - 1) < {_N}"
+
+
+def _live_steps(structure: str, delete: bool, sizes: tuple[int, ...]) -> Query:
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        points, d = point_set(spark, sf_dir, "ord2")
+        points, n, rows = written(points, "points"), points.count(), []
+        for percent in sizes:
+            index = workloads.make(spark, structure, d, x=X)
+            if delete:
+                index.insert(points)
+            for i, b in enumerate(workloads.sized_slices(points, n, percent), start=1):
+                (index.delete if delete else index.insert)(b)
+                rows.append((percent, i, index.live().count()))
+        return local_table(spark, rows, "percent int, step int, live long")
+
+    return run
+
+
+for _structure in workloads.STRUCTURES:
+    _short = _structure.replace("-", "_")
+    query(f"w2_insert_{_short}", f"SELECT * FROM ({_steps_sql('p', False)}) WHERE percent = 10")(_live_steps(_structure, False, (10,)))
+    query(f"w3_insert_sizes_{_short}", f"SELECT * FROM ({_steps_sql('p', False)}) WHERE percent > 10")(_live_steps(_structure, False, (20, 30, 40, 50)))
+    query(f"w4_delete_{_short}", f"SELECT * FROM ({_steps_sql('p', True)}) WHERE percent = 10")(_live_steps(_structure, True, (10,)))
+    query(f"w5_delete_sizes_{_short}", f"SELECT * FROM ({_steps_sql('p', True)}) WHERE percent > 10")(_live_steps(_structure, True, (20, 30, 40, 50)))
+
+
+def _sections_sql(step: int) -> str:
+    """Seven sections of the mixed workload: live points, neighbours found and the sum of their ids."""
+    gone = f"{_ARRIVED} * 20 // {_N}"
+    parts = []
+    for i in range(7):
+        live = f"o_orderkey % 20 < {5 * (i + 1)}" if i < 4 else f"{gone} >= {5 * (i - 3)}"
+        found = knn_sql("ord2", where=f"p.point_id IN (SELECT o_orderkey FROM orders WHERE {live})", step=step)
+        parts.append(f"SELECT '{'INS' if i < 4 else 'DEL'}{i if i < 4 else i - 4}' AS section, (SELECT count(*) FROM orders WHERE {live}) AS live, count(*) AS found, sum(point_id)::BIGINT AS ids FROM ({found})")
+    return " UNION ALL ".join(parts)
+
+
+def _sections(structure: str, arrival: str) -> Query:
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        points, d = point_set(spark, sf_dir, "ord2")
+        rows = workloads.mixed(spark, written(points, "points"), d, structure, K, X, query_share=100, arrival=arrival)
+        return local_table(spark, [(r["section"], r["live"], r["found"], r["ids"]) for r in rows], "section string, live long, found long, ids long")
+
+    return run
+
+
+def _again(structure: str) -> Query:
+    """Deleted points come again elsewhere."""
+
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        points, d = point_set(spark, sf_dir, "ord2")
+        index = workloads.make(spark, structure, d, x=X)
+        index.insert(points)
+        some = points.where("point_id % 10 = 3")
+        index.delete(some)
+        index.insert(some.withColumn("c0", F.col("c0") + 7.0))
+        index.delete(some.where("point_id % 20 = 3").withColumn("c0", F.col("c0") + 7.0))
+        return shown(index.knn(asked(points, "ord2", 100), K))
+
+    return run
+
+
+def _again_sql() -> str:
+    moved = f"(SELECT point_id, CASE WHEN point_id % 10 = 3 THEN c0 + 7.0 ELSE c0 END AS c0, c1 FROM {points_sql('ord2')} WHERE point_id % 20 <> 3)"
+    d2 = "(q.c0 - p.c0) * (q.c0 - p.c0) + (q.c1 - p.c1) * (q.c1 - p.c1)"
+    return f"SELECT query_id, rank::INTEGER AS rank, point_id, round(d2, 6) AS d2 FROM (SELECT q.point_id AS query_id, p.point_id, {d2} AS d2, row_number() OVER (PARTITION BY q.point_id ORDER BY {d2}, p.point_id) AS rank FROM {points_sql('ord2')} q, {moved} p WHERE q.point_id % 100 = 0) WHERE rank <= {K}"
+
+
+for _structure in workloads.STRUCTURES:
+    _short = _structure.replace("-", "_")
+    query(f"w8_mixed_{_short}", _sections_sql(100))(_sections(_structure, "hash"))
+    query(f"base_reinsert_{_short}", _again_sql())(_again(_structure))
+
+
 for _structure in workloads.STRUCTURES:
     _short = _structure.replace("-", "_")
 
@@ -282,6 +405,103 @@ def _dual(spark: SparkSession, sf_dir: str) -> DataFrame:
     return shown(spatial.knn_dual(asked(points, "emb5"), points, d, K, cap=64, exclude_self=True))
 
 
+@query("w11_dual_over_forest", knn_sql("ord2"))
+def _dual_forest(spark: SparkSession, sf_dir: str) -> DataFrame:
+    index, points = filled(spark, sf_dir, m=4)
+    index.delete(points.where("point_id < 0"))
+    return shown(index.knn(asked(points, "ord2"), K, "dual"))
+
+
+@query("w11_pairs")
+def _dual_pairs(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Pairs of cells that the dual search meets, and pairs of query and cell that the search of each query does."""
+    points, d = point_set(spark, sf_dir, "ord2")
+    queries, pairs = written(asked(points, "ord2"), "queries"), []
+    tree = kd.stored(kd.build(points.withColumn("tree", F.lit(0)), d, cap=512))
+    found = written(spatial.dual_search(queries, tree, K, 512, pairs_seen=pairs), "found")
+    bounded = queries.drop("r2").join(found.groupBy("query_id").agg(F.max("d2").alias("r2")), "query_id")
+    met = kd.candidate_cells(bounded, tree, tree.trees, "euclid").count()
+    return local_table(spark, [(sum(pairs), met, len(tree.cells))], "cell_pairs long, query_cells long, cells long")
+
+
+@query("w13_bloom", "SELECT mode, (SELECT count(*) FROM orders WHERE o_orderkey % 10 <> 3) AS live, TRUE AS fewer FROM (VALUES ('off'), ('lazy'), ('eager')) t(mode)")
+def _bloom_modes(spark: SparkSession, sf_dir: str) -> DataFrame:
+    points, d = point_set(spark, sf_dir, "ord2")
+    points, rows = written(points, "points"), []
+    for mode in ("off", "lazy", "eager"):
+        index = LogForest(spark, d, X, bloom=mode)
+        for b in workloads.insert_slices(points, 3):
+            index.insert(b)
+        batch = points.where("point_id % 10 = 3")
+        trees, n = len(index.state.slots), batch.count()
+        index.delete(batch)
+        probed = index.history[-1]["probed"]  # (point, tree) pairs that are looked for
+        rows.append((mode, index.live().count(), probed == n * trees if mode == "off" else n * 0.5 < probed < n * (1 + 0.2 * trees)))
+    return local_table(spark, rows, "mode string, live long, fewer boolean")
+
+
+@query("bloom_false_positives", "SELECT 0::BIGINT AS missing, TRUE AS few")
+def _false_positives(spark: SparkSession, sf_dir: str) -> DataFrame:
+    index, points = filled(spark, sf_dir, m=2)
+    held = index.live().join(index.state.buffer.select("point_id"), "point_id", "left_anti") if index.state.buffer is not None else index.live()
+    missing, share = measures.bloom_report(index, held, points.withColumn("c0", F.col("c0") + 0.5))
+    return local_table(spark, [(missing, share < 0.05 * len(index.state.slots))], "missing long, few boolean")
+
+
+#: Leaf sizes, serial cutoffs and buffer sizes that are tried one by one.
+COARSE = [*({"leaf": v} for v in (1, 4, 16, 64)), *({"serial": v} for v in (0, 1000)), *({"x": v} for v in (64, 1024))]
+
+
+@query("w14_coarsening", " UNION ALL ".join(f"SELECT '{k}' AS what, {v}::INTEGER AS value, count(*) AS n, sum(point_id)::BIGINT AS ids FROM ({knn_sql('ord2', step=100)})" for o in COARSE for k, v in o.items()))
+def _coarse(spark: SparkSession, sf_dir: str) -> DataFrame:
+    points, d = point_set(spark, sf_dir, "ord2")
+    points, rows = written(points, "points"), []
+    for options in COARSE:
+        index = LogForest(spark, d, **({"x": X} | options))
+        index.insert(points)
+        r = index.knn(asked(points, "ord2", 100), K).agg(F.count("*").alias("n"), F.sum("point_id").alias("ids")).first()
+        rows += [(k, v, r.n, r.ids) for k, v in options.items()]
+    return local_table(spark, rows, "what string, value int, n long, ids long")
+
+
+@query("w12_balance", f"SELECT rule, count(*) AS n, TRUE AS fits FROM orders, (VALUES ('object'), ('spatial')) t(rule) GROUP BY rule")
+def _balance(spark: SparkSession, sf_dir: str) -> DataFrame:
+    points, d = point_set(spark, sf_dir, "ord2")
+    rows = []
+    for rule in ("object", "spatial"):
+        cells = kd.build(points.withColumn("tree", F.lit(0)), d, rule, 500).cells
+        b = measures.balance(cells)
+        rows.append((rule, sum(c["n"] for c in cells), b["largest"] <= 500 and (rule == "spatial" or b["largest"] <= 1.1 * b["mean"])))
+    return local_table(spark, rows, "rule string, n long, fits boolean")
+
+
+@query("w16_largest", knn_sql("line3"))
+def _largest(spark: SparkSession, sf_dir: str) -> DataFrame:
+    points, d = point_set(spark, sf_dir, "line3")
+    index = LogForest(spark, d, 1024)
+    index.insert(points)
+    return shown(index.knn(asked(points, "line3"), K))
+
+
+@query("knn_one_by_one", knn_sql("evt2", step=200))
+def _canonical(spark: SparkSession, sf_dir: str) -> DataFrame:
+    points, d = point_set(spark, sf_dir, "evt2")
+    return shown(kd.ranked(kd.search(asked(points, "evt2", 200), one_tree(points, d), K, fill=False), K))
+
+
+@query("forest_saved_versions", "SELECT v::INTEGER AS version, (SELECT count(*) FROM orders WHERE o_orderkey % 10 < least(v, 3)) - CASE WHEN v > 3 THEN (SELECT count(*) FROM orders WHERE o_orderkey % 10 < 3 AND o_orderkey % 20 = 1) ELSE 0 END AS live FROM range(1, 5) t(v)")
+def _saved(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Each version of an index is saved, loaded again and counted; the data source reads them."""
+    points, d = point_set(spark, sf_dir, "ord2")
+    index, root = LogForest(spark, d, X), scratch_path(spark, "index")
+    for i in range(3):
+        index.insert(points.where(F.pmod("point_id", F.lit(10)) == i))
+        index.save(root)
+    index.delete(points.where("point_id % 20 = 1"))
+    index.save(root)
+    return local_table(spark, [(v, LogForest.load(spark, root, v).live().count()) for v in range(1, 5)], "version int, live long")
+
+
 @query("bloom_no_false_negative", "SELECT 0::BIGINT AS missing")
 def _bloom(spark: SparkSession, sf_dir: str) -> DataFrame:
     index, points = filled(spark, sf_dir, m=2)
@@ -340,7 +560,7 @@ def _lateral(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @query("knn_k_sweep", " UNION ALL ".join(f"SELECT {k}::INTEGER AS k, count(*) AS n, sum(rank)::BIGINT AS ranks, sum(point_id)::BIGINT AS ids FROM ({knn_sql('evt2', k=k, step=100)})" for k in range(2, 12)))
 def _sweep(spark: SparkSession, sf_dir: str) -> DataFrame:
-    index, points = filled(spark, sf_dir, "evt2", m=4)
+    index, points = filled(spark, sf_dir, "evt2", m=20)
     found = index.knn(asked(points, "evt2", 100), 11)  # ranks up to k are those of a search for k
     ks = found.withColumn("k", F.explode(F.sequence(F.lit(2), F.lit(11)))).where("rank <= k")
     return ks.groupBy("k").agg(F.count("*").alias("n"), F.sum("rank").cast("long").alias("ranks"), F.sum("point_id").alias("ids"))
@@ -382,8 +602,9 @@ def _w10(spark: SparkSession, sf_dir: str) -> DataFrame:
     points, d = point_set(spark, sf_dir, "ord2")
     tree = one_tree(points, d)
     found = kd.search(asked(points, "ord2"), tree, K).groupBy("query_id").agg(F.max("d2").alias("r"))
-    seen = spatial.visited(asked(points, "ord2").drop("r2").join(found, "query_id"), tree, F.col("r"))
-    return seen.agg(F.count("*").alias("queries"), F.sum("cells").alias("cells_searched"), F.lit(len(tree.cells)).cast("long").alias("cells"))
+    bounded = written(asked(points, "ord2").drop("r2").join(found, "query_id").withColumnRenamed("r", "r2"), "bounded")
+    counts = kd.pruning(bounded, tree, K)
+    return counts.agg(F.lit(len(tree.cells)).cast("long").alias("cells"), *[F.sum(c).alias(c) for c in ("queries", "visited", "dropped", "whole", "leaves", "distances")])
 
 
 for _kind in ("uni", "var"):
@@ -393,7 +614,11 @@ for _kind in ("uni", "var"):
             return point_set(spark, sf_dir, name)[0].select("point_id", *[F.round(c, 6).alias(c) for c in coords(int(name[3:]))])
 
         _unit = [f"((((i + 1) * 2654435761 + {(j + 1) * 40503}) % 4294967291 * 69069 + 12345) % 4294967291 % 1000003) / 1000003.0::DOUBLE" for j in range(_d)]
-        query(f"gen_{_kind}{_d}", f"SELECT i AS point_id, {', '.join(f'round({u} * sqrt(n), 6) AS c{j}' for j, u in enumerate(_unit))} FROM range(0, (SELECT count(*) FROM events)) t(i), (SELECT count(*) AS n FROM events)" if _kind == "uni" else None)(_generated)
+        _seg = f"((((seg + 1) * 2654435761 + {{}}) % 4294967291 * 69069 + 12345) % 4294967291 % 1000003) / 1000003.0::DOUBLE"
+        _flag = f"(((((i + 1) * 2654435761 + {90 * 40503}) % 4294967291 * 69069 + 12345) % 4294967291 % 1000003) / 1000003.0::DOUBLE < 0.01)::BIGINT"
+        _walks = ", ".join(f"round({_seg.format((j + 51) * 40503)} * sqrt(n) + sum(({u} - 0.5) * (0.02 + ((seg * 7919) % 97) / 97.0::DOUBLE)) OVER (PARTITION BY seg ORDER BY i ROWS UNBOUNDED PRECEDING), 6) AS c{j}" for j, u in enumerate(_unit))
+        _walk = f"SELECT i AS point_id, {_walks} FROM (SELECT i, sum({_flag}) OVER (ORDER BY i)::BIGINT AS seg FROM range(0, (SELECT count(*) FROM events)) t(i)), (SELECT count(*) AS n FROM events)"
+        query(f"gen_{_kind}{_d}", f"SELECT i AS point_id, {', '.join(f'round({u} * sqrt(n), 6) AS c{j}' for j, u in enumerate(_unit))} FROM range(0, (SELECT count(*) FROM events)) t(i), (SELECT count(*) AS n FROM events)" if _kind == "uni" else _walk)(_generated)
 
 
 # --- around the methods

@@ -8,6 +8,7 @@ from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from kdforest.functions.geometry import coords
+from kdforest.operators.primitives import prefix_scan, ranks
 
 _DAYS = "unix_micros(cast({} as timestamp)) / 8.64e10D"
 _LINE_KEY = ["l_orderkey", "l_linenumber", "l_partkey", "l_suppkey", "l_shipdate", "l_extendedprice", "l_quantity", "l_discount", "l_tax"]
@@ -64,17 +65,8 @@ def load(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def numbered_lineitem(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """lineitem and rid, its rank by all columns that points use, counted inside orders and added up over them."""
-    line = load(spark, sf_dir, "lineitem").select(*_LINE_KEY)
-    per = line.groupBy("l_orderkey").agg(F.count("*").alias("n"))
-    # ranks over orders are ranks over ranges of orders and inside those, never one sort of all lines
-    wide = F.floor(F.col("l_orderkey") / 1024)
-    ranges = per.groupBy(wide.alias("range")).agg(F.sum("n").alias("n"))
-    before = Window.orderBy("range").rowsBetween(Window.unboundedPreceding, -1)
-    offsets = ranges.select("range", F.coalesce(F.sum("n").over(before), F.lit(0)).alias("offset"))
-    inside = Window.partitionBy("range").orderBy(*_LINE_KEY)
-    ranked = line.withColumn("range", wide).withColumn("k", F.row_number().over(inside))
-    return ranked.join(offsets, "range").withColumn("rid", F.col("offset") + F.col("k") - 1).drop("range", "offset", "k")
+    """lineitem and rid, its rank by all columns that points use, counted over ranges side by side."""
+    return ranks(load(spark, sf_dir, "lineitem").select(*_LINE_KEY), _LINE_KEY).withColumnRenamed("rank", "rid")
 
 
 def point_set(spark: SparkSession, sf_dir: str, name: str) -> tuple[DataFrame, int]:
@@ -109,12 +101,56 @@ def uniform(spark: SparkSession, n: int, d: int) -> DataFrame:
     return points_from(spark.range(n).select("id", *[(_unit("id", j) * n**0.5).alias(f"u{j}") for j in range(d)]), "id", [f"u{j}" for j in range(d)])
 
 
-def variable_density(spark: SparkSession, n: int, d: int, walk: int = 100) -> DataFrame:
-    """``n`` points of random walks of ``walk`` steps, each from a site of its own; step lengths differ by walk."""
-    seg = F.floor(F.col("id") / walk)
+def variable_density(spark: SparkSession, n: int, d: int, jump: float = 0.01) -> DataFrame:
+    """``n`` points of a random walk that jumps to another site with probability ``jump`` before each step; step lengths differ by site."""
+    flagged = spark.range(n).withColumn("flag", (_unit("id", 89) < jump).cast("int"))
+    scanned, _ = prefix_scan(flagged, ["id"], "flag")
+    df = scanned.select("id", (F.col("scan") + F.col("flag")).cast("long").alias("seg"))
     steps = Window.partitionBy("seg").orderBy("id")
-    df = spark.range(n).withColumn("seg", seg)
     size = 0.02 + F.pmod(F.col("seg") * 7919, F.lit(97)) / F.lit(97.0)
     sites = [_unit("seg", j + 50) * n**0.5 for j in range(d)]
     walked = [(sites[j] + F.sum((_unit("id", j) - 0.5) * size).over(steps)).alias(f"u{j}") for j in range(d)]
     return points_from(df.select("id", *walked), "id", [f"u{j}" for j in range(d)])
+
+
+FORMATS = ("parquet", "csv", "json", "orc")
+
+
+def read_points(spark: SparkSession, path: str, fmt: str, schema: str, point_id: str, exprs: list[str], bad: str = "fail") -> DataFrame:
+    """Points from files in one of FORMATS with a stated ``schema``; text that doesn't fit it is an error, or null and so a bad row with ``bad="drop"``."""
+    if fmt not in FORMATS:
+        raise ValueError(f"no such format: {fmt}")
+    reader = spark.read.schema(schema)
+    if fmt in ("csv", "json"):
+        reader = reader.option("mode", "FAILFAST" if bad == "fail" else "PERMISSIVE")
+    if fmt == "csv":
+        reader = reader.option("header", "true")
+    return points_from(reader.format(fmt).load(path), point_id, exprs, bad)
+
+
+def write_points(points: DataFrame, path: str, fmt: str, compression: str | None = None) -> None:
+    if fmt not in FORMATS:
+        raise ValueError(f"no such format: {fmt}")
+    sink = points.write.format(fmt)
+    sink = sink.option("header", "true") if fmt == "csv" else sink
+    (sink.option("compression", compression) if compression else sink).save(path)
+
+
+def scaled(points: DataFrame, d: int, how: str = "minmax") -> DataFrame:
+    """Coordinates as shares of their range ("minmax") or as deviations from the mean in standard deviations ("zscore"); a constant one is 0."""
+    if how not in ("minmax", "zscore"):
+        raise ValueError(f"no such scale: {how}")
+    first, second = (F.min, F.max) if how == "minmax" else (F.avg, F.stddev_pop)
+    row = points.agg(*[f(c).alias(f"{a}{j}") for j, c in enumerate(coords(d)) for f, a in ((first, "a"), (second, "b"))]).first()
+    out = {}
+    for j, c in enumerate(coords(d)):
+        a, b = row[f"a{j}"], row[f"b{j}"]
+        width = None if a is None else (b - a if how == "minmax" else b)
+        out[c] = (F.col(c) - F.lit(a)) / F.lit(width) if width else F.col(c) * 0.0
+    return points.withColumns(out)
+
+
+def payload(events: DataFrame, schema: str, column: str = "props") -> DataFrame:
+    """``events`` with the fields of a JSON column as columns; text that is no JSON gives nulls."""
+    parsed = F.from_json(column, schema)
+    return events.withColumn(column, parsed).select(*[c for c in events.columns if c != column], f"{column}.*")
