@@ -4,9 +4,9 @@ A text is the set of its paragraphs, cut further at sentence ends. Each has a 32
 of each of three subtables: the cell holds a signed count, the XOR of digests and the XOR of 16-bit checks. The
 difference of two sketches holds only the digests that one side has; peeling takes a cell with a single digest,
 removes it from its other cells, and goes on. A pair is peeled in a small folded table first, then in the full
-one; pairs that stay hidden are sketched again from their digests with tables four times as large, and so on, until every
-differing digest is known. A text's sketch is made in its row; texts travel once, to meet the next, and digests of hidden
-pairs a second time.
+one; pairs that stay hidden are sketched again from their digests with larger tables, and so on, until every differing digest
+is known. A larger table is dealt in parts by another hash of the digest, so that each part is peeled by itself. Sketches are
+made in their rows; texts travel once, to meet the next.
 """
 
 from __future__ import annotations
@@ -19,14 +19,19 @@ from kdforest.llm.common import table, written
 TABLES = 3
 CELLS = 16  # of a subtable
 FOLDED = 4
-RETRIED, MOST_CELLS = 64, 1024  # cells of a subtable for pairs that the fixed ones can't peel, at first and at most
+PART_CELLS, PART_DIGESTS, MOST_PARTS = 4, 5, 64  # of a larger table: cells of a part's subtable, digests of both texts meant for it, parts that one is dealt into at a time
+RETRIES = 8
 #: Pieces end with a line or a sentence.
 PIECE_ENDS = r"\n+|(?<=[.!?])[ ]+"
 
 
 def digests(text: Column) -> Column:
     """The distinct digests of a text's pieces, as signed integers."""
-    return F.array_distinct(F.transform(F.array_remove(F.split(text, PIECE_ENDS), ""), lambda p: F.xxhash64(p).bitwiseAND(F.lit(0xFFFFFFFF)).bitwiseXOR(F.lit(0x80000000)) - F.lit(0x80000000).cast("long"))).cast("array<int>")
+    return F.array_distinct(F.transform(F.array_remove(F.split(text, PIECE_ENDS), ""), lambda p: signed(F.xxhash64(p).bitwiseAND(F.lit(0xFFFFFFFF)))))
+
+
+def signed(key: Column) -> Column:
+    return (key.bitwiseXOR(F.lit(0x80000000)) - F.lit(0x80000000).cast("long")).cast("int")
 
 
 def unsigned(digest: Column) -> Column:
@@ -72,35 +77,20 @@ def sketch(entries: Column, cells: int = CELLS) -> Column:
     def merged(acc: Column, e: Column) -> Column:
         return F.struct((acc["c"] + e["c"]).alias("c"), acc["k"].bitwiseXOR(e["k"]).alias("k"), acc["x"].bitwiseXOR(e["x"]).alias("x"))
 
-    return F.transform(every, lambda i: F.aggregate(F.filter(entries, lambda e: F.array_contains(e["at"], i)), empty, merged))
-
+    def cells_of(own: Column) -> Column:
+        return F.transform(every, lambda i: F.aggregate(F.filter(own, lambda e: F.array_contains(e["at"], i)), empty, merged))
 
-def sketched(rows: DataFrame, by: list[str], keys: str, cells: int) -> DataFrame:
-    """(*by, cells): larger sketches, by grouped aggregation; a row without digests has empty cells.
-
-    Rows with the same ``by`` are one set. If rows are dealt by some of ``by`` already, nothing is dealt anew.
-    """
-    every = F.sequence(F.lit(0).cast("long"), F.lit(TABLES * cells - 1).cast("long"))
-    one = rows.select(*by, F.explode(F.concat(F.col(keys), F.array(F.lit(None).cast("int")))).alias("key")).withColumn("key", unsigned(F.col("key")))
-    h = mixed(F.col("key"))
-    cell = F.explode(F.when(F.col("key").isNull(), every).otherwise(F.array(*[cell_of(F.col("h"), t, cells) for t in range(TABLES)]))).alias("cell")
-    dealt = one.select(*by, "key", h.alias("h")).select(*by, "key", "h", cell)
-    own = F.col("key").isNotNull()
-    nil = F.lit(0).cast("long")
-    summed = dealt.groupBy(*by, "cell").agg(
-        F.sum(F.when(own, sign_of(F.col("h"))).otherwise(nil)).alias("c"), F.bit_xor(F.when(own, F.col("key")).otherwise(nil)).alias("k"), F.bit_xor(F.when(own, check_of(F.col("h"))).otherwise(nil)).alias("x")
-    )
-    listed = summed.groupBy(*by).agg(F.array_sort(F.collect_list(F.struct("cell", "c", "k", "x"))).alias("cells"))
-    return listed.withColumn("cells", F.transform("cells", lambda z: F.struct(z["c"].alias("c"), z["k"].alias("k"), z["x"].alias("x"))))
+    return F.get(F.transform(F.array(entries), cells_of), F.lit(0))  # entries are computed once, not once a cell
 
 
 def as_text(cells: Column, n: Column) -> Column:
     """The number of pieces and each cell's count, digests and checks in hexadecimal digits."""
 
-    def digits(x: Column, width: int) -> Column:
-        return F.lpad(F.hex(x.bitwiseAND(F.lit((1 << 4 * width) - 1).cast("long"))), width, "0")
+    def cell(z: Column) -> Column:  # 16 bits of count, 32 of digests, 16 of checks
+        whole = F.shiftleft(z["c"], 48).bitwiseOR(F.shiftleft(z["k"], 16)).bitwiseOR(z["x"])
+        return F.lpad(F.hex(whole), 16, "0")
 
-    return F.lower(F.concat(digits(n.cast("long"), 8), F.concat_ws("", F.transform(cells, lambda z: F.concat(digits(z["c"], 4), digits(z["k"], 8), digits(z["x"], 4))))))
+    return F.lower(F.concat(F.lpad(F.hex(n.cast("long")), 8, "0"), F.array_join(F.transform(cells, cell), "")))
 
 
 def subtracted(a: Column, b: Column) -> Column:
@@ -213,12 +203,15 @@ def edit_report(docs: DataFrame, parts: int | None = None) -> DataFrame:
     both = both.select("*", F.col("f.a").alias("next_a"), F.col("f.n").alias("next_n"), F.col("f.own").alias("next")).drop("f", "extra")
     out = with_likeness(both, "near_edited", "a", "n", "b", "edited_n")
     out = with_likeness(out, "near_next", "a", "n", "next_a", "next_n")
+    # texts without a piece in common differ in all of them, which needs no table
+    for name, other in (("near_edited", "other"), ("near_next", "next")):
+        out = out.withColumn(name, F.coalesce(name, F.when(~F.arrays_overlap("own", other), F.lit(0.0))))
     hidden = F.array(F.when(F.col("near_edited").isNull(), F.struct(F.lit(0).alias("to"), F.col("other").alias("p"))), F.when(F.col("near_next").isNull(), F.struct(F.lit(1).alias("to"), F.col("next").alias("p"))))
     out = out.withColumn("hidden", F.filter(hidden, lambda z: z.isNotNull())).withColumn("own", F.when(F.size("hidden") > 0, F.col("own")))
     packed = [F.unhex(as_text(F.col(c), F.col(n))).alias(name) for c, n, name in (("a", "n", "fingerprint"), ("b", "edited_n", "edited_fingerprint"))]
     out = written(out.select("part", "pos", "doc_id", "n_chars", "edited_sha256", *packed, "near_edited", "near_next", "n", "edited_n", "next_n", "own", "hidden"), "likeness")
     pairs = out.where(F.size("hidden") > 0).select("part", "pos", "own", F.explode("hidden").alias("z")).select("part", "pos", F.col("z.to").alias("to"), "own", F.col("z.p").alias("other"))
-    known = differing(pairs, ["part", "pos", "to"], RETRIED, MOST_CELLS).groupBy("part", "pos", "to").agg(F.count("*").alias("d"))
+    known = differing(pairs, ["part", "pos", "to"]).groupBy("part", "pos", "to").agg(F.count("*").alias("d"))
     known = known.groupBy("part", "pos").agg(*[F.max(F.when(F.col("to") == i, F.col("d"))).alias(f"d{i}") for i in (0, 1)])
     out = out.drop("own", "hidden").join(known, ["part", "pos"], "left")
     for name, i, other_n in (("near_edited", 0, "edited_n"), ("near_next", 1, "next_n")):
@@ -226,47 +219,49 @@ def edit_report(docs: DataFrame, parts: int | None = None) -> DataFrame:
     return out.select("doc_id", "n_chars", "edited_sha256", F.lower(F.hex("fingerprint")).alias("fingerprint"), F.lower(F.hex("edited_fingerprint")).alias("edited_fingerprint"), "near_edited", "near_next")
 
 
-def recovered(old: DataFrame, new: DataFrame, key: str = "doc_id", cells: int = CELLS, most: int = 1 << 12) -> DataFrame:
+def recovered(old: DataFrame, new: DataFrame, key: str = "doc_id", retries: int = RETRIES) -> DataFrame:
     """(key, digest, side): digests of the pieces that only the old (1) or the new (-1) version of a text has.
 
-    Versions are joined by ``key``; a missing one is empty. Pairs whose difference can't be peeled are tried again
-    with tables four times as large, up to subtables of ``most`` cells; for what is left, digests are compared one
-    by one. Rows with a null key are left out, rows of one key are one set of pieces; no difference gives no row.
+    Versions are joined by ``key``; a missing one is empty. What a table can't tell is tried again with larger ones, up to
+    ``retries`` times; for what is left, digests are compared one by one. Rows with a null key are left out, rows of one key
+    are one set of pieces; no difference gives no row.
     """
 
     def slim(df: DataFrame, name: str) -> DataFrame:
-        own = df.where(F.col(key).isNotNull()).groupBy(key).agg(F.array_distinct(F.flatten(F.collect_list(digests(F.coalesce("text", F.lit("")))))).alias(name))
-        return own
+        return df.where(F.col(key).isNotNull()).groupBy(key).agg(F.array_distinct(F.flatten(F.collect_list(digests(F.coalesce("text", F.lit("")))))).alias(name))
 
     none = F.expr("cast(array() as array<int>)")
     pairs = slim(old, "own").join(slim(new, "other"), key, "full_outer").select(key, F.coalesce("own", none).alias("own"), F.coalesce("other", none).alias("other"))
-    return differing(pairs, [key], cells, most)
-
-
-def differing(pairs: DataFrame, by: list[str], cells: int, most: int) -> DataFrame:
-    """(*by, digest, side): what ``recovered`` gives, of rows (*by, own, other) of digests. A round deals the digests of its pairs once."""
-    left, found = written(pairs, "versions"), []
-    zero = F.lit(0).cast("long")
-    blank = F.transform(F.sequence(F.lit(1), F.lit(TABLES * cells)), lambda _: F.struct(zero.alias("c"), zero.alias("k"), zero.alias("x")))
-    while True:
-        dealt = left.repartition(*by)
-        sides = dealt.select(*by, F.explode(F.array(F.struct(F.lit(1).alias("side"), F.col("own").alias("p")), F.struct(F.lit(-1).alias("side"), F.col("other").alias("p")))).alias("s")).select(*by, "s.side", "s.p")
-        one = sketched(sides, [*by, "side"], "p", cells)
-        pair = one.groupBy(*by).agg(F.max(F.when(F.col("side") == 1, F.col("cells"))).alias("a"), F.max(F.when(F.col("side") == -1, F.col("cells"))).alias("b"))
-        diff = written(pair.select(*by, subtracted(F.coalesce("a", blank), F.coalesce("b", blank)).alias("d")).withColumn("got", peeled(F.col("d"), cells, 16)).select(*by, "got"), "peeled")
-        found.append(diff.where("got IS NOT NULL").select(*by, F.explode("got").alias("g")).select(*by, F.col("g.key").alias("digest"), F.col("g.side").cast("int").alias("side")))
-        failed = diff.where("got IS NULL").select(*by)
-        if failed.isEmpty():
-            break
-        left = written(left.join(failed, by, "left_semi"), "versions")
-        cells *= 4
-        blank = F.transform(F.sequence(F.lit(1), F.lit(TABLES * cells)), lambda _: F.struct(zero.alias("c"), zero.alias("k"), zero.alias("x")))
-        if cells > most:
-            for one_side, other, side in (("own", "other", 1), ("other", "own", -1)):
-                only = F.explode(F.array_except(one_side, other)).alias("digest")
-                found.append(left.select(*by, only).select(*by, unsigned(F.col("digest")).alias("digest"), F.lit(side).alias("side")))
+    return differing(pairs, [key], retries)
+
+
+def differing(pairs: DataFrame, by: list[str], retries: int = RETRIES) -> DataFrame:
+    """(*by, digest, side): what ``recovered`` gives, of rows (*by, own, other) of digests. Nothing is dealt anew."""
+    left, found = pairs, []
+    for k in range(retries):
+        size = F.size("own") + F.size("other")
+        parts = F.least(F.lit(MOST_PARTS), F.greatest(F.lit(2 if k else 1), F.ceil(size / PART_DIGESTS).cast("int")))
+        dealt = left.select(*by, "own", "other", parts.alias("parts")).select("*", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)).alias("at"))
+
+        def mine(c: str, k: int = k) -> Column:
+            return F.filter(c, lambda d: F.pmod(F.xxhash64(F.lit(101 + k), d), F.col("parts")) == F.col("at")).alias(c)
+
+        dealt = dealt.select(*by, mine("own"), mine("other"))
+        cells = [sketch(hashed(F.col(c), PART_CELLS), PART_CELLS) for c in ("own", "other")]
+        diff = dealt.select(*by, "own", "other", subtracted(*cells).alias("d"))
+        about = F.aggregate("d", F.lit(0).cast("long"), lambda acc, z: acc + z["c"] * z["c"]) / F.lit(float(TABLES))
+        tried = diff.select(*by, "own", "other", F.when(about <= TABLES * PART_CELLS * 3 // 4, peeled(F.col("d"), PART_CELLS, 10)).alias("got"))
+        hidden = F.col("got").isNull()
+        done = written(tried.select(*by, *[F.when(hidden, F.col(c)).alias(c) for c in ("own", "other")], "got"), "peeled")  # a filter before the write would be pushed down and peel twice
+        found.append(done.where("got IS NOT NULL").select(*by, F.explode("got").alias("g")).select(*by, F.col("g.key").alias("digest"), F.col("g.side").cast("int").alias("side")))
+        left = done.where("got IS NULL").select(*by, "own", "other")
+        if left.isEmpty():
             break
-    out = found[0]
+    else:
+        for one_side, other, side in (("own", "other", 1), ("other", "own", -1)):
+            only = left.select(*by, F.explode(F.array_except(one_side, other)).alias("digest"))
+            found.append(only.select(*by, unsigned(F.col("digest")).alias("digest"), F.lit(side).alias("side")))
+    out = found[0] if found else None
     for more in found[1:]:
         out = out.unionByName(more)
     return out
