@@ -168,7 +168,8 @@ def _one_level(df: DataFrame, splits: list[Split], d: int, prefix: str = "c") ->
     """Rows whose (tree, node) is split go to the child on their side."""
     table = local_table(df.sparkSession, splits, "tree int, node long, dim int, val double")
     df = df.join(small(table, len(splits)), ["tree", "node"], "left")
-    x = F.get(F.array(*coords(d, prefix), F.col("point_id").cast("double")), F.col("dim"))
+    own = [F.col("point_id").cast("double")] if "point_id" in df.columns else []  # queries have none
+    x = F.get(F.array(*coords(d, prefix), *own), F.col("dim"))
     moved = F.when(F.col("dim").isNull(), F.col("node")).otherwise(F.col("node") * 2 + (x >= F.col("val")).cast("long"))
     return df.withColumn("node", moved).drop("dim", "val")
 
