@@ -19,6 +19,7 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 import xxhash
+import zstandard
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -128,11 +129,42 @@ def bucket_column(doc: Column, buckets: int) -> Column:
 
 
 TOLD = pa.schema([("doc", pa.int64()), ("mark", pa.int64()), ("start", pa.list_(pa.int64())), ("count", pa.list_(pa.int64()))])
-PACKED = pa.schema([
-    ("prefix", pa.int64()), ("docs", pa.list_(pa.int64())), ("marks", pa.list_(pa.int64())), ("owner", pa.list_(pa.int32())), ("start", pa.list_(pa.int32())),
-    ("count", pa.list_(pa.int8())), ("words", pa.binary()), ("spelled", pa.list_(pa.int32())), ("vocabulary", pa.list_(pa.binary())), *TOLD.remove(2).remove(2), ("runs", pa.list_(pa.int64())), ("sizes", pa.list_(pa.int64())),
-])
-PACKED_DDL = "prefix long, docs array<long>, marks array<long>, owner array<int>, start array<int>, count array<tinyint>, words binary, spelled array<int>, vocabulary array<binary>, doc long, mark long, runs array<long>, sizes array<long>"
+PACKED = pa.schema([("prefix", pa.int64()), ("blob", pa.binary()), ("doc", pa.int64()), ("mark", pa.int64()), ("runs", pa.list_(pa.int64())), ("sizes", pa.list_(pa.int64()))])
+PACKED_DDL = "prefix long, blob binary, doc long, mark long, runs array<long>, sizes array<long>"
+
+
+def _planes(x: np.ndarray) -> bytes:
+    """First bytes of all numbers, then second ones and so on: likes together, which packs better."""
+    return x.view(np.uint8).reshape(len(x), x.itemsize).T.tobytes() if len(x) else b""
+
+
+def _unplaned(raw: bytes, kind: str) -> np.ndarray:
+    size = np.dtype(kind).itemsize
+    return np.frombuffer(raw, np.uint8).reshape(size, -1).T.copy().view(kind).ravel() if raw else np.zeros(0, dtype=kind)
+
+
+_KINDS = ("<i8", "<u4", "<u4", "<i4", "<u1", "<u2", "<u4")
+
+
+def packed(docs: np.ndarray, marks: np.ndarray, owner: np.ndarray, start: np.ndarray, count: np.ndarray, words: np.ndarray, spelled: np.ndarray, vocabulary: list[bytes]) -> bytes:
+    """Runs of one group and block, compressed; documents and owners rise."""
+    rising = np.diff(docs, prepend=np.int64(0)), marks, np.diff(owner, prepend=0), np.diff(start, prepend=0), count, words, spelled
+    parts = [_planes(np.ascontiguousarray(x.astype(k))) for x, k in zip(rising, _KINDS, strict=True)] + [b" ".join(vocabulary)]
+    head = np.array([len(x) for x in parts], dtype="<u8").tobytes()
+    return zstandard.ZstdCompressor(level=3).compress(head + b"".join(parts))
+
+
+def unpacked(blob: bytes) -> list:
+    raw = zstandard.ZstdDecompressor().decompress(blob)
+    ends = np.cumsum(np.frombuffer(raw, "<u8", 8).astype(np.int64)) + 64
+    parts = [raw[i:j] for i, j in zip([64, *ends[:-1].tolist()], ends.tolist(), strict=True)]
+    x = [_unplaned(r, k).astype(np.int64) for r, k in zip(parts[:7], _KINDS, strict=True)]
+    return [np.cumsum(x[0]), x[1], np.cumsum(x[2]), np.cumsum(x[3]), x[4], x[5], x[6], parts[7].split(b" ") if parts[7] else []]
+
+
+def mark_of(raw: bytes) -> int:
+    """32 bits that tell texts of one id apart."""
+    return xxhash.xxh3_64_intdigest(raw) & 0xFFFFFFFF
 
 
 def _told_rows(doc: np.ndarray, mark: np.ndarray, start: np.ndarray) -> Iterator[tuple]:
@@ -218,10 +250,20 @@ def repeated_windows(docs: DataFrame, length: int, prefix_bits: int, words: list
             rare = flat >= coder.own
             names, spelled = np.unique(flat[rare], return_inverse=True)
             held, mine = np.unique(owner[s], return_inverse=True)
-            yield {
-                "prefix": int(group[i]), "docs": docs_of[held], "marks": marks[held], "owner": mine.astype(np.int32), "start": at[s].astype(np.int32), "count": c.astype(np.int8),
-                "words": np.where(rare, SPELLED, flat).astype("<u2").tobytes(), "spelled": spelled.astype(np.int32), "vocabulary": [coder.more[x - coder.own] for x in names.tolist()],
-            }
+            by_doc = np.argsort(docs_of[held], kind="stable")
+            place = np.empty(len(held), dtype=np.int64)
+            place[by_doc] = np.arange(len(held))
+            mine = place[mine]
+            if (np.diff(mine) < 0).any():  # documents of a block in another order than that of their ids
+                runs = np.argsort(mine, kind="stable")
+                lengths = c + length - 1
+                begin = np.cumsum(lengths) - lengths
+                moved = np.repeat(begin[runs], lengths[runs]) + _spans(lengths[runs])
+                flat, s, c, mine = flat[moved], s[runs], c[runs], mine[runs]
+                rare = flat >= coder.own
+                names, spelled = np.unique(flat[rare], return_inverse=True)
+            words16 = np.where(rare, SPELLED, flat)
+            yield {"prefix": int(group[i]), "blob": packed(docs_of[held][by_doc], marks[held][by_doc], mine, at[s], c, words16, spelled, [coder.more[x - coder.own] for x in names.tolist()])}
 
     def leaves(batches: Iterator[pa.RecordBatch]) -> Iterator[dict]:
         coder = Coder(words)
@@ -238,7 +280,7 @@ def repeated_windows(docs: DataFrame, length: int, prefix_bits: int, words: list
                     continue
                 codes.append(np.fromiter(map(coder.__getitem__, found), dtype=np.int64, count=len(found)))
                 owners.append(d)
-                marks.append(xxhash.xxh3_64_intdigest(raw) - (1 << 63))
+                marks.append(mark_of(raw))
                 held += len(found)
                 if held >= BLOCK:
                     yield from block()
@@ -247,22 +289,23 @@ def repeated_windows(docs: DataFrame, length: int, prefix_bits: int, words: list
         if held:
             yield from block()
 
-    def subtree(rows: list[dict]) -> Iterator[dict]:
+    def subtree(blobs: list[bytes]) -> Iterator[dict]:
         """Told windows of one group."""
         coder = Coder(words)
         parts, docs_of, marks, owner, start, count = [], [], [], [], [], []
         seen = 0
-        for r in rows:
-            flat = np.frombuffer(r["words"], "<u2").astype(np.int64)
-            names = np.array([coder[w] for w in r["vocabulary"]], dtype=np.int64)
-            flat[flat == SPELLED] = names[np.array(r["spelled"], dtype=np.int64)] if len(names) else 0
+        for blob in blobs:
+            own_docs, own_marks, own, at, n, flat, spelled, vocabulary = unpacked(blob)
+            names = np.array([coder[w] for w in vocabulary], dtype=np.int64)
+            if len(names):
+                flat[flat == SPELLED] = names[spelled]
             parts.append(flat)
-            docs_of.append(r["docs"])
-            marks.append(r["marks"])
-            owner.append(np.asarray(r["owner"], dtype=np.int64) + seen)
-            start.append(np.asarray(r["start"], dtype=np.int64))
-            count.append(np.asarray(r["count"], dtype=np.int64))
-            seen += len(r["docs"])
+            docs_of.append(own_docs)
+            marks.append(own_marks)
+            owner.append(own + seen)
+            start.append(at)
+            count.append(n)
+            seen += len(own_docs)
         codes, owner, start, count = (np.concatenate(x) for x in (parts, owner, start, count))
         docs_of, marks = np.concatenate(docs_of).astype(np.int64), np.concatenate(marks).astype(np.int64)
         span = count + length - 1
@@ -286,8 +329,7 @@ def repeated_windows(docs: DataFrame, length: int, prefix_bits: int, words: list
                     yield from subtree(held)
                     held = []
                 group = prefix
-                row = {n: b.column(n)[i] for n in ("docs", "marks", "owner", "start", "count", "spelled")}
-                held.append({n: v.values.to_numpy() for n, v in row.items()} | {"words": b.column("words")[i].as_py(), "vocabulary": b.column("vocabulary")[i].as_py()})
+                held.append(b.column("blob")[i].as_py())
         if held:
             yield from subtree(held)
 
@@ -326,7 +368,7 @@ def remove_repeats(docs: DataFrame, length: int = 13, id_col: str = "doc_id", te
             raw = (text.as_py() or "").encode()
             words = raw.split()
             n.append(len(words))
-            found = cut.get((int(d), xxhash.xxh3_64_intdigest(raw) - (1 << 63))) if cut and d is not None else None
+            found = cut.get((int(d), mark_of(raw))) if cut and d is not None else None
             if found:
                 change = np.zeros(len(words) + 1, dtype=np.int64)
                 for start, count in found:
