@@ -144,22 +144,61 @@ def _unplaned(raw: bytes, kind: str) -> np.ndarray:
 
 
 _KINDS = ("<i8", "<u4", "<u4", "<i4", "<u1", "<u2", "<u4")
+#: First bytes of words whose second bytes are packed together: 0, the next few, others, spelled words.
+_LEADS = (0, 1, 4, SPELLED >> 8, 256)
+
+
+def _word_streams(words: np.ndarray) -> list[bytes]:
+    """First bytes, then second ones by the class of the first: frequent words differ in the second byte in another way than rare ones."""
+    high, low = (words >> 8).astype(np.uint8), (words & 255).astype(np.uint8)
+    return [high.tobytes(), *(low[(high >= i) & (high < j)].tobytes() for i, j in zip(_LEADS, _LEADS[1:], strict=False))]
+
+
+def _words_of_streams(raw: bytes) -> np.ndarray:
+    n = len(raw) // 2
+    high, low = np.frombuffer(raw, np.uint8, n), np.frombuffer(raw, np.uint8, n, n)
+    out, at = high.astype(np.int64) << 8, 0
+    for i, j in zip(_LEADS, _LEADS[1:], strict=False):
+        own = np.flatnonzero((high >= i) & (high < j))
+        out[own] |= low[at : at + len(own)]
+        at += len(own)
+    return out
+
+
+def _steps_back(spelled: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """(steps, by): for each use of a spelled word 0 if it is new, else how many new words ago it was; and the words in the order of first use."""
+    first = np.unique(spelled, return_index=True)[1]
+    by = np.argsort(first)
+    number = np.empty(len(by), dtype=np.int64)
+    number[by] = np.arange(len(by))
+    new = np.zeros(len(spelled), dtype=np.int64)
+    new[first] = 1
+    return np.cumsum(new) - new - number[spelled], by
 
 
 def packed(docs: np.ndarray, marks: np.ndarray, owner: np.ndarray, start: np.ndarray, count: np.ndarray, words: np.ndarray, spelled: np.ndarray, vocabulary: list[bytes]) -> bytes:
-    """Runs of one group and block, compressed; documents and owners rise."""
-    rising = np.diff(docs, prepend=np.int64(0)), marks, np.diff(owner, prepend=0), np.diff(start, prepend=0), count, words, spelled
-    parts = [_planes(np.ascontiguousarray(x.astype(k))) for x, k in zip(rising, _KINDS, strict=True)] + [b" ".join(vocabulary)]
-    head = np.array([len(x) for x in parts], dtype="<u8").tobytes()
-    return zstandard.ZstdCompressor(level=3).compress(head + b"".join(parts))
+    """Runs of one group and block, compressed, each kind of number in blocks of its own; documents and owners rise."""
+    steps, by = _steps_back(spelled)
+    rising = np.diff(docs, prepend=np.int64(0)), marks, np.diff(owner, prepend=0), np.diff(start, prepend=0), count, words, steps
+    streams = [[_planes(np.ascontiguousarray(x.astype(k)))] for x, k in zip(rising, _KINDS, strict=True)] + [[b" ".join([vocabulary[i] for i in by.tolist()])]]
+    streams[5] = _word_streams(words)
+    head = np.array([sum(map(len, x)) for x in streams], dtype="<u8").tobytes()
+    flat = [head, *(x for part in streams for x in part if x)]
+    maker = zstandard.ZstdCompressor(level=3).compressobj(size=sum(map(len, flat)))
+    out = []
+    for x in flat:
+        out += [maker.compress(x), maker.flush(zstandard.COMPRESSOBJ_FLUSH_BLOCK)]
+    return b"".join([*out, maker.flush()])
 
 
 def unpacked(blob: bytes) -> list:
     raw = zstandard.ZstdDecompressor().decompress(blob)
     ends = np.cumsum(np.frombuffer(raw, "<u8", 8).astype(np.int64)) + 64
     parts = [raw[i:j] for i, j in zip([64, *ends[:-1].tolist()], ends.tolist(), strict=True)]
-    x = [_unplaned(r, k).astype(np.int64) for r, k in zip(parts[:7], _KINDS, strict=True)]
-    return [np.cumsum(x[0]), x[1], np.cumsum(x[2]), np.cumsum(x[3]), x[4], x[5], x[6], parts[7].split(b" ") if parts[7] else []]
+    x = [_words_of_streams(r) if i == 5 else _unplaned(r, k).astype(np.int64) for i, (r, k) in enumerate(zip(parts[:7], _KINDS, strict=True))]
+    new = (x[6] == 0).astype(np.int64)
+    spelled = np.cumsum(new) - new - x[6]
+    return [np.cumsum(x[0]), x[1], np.cumsum(x[2]), np.cumsum(x[3]), x[4], x[5], spelled, parts[7].split(b" ") if parts[7] else []]
 
 
 def mark_of(raw: bytes) -> int:

@@ -493,3 +493,19 @@ def test_empty_tables(spark, docs, name):
         "contamination": lambda: decontaminate.contamination(none, spark.read.parquet(f"{SF}/benchmark.parquet").limit(0)), "pack": lambda: packing.pack(none, __import__("public_tokenizers").path("byte_bpe_50k.json")),
     }[name]()
     assert out.count() == 0
+
+
+def test_packed_runs_come_back():
+    rng = np.random.default_rng(3)
+    for n, most in ((0, 0), (1, 0), (40, 3), (900, 500)):
+        count = rng.integers(1, 9, n)
+        words = rng.integers(0, 60_000, int(count.sum()) + 12 * n)
+        rare = rng.random(len(words)) < (0.3 if most else 0)
+        spelled = np.unique(rng.integers(0, max(1, most), int(rare.sum())), return_inverse=True)[1]
+        words[rare] = substring.SPELLED
+        names = [b"w%d" % i for i in rng.permutation(int(spelled.max(initial=-1)) + 1)]
+        docs, marks = np.sort(rng.integers(-(1 << 62), 1 << 62, n)), rng.integers(0, 1 << 32, n)
+        given = [docs, marks, np.arange(n), rng.integers(0, 1 << 20, n), count, words]
+        back = substring.unpacked(substring.packed(*given, spelled, names))
+        assert all(np.array_equal(a, b) for a, b in zip(given, back[:6], strict=True))
+        assert [back[7][i] for i in back[6].tolist()] == [names[i] for i in spelled.tolist()]
