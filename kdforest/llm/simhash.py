@@ -8,8 +8,8 @@ Inside a bucket complete distances are verified in blocks, and only the links th
 joined yet are kept, so a dense group of near copies gives a tree and not all its pairs. Components follow from
 rounds of joins over those links.
 
-``one_of_each`` drops near copies by another measure, the Jaccard similarity of word shingles, which so few bits
-can't tell.
+``one_of_each`` drops near copies: linked fingerprints are its first candidates, bands of minimum hashes add those that so
+few bits can't tell, and the Jaccard similarity of word shingles decides.
 """
 
 from __future__ import annotations
@@ -282,12 +282,23 @@ def similar_groups(sets: list[np.ndarray]) -> np.ndarray:
     return out
 
 
-def one_of_each(docs: DataFrame, shingle: int = 5) -> DataFrame:
+def fingerprint_links(reps: DataFrame, distance: int = 4) -> DataFrame:
+    """(a, b): links between the nodes of ``reps`` (node, sims) by fingerprints that are equal or within ``distance`` bits."""
+    sims = written(reps.select("node", F.explode("sims").alias("fp")), "sims")
+    firsts = written(sims.groupBy("fp").agg(F.min("node").alias("first")), "fingerprints")
+    same = sims.join(firsts, "fp").select(F.col("first").alias("a"), F.col("node").alias("b"))
+    near = near_links(firsts.select("fp"), distance)
+    a, b = (firsts.select(F.col("fp").alias(n), F.col("first").alias(f"{n}_first")) for n in ("a", "b"))
+    apart = near.join(a, "a").join(b, "b").select(F.col("a_first").alias("a"), F.col("b_first").alias("b"))
+    return same.unionByName(apart).where("a <> b")
+
+
+def one_of_each(docs: DataFrame, shingle: int = 5, distance: int = 4) -> DataFrame:
     """``docs`` with one document of each group of near duplicates, that with the smallest id; null ids come last.
 
     Near duplicates are texts whose sets of five-word shingles have a Jaccard similarity of 0.8 or more, and those
-    that such texts join. Candidates share a band of minimum hashes, with the same bands at every size; those that
-    candidates join meet in one task, which compares their sets exactly. Different texts under one id are different
+    that such texts join. Candidates have fingerprints within ``distance`` bits, or share a band of minimum hashes, with the same
+    bands at every size; those that candidates join meet in one task, which compares their sets exactly. Different texts under one id are different
     documents, and so are those without an id. Texts without words are one; other columns stay as they are.
     """
     marked, row = by_row(docs)
@@ -298,7 +309,8 @@ def one_of_each(docs: DataFrame, shingle: int = 5) -> DataFrame:
             sets = [shingle_set(t.as_py(), shingle) for t in b.column(3)]
             digests = pa.array([xxhash.xxh3_128_digest(s.tobytes()) for s in sets], pa.binary())
             bands = pa.array([band_keys(s).view(np.int64) if len(s) else [] for s in sets], pa.list_(pa.int64()))
-            yield pa.RecordBatch.from_arrays([*(b.column(i) for i in range(3)), digests, bands], [*row, "fp", "bands"])
+            sims = pa.array(np.array([fingerprint(t.as_py()) for t in b.column(3)], dtype=np.uint64).view(np.int64), pa.int64())
+            yield pa.RecordBatch.from_arrays([*(b.column(i) for i in range(3)), digests, bands, sims], [*row, "fp", "bands", "sim"])
 
     def starred(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         """Rows come sorted by band and node; each is linked to its band's first."""
@@ -334,11 +346,13 @@ def one_of_each(docs: DataFrame, shingle: int = 5) -> DataFrame:
                 held.append((*own, shingle_set(text, shingle)))
         yield lost()
 
-    fps = marked.select(*row, "text").mapInArrow(work, f"{keys}, fp binary, bands array<long>")
-    least = fps.groupBy("fp").agg(F.min(F.struct(*row)).alias("r"), F.first("bands").alias("bands")).select(F.xxhash64("fp").alias("node"), "r.*", "bands")
+    fps = marked.select(*row, "text").mapInArrow(work, f"{keys}, fp binary, bands array<long>, sim long")
+    each = fps.groupBy("fp").agg(F.min(F.struct(*row)).alias("r"), F.first("bands").alias("bands"), F.collect_set("sim").alias("sims"))
+    least = each.select(F.xxhash64("fp").alias("node"), "r.*", "bands", "sims")
     reps = written(least, "fingerprints")
     keyed = reps.select(F.explode("bands").alias("band"), "node")
-    links = keyed.repartition("band").sortWithinPartitions("band", "node").mapInArrow(starred, "a long, b long").distinct()
+    banded = keyed.repartition("band").sortWithinPartitions("band", "node").mapInArrow(starred, "a long, b long")
+    links = fingerprint_links(reps, distance).unionByName(banded).distinct()
     met = written(reps.join(components(links), "node").select("root", *row), "candidates")
     texts = marked.select(*row, "text").join(maybe_broadcast(met), row).dropDuplicates(["root", *row]).select("root", *row, "text")
     gone = written(texts.repartition("root").sortWithinPartitions("root").mapInArrow(solved, keys), "replaced")
