@@ -2,12 +2,16 @@
 
 from __future__ import annotations
 
+import ctypes
+from collections.abc import Iterator
+
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from kdforest.shared import scratch_path, written
 
-__all__ = ["hash_sample", "maybe_broadcast", "scratch_path", "table", "unused", "written"]
+__all__ = ["given_back", "hash_sample", "maybe_broadcast", "scratch_path", "table", "unused", "written"]
 
 #: Sides up to this many rows of a few dozen bytes may be broadcast; larger ones are joined by shuffle.
 BROADCAST_ROWS = 100_000
@@ -17,6 +21,17 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+def given_back(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """``batches``; what a task has freed at its end goes back to the system, for workers wait for later tasks and keep it."""
+    try:
+        yield from batches
+    finally:
+        pa.default_memory_pool().release_unused()
+        trim = getattr(ctypes.CDLL(None), "malloc_trim", None)
+        if trim:
+            trim(0)
+
+
 def unused(df: DataFrame, name: str) -> str:
     """``name``, with underscores before it until no column of ``df`` has it."""
     taken = {c.lower() for c in df.columns}

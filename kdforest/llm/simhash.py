@@ -23,7 +23,7 @@ import xxhash
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from kdforest.llm.common import maybe_broadcast, table, unused, written
+from kdforest.llm.common import given_back, maybe_broadcast, table, unused, written
 
 #: A-Z to a-z, nothing else.
 LOWER = bytes(range(65)) + bytes(range(97, 123)) + bytes(range(91, 256))
@@ -346,15 +346,15 @@ def one_of_each(docs: DataFrame, shingle: int = 5, distance: int = 4) -> DataFra
                 held.append((*own, shingle_set(text, shingle)))
         yield lost()
 
-    fps = marked.select(*row, "text").mapInArrow(work, f"{keys}, fp binary, bands array<long>, sim long")
+    fps = marked.select(*row, "text").mapInArrow(lambda it: given_back(work(it)), f"{keys}, fp binary, bands array<long>, sim long")
     each = fps.groupBy("fp").agg(F.min(F.struct(*row)).alias("r"), F.first("bands").alias("bands"), F.collect_set("sim").alias("sims"))
     least = each.select(F.xxhash64("fp").alias("node"), "r.*", "bands", "sims")
     reps = written(least, "fingerprints")
     keyed = reps.select(F.explode("bands").alias("band"), "node")
-    banded = keyed.repartition("band").sortWithinPartitions("band", "node").mapInArrow(starred, "a long, b long")
+    banded = keyed.repartition("band").sortWithinPartitions("band", "node").mapInArrow(lambda it: given_back(starred(it)), "a long, b long")
     links = fingerprint_links(reps, distance).unionByName(banded).distinct()
     met = written(reps.join(components(links), "node").select("root", *row), "candidates")
     texts = marked.select(*row, "text").join(maybe_broadcast(met), row).dropDuplicates(["root", *row]).select("root", *row, "text")
-    gone = written(texts.repartition("root").sortWithinPartitions("root").mapInArrow(solved, keys), "replaced")
+    gone = written(texts.repartition("root").sortWithinPartitions("root").mapInArrow(lambda it: given_back(solved(it)), keys), "replaced")
     keep = reps.select(*row).join(gone, row, "left_anti")
     return marked.join(keep, row, "left_semi").dropDuplicates(row).drop(*row)

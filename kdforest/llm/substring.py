@@ -23,10 +23,12 @@ import zstandard
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from kdforest.llm.common import hash_sample, table, unused
+from kdforest.llm.common import given_back, hash_sample, table, unused
 
 #: Words that a task sorts and settles at once.
 BLOCK = 2_000_000
+#: Windows of a block that are looked at side by side.
+SLICE = 1 << 17
 #: Windows meant for a group: some 3 MB packed.
 GROUP = 250_000
 #: Words of an anchor, and frequent words with a number of their own; the first COMMON of these lead long prefixes.
@@ -51,9 +53,12 @@ def digests(codes: np.ndarray, starts: np.ndarray, length: int) -> np.ndarray:
     """64-bit digests of the windows at ``starts``; different windows may share one."""
     h = mixed(codes.astype(np.uint64) * _M1 + _M1)
     out = np.zeros(len(starts), dtype=np.uint64)
-    for j in range(length):
-        out = (out ^ h[starts + j]) * _M1
-        out ^= out >> np.uint64(29)
+    for i in range(0, len(starts), SLICE):
+        own, at = out[i : i + SLICE], starts[i : i + SLICE]
+        for j in range(length):
+            own ^= h[at + j]
+            own *= _M1
+            own ^= own >> np.uint64(29)
     return out
 
 
@@ -61,10 +66,12 @@ def deep_nodes(codes: np.ndarray, starts: np.ndarray, length: int) -> tuple[np.n
     """(leaves, node): the windows that have an equal one, sorted by their words, and a number for each internal node of depth ``length``."""
     digest = digests(codes, starts, length)
     order = np.argsort(digest, kind="stable")
-    sorted_digest = digest[order]
-    same = sorted_digest[1:] == sorted_digest[:-1]
+    digest = digest[order]
+    same = digest[1:] == digest[:-1]
+    del digest
     twin = np.concatenate([[False], same]) | np.concatenate([same, [False]]) if len(order) else np.zeros(0, dtype=bool)
     leaves = order[twin]
+    del order, twin, same
     per = 3 if not len(codes) or int(codes.max()) < 1 << 21 else 2
     bits = np.uint64(64 // per if per == 2 else 21)
     keys = []
@@ -243,8 +250,8 @@ def repeated_windows(docs: DataFrame, length: int, prefix_bits: int, words: list
 
     def settled(codes: np.ndarray, size: np.ndarray, docs_of: np.ndarray, marks: np.ndarray, coder: Coder) -> Iterator[dict]:
         """Told windows of a block, and its other windows as packed runs by group."""
-        owner = np.repeat(np.arange(len(size)), size)
-        at = _spans(size)
+        owner = np.repeat(np.arange(len(size), dtype=np.int32), size)
+        at = _spans(size).astype(np.int32)
         starts = np.flatnonzero(at + length <= size[owner])
         if not len(starts):
             return
@@ -256,21 +263,29 @@ def repeated_windows(docs: DataFrame, length: int, prefix_bits: int, words: list
             return
         own = np.concatenate([known, np.array([xxhash.xxh3_64_intdigest(w) for w in coder.more], dtype=np.uint64)])[codes]
         n = len(codes) - anchor + 1
-        gram, rank = np.zeros(n, dtype=np.uint64), np.zeros(n, dtype=np.int64)
+        gram, rank = np.zeros(n, dtype=np.uint64), np.zeros(n, dtype=np.int32)
         for j in range(anchor):
             gram = mixed((gram ^ own[j : j + n]) * _M1 + np.uint64(j + 1))
             rank = np.maximum(rank, codes[j : j + n])
         common = rank < COMMON
         # rarest first: sixteen classes of rank, then by hash
-        rarity = np.minimum(15, np.where(rank >= coder.own, 16, np.log2(rank + 1.0)).astype(np.int64)).astype(np.uint64)
-        order_key = ((np.uint64(15) - rarity) << np.uint64(60)) | (gram >> np.uint64(4))
-        best, place = order_key[starts], starts.copy()
-        for j in range(1, length - anchor + 1):
-            other = order_key[starts + j]
-            less = other < best
-            best, place = np.where(less, other, best), np.where(less, starts + j, place)
+        rarity = np.minimum(15, np.where(rank >= coder.own, 16, np.log2(rank + 1.0))).astype(np.uint8)
+        del rank
+        order_key = gram >> np.uint64(4)
+        order_key |= (15 - rarity).astype(np.uint64) << np.uint64(60)
+        del rarity
+        place = starts.copy()
+        for i in range(0, len(starts), SLICE):
+            at_i, place_i = starts[i : i + SLICE], place[i : i + SLICE]
+            best = order_key[at_i]
+            for j in range(1, length - anchor + 1):
+                other = order_key[at_i + j]
+                less = other < best
+                best[less], place_i[less] = other[less], at_i[less] + j
+        del order_key
         alone = common[place]
         deal = gram[place]
+        del gram, common
         if alone.any():
             whole = own[starts[alone]].copy()
             for j in range(1, length):
@@ -317,7 +332,7 @@ def repeated_windows(docs: DataFrame, length: int, prefix_bits: int, words: list
                 found = raw.split()
                 if len(found) < length:
                     continue
-                codes.append(np.fromiter(map(coder.__getitem__, found), dtype=np.int64, count=len(found)))
+                codes.append(np.fromiter(map(coder.__getitem__, found), dtype=np.int32, count=len(found)))
                 owners.append(d)
                 marks.append(mark_of(raw))
                 held += len(found)
@@ -372,9 +387,9 @@ def repeated_windows(docs: DataFrame, length: int, prefix_bits: int, words: list
         if held:
             yield from subtree(held)
 
-    made = docs.where("doc_id IS NOT NULL").mapInArrow(lambda it: _batches(leaves(it), PACKED, 8 << 20), PACKED_DDL)
+    made = docs.where("doc_id IS NOT NULL").mapInArrow(lambda it: given_back(_batches(leaves(it), PACKED, 8 << 20)), PACKED_DDL)
     dealt = made.repartition(F.coalesce("prefix", -1 - F.pmod(F.xxhash64("doc"), F.lit(groups)))).sortWithinPartitions("prefix")
-    return dealt.mapInArrow(lambda it: _batches(subtrees(it), TOLD, 8 << 20), "doc long, mark long, start array<long>, count array<long>")
+    return dealt.mapInArrow(lambda it: given_back(_batches(subtrees(it), TOLD, 8 << 20)), "doc long, mark long, start array<long>, count array<long>")
 
 
 def remove_repeats(docs: DataFrame, length: int = 13, id_col: str = "doc_id", text_col: str = "text", prefix_bits: int | None = None) -> DataFrame:
@@ -445,7 +460,7 @@ def remove_repeats(docs: DataFrame, length: int = 13, id_col: str = "doc_id", te
         for b in batches:
             yield pa.RecordBatch.from_arrays([*b.columns, *kept(b.column(at_text), [None] * b.num_rows, {})], out_names)
 
-    return both.mapInArrow(work, schema).unionByName(rest.where(key.isNull()).mapInArrow(alone, schema))
+    return both.mapInArrow(lambda it: given_back(work(it)), schema).unionByName(rest.where(key.isNull()).mapInArrow(alone, schema))
 
 
 def op3_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
