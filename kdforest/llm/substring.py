@@ -15,9 +15,11 @@ start. What a block settles is not sent, so a passage of a third of all document
 from __future__ import annotations
 
 from collections.abc import Iterator
+from itertools import compress
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 import xxhash
 import zstandard
 from pyspark.sql import Column, DataFrame, SparkSession
@@ -65,7 +67,7 @@ def digests(codes: np.ndarray, starts: np.ndarray, length: int) -> np.ndarray:
 def deep_nodes(codes: np.ndarray, starts: np.ndarray, length: int) -> tuple[np.ndarray, np.ndarray]:
     """(leaves, node): the windows that have an equal one, sorted by their words, and a number for each internal node of depth ``length``."""
     digest = digests(codes, starts, length)
-    order = np.argsort(digest, kind="stable")
+    order = np.argsort(digest)
     digest = digest[order]
     same = digest[1:] == digest[:-1]
     del digest
@@ -101,7 +103,7 @@ def later_windows(codes: np.ndarray, starts: np.ndarray, doc: np.ndarray, length
 
 
 class Coder(dict):
-    """Words to integers: those of the dictionary have theirs, others get the next."""
+    """Words to integers one by one: those of the dictionary have theirs, others get the next. ``numbered`` does the same for many."""
 
     def __init__(self, words: list[bytes]):
         super().__init__(zip(words, range(len(words)), strict=True))
@@ -119,6 +121,36 @@ class Coder(dict):
         self.more = []
 
 
+def numbered(words: pa.Array, known: pa.Array) -> tuple[np.ndarray, pa.Array]:
+    """(numbers, more): words of ``known`` have their place there, others the next in the order of first use; ``more`` are these."""
+    place = pc.index_in(words, value_set=known)
+    new = place.is_null().to_numpy(zero_copy_only=False)
+    out = place.fill_null(0).to_numpy().astype(np.int32)
+    more = words.filter(pa.array(new)).dictionary_encode()
+    out[new] = more.indices.to_numpy() + len(known)
+    return out, more.dictionary
+
+
+def rarest(key: np.ndarray, at: np.ndarray, width: int) -> np.ndarray:
+    """The first place with the least key of the ``width`` from each of ``at``, which rise."""
+    out = np.empty_like(at)
+    for i in range(0, len(at), SLICE):
+        own = at[i : i + SLICE]
+        low = int(own[0])
+        best = key[low : int(own[-1]) + width].copy()
+        step = np.zeros(len(best), dtype=np.uint8 if width < 256 else np.int32)
+        span = 1
+        while span < width:  # least of twice as many places from those of as many
+            by = min(span, width - span)
+            left, right = best[:-by], best[by:]
+            less = right < left
+            step = np.where(less, step[by:] + step.dtype.type(by), step[:-by])
+            best = np.where(less, right, left)
+            span += by
+        out[i : i + SLICE] = own + step[own - low]
+    return out
+
+
 def _spans(lengths: np.ndarray) -> np.ndarray:
     """0 to n - 1 for each of ``lengths``, joined."""
     return np.arange(int(lengths.sum())) - np.repeat(np.cumsum(lengths) - lengths, lengths)
@@ -247,8 +279,9 @@ def repeated_windows(docs: DataFrame, length: int, prefix_bits: int, words: list
     groups = 1 << prefix_bits
     anchor = min(ANCHOR, length)
     known = np.array([xxhash.xxh3_64_intdigest(w) for w in words], dtype=np.uint64)
+    dictionary = pa.array(words, pa.large_binary())
 
-    def settled(codes: np.ndarray, size: np.ndarray, docs_of: np.ndarray, marks: np.ndarray, coder: Coder) -> Iterator[dict]:
+    def settled(codes: np.ndarray, size: np.ndarray, docs_of: np.ndarray, marks: np.ndarray, more: list[bytes]) -> Iterator[dict]:
         """Told windows of a block, and its other windows as packed runs by group."""
         owner = np.repeat(np.arange(len(size), dtype=np.int32), size)
         at = _spans(size).astype(np.int32)
@@ -261,7 +294,7 @@ def repeated_windows(docs: DataFrame, length: int, prefix_bits: int, words: list
         starts = starts[~gone]
         if not len(starts):
             return
-        own = np.concatenate([known, np.array([xxhash.xxh3_64_intdigest(w) for w in coder.more], dtype=np.uint64)])[codes]
+        own = np.concatenate([known, np.array([xxhash.xxh3_64_intdigest(w) for w in more], dtype=np.uint64)])[codes]
         n = len(codes) - anchor + 1
         gram, rank = np.zeros(n, dtype=np.uint64), np.zeros(n, dtype=np.int32)
         for j in range(anchor):
@@ -269,19 +302,12 @@ def repeated_windows(docs: DataFrame, length: int, prefix_bits: int, words: list
             rank = np.maximum(rank, codes[j : j + n])
         common = rank < COMMON
         # rarest first: sixteen classes of rank, then by hash
-        rarity = np.minimum(15, np.where(rank >= coder.own, 16, np.log2(rank + 1.0))).astype(np.uint8)
+        rarity = np.minimum(15, np.where(rank >= len(words), 16, np.log2(rank + 1.0))).astype(np.uint8)
         del rank
         order_key = gram >> np.uint64(4)
         order_key |= (15 - rarity).astype(np.uint64) << np.uint64(60)
         del rarity
-        place = starts.copy()
-        for i in range(0, len(starts), SLICE):
-            at_i, place_i = starts[i : i + SLICE], place[i : i + SLICE]
-            best = order_key[at_i]
-            for j in range(1, length - anchor + 1):
-                other = order_key[at_i + j]
-                less = other < best
-                best[less], place_i[less] = other[less], at_i[less] + j
+        place = rarest(order_key, starts, length - anchor + 1)
         del order_key
         alone = common[place]
         deal = gram[place]
@@ -295,13 +321,13 @@ def repeated_windows(docs: DataFrame, length: int, prefix_bits: int, words: list
         first = np.flatnonzero(new)
         count = np.diff(np.append(first, len(starts)))
         group = (deal[first] >> np.uint64(64 - prefix_bits)).astype(np.int64) if prefix_bits else np.zeros(len(first), dtype=np.int64)
-        by = np.argsort(group, kind="stable")
+        by = np.argsort(group.astype(np.uint16) if prefix_bits <= 16 else group, kind="stable")
         first, count, group = first[by], count[by], group[by]
         edge = np.append(np.flatnonzero(np.concatenate([[True], group[1:] != group[:-1]])), len(group))
         for i, j in zip(edge[:-1].tolist(), edge[1:].tolist(), strict=True):
             s, c = starts[first[i:j]], count[i:j]
             flat = codes[np.repeat(s, c + length - 1) + _spans(c + length - 1)]
-            rare = flat >= coder.own
+            rare = flat >= len(words)
             names, spelled = np.unique(flat[rare], return_inverse=True)
             held, mine = np.unique(owner[s], return_inverse=True)
             by_doc = np.argsort(docs_of[held], kind="stable")
@@ -314,45 +340,46 @@ def repeated_windows(docs: DataFrame, length: int, prefix_bits: int, words: list
                 begin = np.cumsum(lengths) - lengths
                 moved = np.repeat(begin[runs], lengths[runs]) + _spans(lengths[runs])
                 flat, s, c, mine = flat[moved], s[runs], c[runs], mine[runs]
-                rare = flat >= coder.own
+                rare = flat >= len(words)
                 names, spelled = np.unique(flat[rare], return_inverse=True)
             words16 = np.where(rare, SPELLED, flat)
-            yield {"prefix": int(group[i]), "blob": packed(docs_of[held][by_doc], marks[held][by_doc], mine, at[s], c, words16, spelled, [coder.more[x - coder.own] for x in names.tolist()])}
+            yield {"prefix": int(group[i]), "blob": packed(docs_of[held][by_doc], marks[held][by_doc], mine, at[s], c, words16, spelled, [more[x - len(words)] for x in names.tolist()])}
 
     def leaves(batches: Iterator[pa.RecordBatch]) -> Iterator[dict]:
-        coder = Coder(words)
-        codes, owners, marks, held = [], [], [], 0
+        found, size, owners, marks, held = [], [], [], [], 0
 
         def block() -> Iterator[dict]:
-            yield from settled(np.concatenate(codes), np.array([len(c) for c in codes]), np.array(owners, dtype=np.int64), np.array(marks, dtype=np.int64), coder)
+            codes, more = numbered(pa.concat_arrays(found), dictionary)
+            found.clear()
+            yield from settled(codes, np.array(size), np.array(owners, dtype=np.int64), np.array(marks, dtype=np.int64), more.to_pylist())
 
         for b in batches:
             for d, text in zip(b.column(0).to_pylist(), b.column(1), strict=True):
                 raw = (text.as_py() or "").encode()
-                found = raw.split()
-                if len(found) < length:
+                own = raw.split()
+                if len(own) < length:
                     continue
-                codes.append(np.fromiter(map(coder.__getitem__, found), dtype=np.int32, count=len(found)))
+                found.append(pa.array(own, pa.large_binary()))
+                size.append(len(own))
                 owners.append(d)
                 marks.append(mark_of(raw))
-                held += len(found)
+                held += len(own)
                 if held >= BLOCK:
                     yield from block()
-                    codes.clear(), owners.clear(), marks.clear(), coder.forget()
+                    size.clear(), owners.clear(), marks.clear()
                     held = 0
         if held:
             yield from block()
 
     def subtree(blobs: list[bytes]) -> Iterator[dict]:
         """Told windows of one group."""
-        coder = Coder(words)
-        parts, docs_of, marks, owner, start, count = [], [], [], [], [], []
-        seen = 0
+        parts, docs_of, marks, owner, start, count, vocabularies = [], [], [], [], [], [], []
+        seen = names = 0
         for blob in blobs:
             own_docs, own_marks, own, at, n, flat, spelled, vocabulary = unpacked(blob)
-            names = np.array([coder[w] for w in vocabulary], dtype=np.int64)
-            if len(names):
-                flat[flat == SPELLED] = names[spelled]
+            flat[flat == SPELLED] = SPELLED + names + spelled
+            vocabularies.append(pa.array(vocabulary, pa.large_binary()))
+            names += len(vocabulary)
             parts.append(flat)
             docs_of.append(own_docs)
             marks.append(own_marks)
@@ -360,6 +387,10 @@ def repeated_windows(docs: DataFrame, length: int, prefix_bits: int, words: list
             start.append(at)
             count.append(n)
             seen += len(own_docs)
+        spelt = pa.concat_arrays(vocabularies).dictionary_encode().indices.to_numpy().astype(np.int64) + SPELLED  # one number a word in all blobs
+        for flat in parts:
+            rare = flat >= SPELLED
+            flat[rare] = spelt[flat[rare] - SPELLED]
         codes, owner, start, count = (np.concatenate(x) for x in (parts, owner, start, count))
         docs_of, marks = np.concatenate(docs_of).astype(np.int64), np.concatenate(marks).astype(np.int64)
         span = count + length - 1
@@ -428,7 +459,7 @@ def remove_repeats(docs: DataFrame, length: int = 13, id_col: str = "doc_id", te
                 for start, count in found:
                     np.add.at(change, start, 1)
                     np.add.at(change, start + count + length - 1, -1)
-                words = [words[i] for i in np.flatnonzero(np.cumsum(change[:-1]) == 0).tolist()]
+                words = list(compress(words, (np.cumsum(change[:-1]) == 0).tolist()))
             gone.append(n[-1] - len(words))
             left.append(b" ".join(words).decode())
         return [pa.array(n, pa.int64()), pa.array(gone, pa.int64()), pa.array(left, pa.string())]
